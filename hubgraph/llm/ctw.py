@@ -2,7 +2,7 @@
 
 Each byte is eight binary decisions. For every decision each depth of context (the last 0 to DEPTH bytes) holds counts
 of zeros and ones over all training text; Krichevsky-Trofimov estimates of all depths are mixed with the weights that
-the context tree gives them. A text is read with three zero bytes before it and ends with byte 255, which UTF-8 never
+the context tree gives them. A text is read with DEPTH zero bytes before it and ends with byte 255, which UTF-8 never
 holds, so its score is the log10 probability of the whole text.
 
 The baseline needs the count of every token of the corpus. Tokens go by a 64-bit hash, packed per slice of documents
@@ -22,9 +22,9 @@ from pyspark.sql import functions as F
 
 from hubgraph.llm.common import BYTE_VALUES, LOWER, U64, Rolling, flat, id_crc, slices, stage
 
-DEPTH, END = 3, 255
+DEPTH, END = 4, 255
 #: Entries (context and byte) that the model may hold; beyond it the depth falls to 2, where 2**24 is a proven bound.
-ENTRIES = 1 << 24
+ENTRIES = 1 << 22
 _BYTES = Rolling(0xC2B2AE3D27D4EB4F)
 BLANK = np.zeros(256, bool)
 BLANK[[0x20, *range(0x09, 0x0E)]] = True
@@ -154,28 +154,66 @@ def _gather(batches):
         yield row(held)
 
 
-def laid_out(data: np.ndarray, off: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Codes (three context bytes, then the byte) of each byte and end of the texts, and offsets by text."""
+def laid_out(data: np.ndarray, off: np.ndarray, depth: int = DEPTH) -> tuple[np.ndarray, np.ndarray]:
+    """Codes (the context bytes, then the byte) of each byte and end of the texts, and offsets by text."""
     docs, n = len(off) - 1, len(data)
     doc = np.repeat(np.arange(docs), np.diff(off))
-    wide = np.zeros(n + 4 * docs, np.uint32)
-    wide[np.arange(n) + 4 * doc + 3] = data
-    wide[off[1:] + 4 * np.arange(docs) + 3] = END
-    code = wide[3:] | wide[2:-1] << 8 | wide[1:-2] << 16 | wide[:-3] << 24 if docs else wide
+    wide = np.zeros(n + (depth + 1) * docs, U64)
+    wide[np.arange(n) + (depth + 1) * doc + depth] = data
+    wide[off[1:] + (depth + 1) * np.arange(docs) + depth] = END
+    code = wide[depth:].copy()
+    for k in range(1, depth + 1):
+        code |= wide[depth - k : len(wide) - k] << U64(8 * k)
     keep = np.ones(len(code), bool)  # not the next text's padding
-    at = off[1:-1] + 4 * np.arange(1, docs)
-    for i in range(3):
+    at = off[1:-1] + (depth + 1) * np.arange(1, docs)
+    for i in range(depth):
         keep[at + i] = False
     return code[keep], off + np.arange(docs + 1)
 
 
 def _count(batches):
-    for b in slices(batches, "text", 16_000_000):
+    for b in slices(batches, "text", 12_000_000):
         data, off = flat(b.column("text"))
         code, n = np.unique(laid_out(LOWER[data], off)[0], return_counts=True)
         yield pa.RecordBatch.from_arrays([pa.array(code.astype(np.int64)), pa.array(n.astype(np.int64))], ["code", "n"])
 
 
+class Lookup:
+    """Places of known uint64 keys by open addressing, for many keys at once."""
+
+    FREE = U64(0xFFFFFFFFFFFFFFFF)
+
+    def __init__(self, keys: np.ndarray):
+        bits = max(4, (2 * len(keys)).bit_length())
+        self.shift, self.mask = U64(64 - bits), (1 << bits) - 1
+        self.key, self.place = np.full(1 << bits, self.FREE), np.full(1 << bits, -1, np.int32)
+        todo, slot = np.arange(len(keys), dtype=np.int32), self._slot(keys)
+        while len(todo):
+            free = self.place[slot] < 0
+            self.place[slot[free]] = todo[free]
+            won = self.place[slot] == todo
+            self.key[slot[won]] = keys[todo[won]]
+            todo, slot = todo[~won], slot[~won] + 1 & self.mask
+
+    def _slot(self, keys: np.ndarray) -> np.ndarray:
+        return (keys * U64(0x9E3779B97F4A7C15) >> self.shift).astype(np.int64)
+
+    def find(self, keys: np.ndarray) -> np.ndarray:
+        slot = self._slot(keys)
+        got = self.key[slot]
+        out = np.where(got == keys, self.place[slot], np.int32(-1))
+        todo = np.nonzero((got != keys) & (got != self.FREE))[0]
+        slot = slot[todo]
+        while len(todo):
+            slot = slot + 1 & self.mask
+            got = self.key[slot]
+            hit = got == keys[todo]
+            out[todo[hit]] = self.place[slot[hit]]
+            go = ~hit & (got != self.FREE)
+            todo, slot = todo[go], slot[go]
+        return out
+
+
 def _log_gamma(x: np.ndarray) -> np.ndarray:
     shift = np.zeros_like(x)
     for _ in range(8):  # Stirling's series holds from 8 on
@@ -213,26 +251,12 @@ class ContextTree:
                 w = np.exp(log_pe - math.log(2) - log_pw)
             self.keys[d], self.zeros[d], self.ones[d], self.weight[d] = key, a[0], a[1], w
         self.log_block = float(log_pw.sum()) if len(key) else 0.0
-        # Known codes by two look-ups: context, then byte.
-        self.rank = np.zeros(256, np.int64)
-        used = np.unique(np.concatenate([code >> 8 * i & 255 for i in range(4)]))
-        self.rank[used] = np.arange(1, len(used) + 1)
-        self.size = len(used) + 1
-        where = self._context(code)
-        rows, of = np.unique(where, return_inverse=True)
-        self.row = np.zeros(self.size**3, np.int32)
-        self.row[rows] = np.arange(1, len(rows) + 1)
-        self.value = np.full((len(rows) + 1, self.size), np.nan)
-        self.value[of + 1, self.rank[code & 255]] = self.log10(code)
+        self.known, self.value = Lookup(code.astype(U64)), self.log10(code)
 
     def _node(self, code: np.ndarray, d: int, bit: int) -> np.ndarray:
         context = code >> 8 & (1 << 8 * d) - 1
         return context << 8 | (1 << 7 - bit) | (code & 255) >> bit + 1
 
-    def _context(self, code: np.ndarray) -> np.ndarray:
-        r = self.rank
-        return (r[code >> 24 & 255] * self.size + r[code >> 16 & 255]) * self.size + r[code >> 8 & 255]
-
     def log10(self, code: np.ndarray) -> np.ndarray:
         """log10 probability of each code's byte in its context: the mixture over depths, bit by bit."""
         code = code.astype(np.int64)
@@ -256,10 +280,10 @@ class ContextTree:
 
     def score(self, data: np.ndarray, off: np.ndarray) -> np.ndarray:
         """log10 probability of each text."""
-        code, at = laid_out(data, off)
-        context = self.rank.astype(np.int32)
-        got = self.value[self.row[(context[code >> 24] * self.size + context[code >> 16 & 255]) * self.size + context[code >> 8 & 255]], context[code & 255]]
-        new = np.nonzero(np.isnan(got))[0]
+        code, at = laid_out(data, off, self.depth)
+        place = self.known.find(code)
+        got = self.value[place] if len(self.value) else np.zeros(len(code))
+        new = np.nonzero(place < 0)[0]
         if len(new):
             fresh, of = np.unique(code[new], return_inverse=True)
             got[new] = self.log10(fresh)[of]
@@ -271,7 +295,7 @@ def train_tree(docs: DataFrame) -> ContextTree:
     counts = docs.select("text").mapInArrow(_count, "code long, n long").groupBy("code").agg(F.sum("n").alias("n"))
     counts, depth = stage(counts), DEPTH
     if counts.count() > ENTRIES:
-        depth = DEPTH - 1
+        depth = 2
         counts = counts.groupBy(F.col("code").bitwiseAND((1 << 8 * depth + 8) - 1).alias("code")).agg(F.sum("n").alias("n"))
     held = counts.toArrow()
     order = np.argsort(held["code"].to_numpy())
