@@ -21,16 +21,17 @@ from hubgraph.llm.common import BYTE_VALUES, U64, Rolling, flat, mix, slices, st
 
 LENGTH, ANCHOR = 100, 32
 #: Contexts of one anchor that an index block takes at most; beyond that windows are counted one by one.
-GROUP = 2048
-BLOCK_BYTES = 1_500_000
+GROUP = 16384
+BLOCK_BYTES = 400_000
 _BYTES = Rolling(0x9E3779B97F4A7C15)
 
 
 def anchors(data: np.ndarray, off: np.ndarray, length: int = LENGTH, k: int = ANCHOR):
-    """(document, start and end of its context in the text, anchor hash, context hash) of all anchors of texts laid end to end."""
+    """Of all anchors of texts laid end to end: document, start and end of the context in the text, place of the anchor
+    in the context, anchor hash, context hash."""
     n, w = len(data), length - k + 1
     if n < length:
-        return (np.zeros(0, np.int64),) * 3 + (np.zeros(0, U64),) * 2
+        return (np.zeros(0, np.int64),) * 4 + (np.zeros(0, U64),) * 2
     prefix = _BYTES.prefix(BYTE_VALUES[data])
     h = mix((prefix[k:] - prefix[: n - k + 1]) * _BYTES.down[: n - k + 1])
     # The least of w values in a row, by doubling; the place in the low half makes it the first of equal hashes.
@@ -47,7 +48,7 @@ def anchors(data: np.ndarray, off: np.ndarray, length: int = LENGTH, k: int = AN
     d = np.searchsorted(off, pos, side="right") - 1
     lo, hi = np.maximum(pos - (length - k), off[d]), np.minimum(pos + length, off[d + 1])
     ctx = _BYTES.spans(prefix, lo, hi) ^ mix((pos - lo).astype(U64) * U64(0xD6E8FEB86659FD93) + (hi - pos).astype(U64))
-    return d, lo - off[d], hi - off[d], h[pos], ctx
+    return d, lo - off[d], hi - off[d], pos - lo, h[pos], ctx
 
 
 class RunLengthIndex:
@@ -181,20 +182,22 @@ class RunLengthIndex:
 
     def _agree(self, at: np.ndarray, data: np.ndarray, tail: np.ndarray, most: np.ndarray) -> np.ndarray:
         """Signs on which the text at `at` agrees with the pattern from `tail`, up to `most`."""
-        out, live = np.zeros(len(at), np.int64), np.nonzero(most > 0)[0]
-        while len(live):
-            o = out[live]
-            same = self.text[np.minimum(at[live] + o, self.n - 1)] == data[np.minimum(tail[live] + o, len(data) - 1)]
-            live = live[same]
-            out[live] += 1
-            live = live[out[live] < most[live]]
+        out, wide = np.zeros(len(at), np.int64), int(most.max(initial=0))
+        if not wide:
+            return out
+        step = np.arange(wide)
+        for s in range(0, len(at), max(1, 1_000_000 // wide)):
+            e = s + max(1, 1_000_000 // wide)
+            differs = self.text[np.minimum(at[s:e, None] + step, self.n - 1)] != data[np.minimum(tail[s:e, None] + step, len(data) - 1)]
+            differs |= step >= most[s:e, None]
+            out[s:e] = np.where(differs.any(1), differs.argmax(1), wide)
         return out
 
 
-def mark_block(rows: list[tuple[int, int, int, bytes]], length: int) -> list[tuple[int, int, int]]:
-    """(doc, start, end) of the bytes in contexts (doc, start of context, _, bytes) that occur earlier in the block."""
+def mark_block(rows: list[tuple[int, int, bytes]], length: int) -> list[tuple[int, int, int]]:
+    """(doc, start, end) of the bytes in contexts (doc, start of context, bytes) that occur earlier in the block."""
     by_text: dict[bytes, tuple[int, int]] = {}
-    for doc, start, _, text in rows:
+    for doc, start, text in rows:
         by_text[text] = min(by_text.get(text, (doc, start)), (doc, start))
     texts = sorted(by_text)
     # Places of the block in order: a rank for (doc, byte).
@@ -210,7 +213,8 @@ def mark_block(rows: list[tuple[int, int, int, bytes]], length: int) -> list[tup
     low = index.class_low[np.searchsorted(index.class_start, found, side="right") - 1]
     own = np.concatenate([order[b : b + len(t)] for b, t in zip(index.bounds[:-1], texts, strict=True)])
     marked = (lengths >= length) & (low < own)
-    out = []
+    # A later row with the text of an earlier one is covered throughout.
+    out = [(doc, start, start + len(text)) for doc, start, text in rows if len(text) >= length and (doc, start) > by_text[text]]
     for t, s, e in zip(texts, off[:-1], off[1:], strict=True):
         hit = np.nonzero(marked[s:e])[0]
         if len(hit):
@@ -228,7 +232,8 @@ def _frame(**columns) -> pa.RecordBatch:
 
 
 def _parse(length: int):
-    """Texts to anchor rows (h, c, doc, span): span holds the context's start and its size in the low 12 bits.
+    """Texts to anchor rows (h, c, doc, span): span holds the context's start, then in 20 bits the anchor's place in it
+    and the size of the context.
 
     Of equal contexts in a slice only the first goes on as an anchor; the others, being settled, go on with c null.
     """
@@ -237,14 +242,14 @@ def _parse(length: int):
         for b in slices(batches, "text", 4_000_000):
             data, off = flat(b.column("text"))
             ids = b.column("d").to_numpy()
-            d, lo, hi, h, c = anchors(data, off, length)
-            doc, span = ids[d], lo << 12 | hi - lo
+            d, lo, hi, place, h, c = anchors(data, off, length)
+            doc, span = ids[d], lo << 20 | place << 10 | hi - lo
             order = np.lexsort((span, doc, c, h))
             doc, span, h, c = doc[order], span[order], h[order], c[order]
             new = np.r_[True, (h[1:] != h[:-1]) | (c[1:] != c[:-1])] if len(h) else np.zeros(0, bool)
             first = np.maximum.accumulate(np.where(new, np.arange(len(new)), 0))
             later = (doc != doc[first]) | (span != span[first])
-            keep = new | (later & (span & 4095 >= length))
+            keep = new | (later & (span & 1023 >= length))
             h = np.where(later, doc.astype(U64) * U64(0x9E3779B97F4A7C15), h)
             yield _frame(h=h[keep].view(np.int64), c=pa.array(c[keep].view(np.int64), mask=later[keep]), doc=doc[keep], span=span[keep])
 
@@ -272,7 +277,7 @@ def _settle(length: int):
         anchor = np.r_[True, h[1:] != h[:-1]]
         new = anchor | np.r_[True, c[1:] != c[:-1]]
         first = np.maximum.accumulate(np.where(new, np.arange(len(new)), 0))
-        later = ((doc != doc[first]) | (span != span[first])) & (span & 4095 >= length)
+        later = ((doc != doc[first]) | (span != span[first])) & (span & 1023 >= length)
         yield _frame(h=h[later], n=np.zeros(later.sum(), np.int64), doc=doc[later], span=span[later])
         of = np.cumsum(anchor) - 1
         n = np.bincount(of[new], minlength=of[-1] + 1)[of]
@@ -285,28 +290,62 @@ def _settle(length: int):
 def _contexts(batches):
     for b in batches:
         for doc, text, wanted in zip(b.column("doc").to_pylist(), b.column("raw").to_pylist(), b.column("wanted").to_pylist(), strict=True):
-            cut = [(w["h"], w["n"], doc, w["span"] >> 12, text[w["span"] >> 12 : (w["span"] >> 12) + (w["span"] & 4095)]) for w in wanted]
-            h, n, d, lo, ctx = zip(*cut, strict=True)
-            yield pa.RecordBatch.from_arrays([pa.array(h, pa.int64()), pa.array(n, pa.int64()), pa.array(d, pa.int64()), pa.array(lo, pa.int64()), pa.array(ctx, pa.binary())], ["h", "n", "doc", "lo", "ctx"])
+            cut = [(w["h"], w["n"], doc, at := w["span"] >> 20, w["span"] >> 10 & 1023, text[at : at + (w["span"] & 1023)]) for w in wanted]
+            h, n, d, lo, place, ctx = zip(*cut, strict=True)
+            yield pa.RecordBatch.from_arrays([*(pa.array(x, pa.int64()) for x in (h, n, d, lo, place)), pa.array(ctx, pa.binary())], ["h", "n", "doc", "lo", "place", "ctx"])
+
+
+def _shared(side: list[bytes], group: np.ndarray, width: int) -> np.ndarray:
+    """For each string the longest prefix that it has in common with another one of its group."""
+    n = len(side)
+    flat_side = np.frombuffer(b"".join(x.ljust(width, b"\0") for x in side), np.uint8).reshape(n, width)
+    keyed = np.empty((n, width + 4), np.uint8)
+    keyed[:, :4] = group.astype(">u4").view(np.uint8).reshape(n, 4)
+    keyed[:, 4:] = flat_side
+    order = np.argsort(keyed.view(f"S{width + 4}").ravel(), kind="stable")
+    size = np.array([len(x) for x in side], np.int64)[order]
+    same = flat_side[order[1:]] != flat_side[order[:-1]]
+    common = np.where(same.any(1), same.argmax(1), width)
+    common = np.minimum(common, np.minimum(size[1:], size[:-1]))
+    common[group[order[1:]] != group[order[:-1]]] = -1
+    out = np.full(n, -1, np.int64)
+    np.maximum.at(out, order[1:], common)
+    np.maximum.at(out, order[:-1], common)
+    return out
+
+
+def trim(rows: list[tuple[int, int, int, int, bytes]], length: int, k: int = ANCHOR) -> list[tuple[int, int, bytes]]:
+    """(h, doc, lo, place, context) rows to (doc, lo, context), each cut to what it shares with others of its anchor.
+
+    Contexts that share less than `length` bytes around the anchor go. Rows with zero bytes are left whole, since
+    those serve as filling here.
+    """
+    if any(b"\0" in r[4] for r in rows) or length - k < 1:
+        return [(doc, lo, ctx) for _, doc, lo, _, ctx in rows]
+    group = np.unique([r[0] for r in rows], return_inverse=True)[1]
+    right = _shared([c[p + k :] for *_, p, c in rows], group, length - k).tolist()
+    left = _shared([c[:p][::-1] for *_, p, c in rows], group, length - k).tolist()
+    return [(doc, lo + p - x, c[p - x : p + k + y]) for (_, doc, lo, p, c), x, y in zip(rows, left, right, strict=True) if x >= 0 and x + k + y >= length]
 
 
 def _indexed(length: int):
     """Contexts sorted by anchor to marks, an index block at a time; an anchor's contexts stay in one block."""
 
     def flush(rows):
-        out = mark_block(rows, length)
+        rows = trim(rows, length)
+        out = mark_block(rows, length) if rows else []
         return pa.RecordBatch.from_arrays([pa.array(x, pa.int64()) for x in (zip(*out, strict=True) if out else ([], [], []))], ["doc", "start", "end"])
 
     def run(batches):
         held, size, last = [], 0, None
         for b in batches:
-            for h, doc, lo, ctx in zip(*(b.column(x).to_pylist() for x in ("h", "doc", "lo", "ctx")), strict=True):
-                if size >= BLOCK_BYTES and h != last:
+            for row in zip(*(b.column(x).to_pylist() for x in ("h", "doc", "lo", "place", "ctx")), strict=True):
+                if size >= BLOCK_BYTES and row[0] != last:
                     yield flush(held)
                     held, size = [], 0
-                held.append((doc, lo, h, ctx))
-                size += len(ctx)
-                last = h
+                held.append(row)
+                size += len(row[4])
+                last = row[0]
         if held:
             yield flush(held)
 
@@ -359,11 +398,11 @@ def remove_spans(text: bytes, spans: list[tuple[int, int]]) -> tuple[bytes, list
 def repeated_spans(docs: DataFrame, length: int = LENGTH, group: int = GROUP) -> DataFrame:
     """(doc, start, end): bytes of docs (d, text) covered by a string of `length` bytes that also starts earlier."""
     settled = stage(docs.mapInArrow(_parse(length), "h long, c long, doc long, span long").repartition("h").mapInArrow(_settle(length), "h long, n long, doc long, span long"))
-    whole = settled.where("n = 0").select("doc", F.shiftright("span", 12).alias("start"), (F.shiftright("span", 12) + F.col("span").bitwiseAND(4095)).alias("end"))
+    whole = settled.where("n = 0").select("doc", F.shiftright("span", 20).alias("start"), (F.shiftright("span", 20) + F.col("span").bitwiseAND(1023)).alias("end"))
     wanted = settled.where("n > 0").groupBy("doc").agg(F.collect_list(F.struct("h", "n", "span")).alias("wanted"))
     texts = docs.select(F.col("d").alias("doc"), F.col("text").cast("binary").alias("raw"))
-    contexts = stage(wanted.join(texts, "doc").mapInArrow(_contexts, "h long, n long, doc long, lo long, ctx binary"))
-    near = contexts.where(F.col("n") <= group).select("h", "doc", "lo", "ctx").repartition("h").sortWithinPartitions("h").mapInArrow(_indexed(length), "doc long, start long, end long")
+    contexts = stage(wanted.join(texts, "doc").mapInArrow(_contexts, "h long, n long, doc long, lo long, place long, ctx binary"))
+    near = contexts.where(F.col("n") <= group).select("h", "doc", "lo", "place", "ctx").repartition("h").sortWithinPartitions("h").mapInArrow(_indexed(length), "doc long, start long, end long")
     windows = contexts.where(F.col("n") > group).select("doc", "lo", "ctx").mapInArrow(_windows(length), "w1 long, w2 long, doc long, start long")
     first = windows.groupBy("w1", "w2").agg(F.min(F.struct("doc", "start")).alias("first"))
     crowded = windows.join(first, ["w1", "w2"]).where(F.struct("doc", "start") > F.col("first")).select("doc", "start", (F.col("start") + length).alias("end"))
