@@ -22,7 +22,7 @@ from hubgraph.llm.common import BYTE_VALUES, U64, Rolling, flat, mix, slices, st
 LENGTH, ANCHOR = 100, 32
 #: Contexts of one anchor that an index block takes at most; beyond that windows are counted one by one.
 GROUP = 16384
-BLOCK_BYTES = 400_000
+BLOCK_BYTES = 120_000
 _BYTES = Rolling(0x9E3779B97F4A7C15)
 
 
