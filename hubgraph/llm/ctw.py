@@ -59,7 +59,7 @@ def _ask(ranges: int):
     shift = U64(64 - ranges.bit_length() + 1)
 
     def run(batches):
-        for b in slices(batches, "text", 16_000_000):
+        for b in slices(batches, "text", 4_000_000):
             data, off = flat(b.column("text"))
             h, doc = tokens(LOWER[data], off)
             order = np.argsort(h, kind="stable")
@@ -172,10 +172,22 @@ def laid_out(data: np.ndarray, off: np.ndarray, depth: int = DEPTH) -> tuple[np.
 
 
 def _count(batches):
-    for b in slices(batches, "text", 12_000_000):
+    """Counts of codes, merged over the slices of a partition until they are many."""
+    code, n = np.zeros(0, U64), np.zeros(0, np.int64)
+
+    def batch():
+        return pa.RecordBatch.from_arrays([pa.array(code.astype(np.int64)), pa.array(n)], ["code", "n"])
+
+    for b in slices(batches, "text", 2_000_000):
         data, off = flat(b.column("text"))
-        code, n = np.unique(laid_out(LOWER[data], off)[0], return_counts=True)
-        yield pa.RecordBatch.from_arrays([pa.array(code.astype(np.int64)), pa.array(n.astype(np.int64))], ["code", "n"])
+        new, more = np.unique(laid_out(LOWER[data], off)[0], return_counts=True)
+        code, of = np.unique(np.r_[code, new], return_inverse=True)
+        n = np.bincount(of, np.r_[n, more], len(code)).astype(np.int64)
+        if len(code) > 1_000_000:
+            yield batch()
+            code, n = code[:0], n[:0]
+    if len(code):
+        yield batch()
 
 
 class Lookup:
@@ -323,7 +335,7 @@ def score_texts(docs: DataFrame, train) -> DataFrame:
     tree = spark.sparkContext.broadcast(train_tree(docs.where("train")))
 
     def run(batches):
-        for b in slices(batches, "text", 8_000_000):
+        for b in slices(batches, "text", 2_000_000):
             data, off = flat(b.column("text"))
             score = tree.value.score(LOWER[data], off)
             yield pa.RecordBatch.from_arrays([b.column("doc_id"), b.column("d"), b.column("th"), b.column("train"), pa.array(score), pa.array(np.diff(off))], ["doc_id", "d", "th", "train", "score", "bytes"])
