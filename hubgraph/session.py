@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import os
 import tempfile
+import uuid
 import zipfile
 from pathlib import Path
 
@@ -46,3 +47,18 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
         if field.dataType.typeName() == "timestamp_ntz":
             df = df.withColumn(field.name, F.col(field.name).cast("timestamp"))
     return df
+
+
+def shared_dir(spark: SparkSession) -> str:
+    """The folder that all executors share: spark.checkpoint.dir, or a temporary one where it is unset (tests)."""
+    path = spark.conf.get("spark.checkpoint.dir", None)
+    if not path:
+        path = "file://" + os.path.join(tempfile.gettempdir(), "checkpoints")
+    return path.rstrip("/")
+
+
+def stage(df: DataFrame, by: str | None = None) -> DataFrame:
+    """Write df to the shared folder and read it back, which cuts lineage and survives lost executors."""
+    path = f"{shared_dir(df.sparkSession)}/hubgraph-{uuid.uuid4().hex}"
+    (df.write.partitionBy(by) if by else df.write).parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)
