@@ -24,8 +24,8 @@ def identify_language(spark, docs, sf_dir):
 
 
 def drop_near_duplicates(spark, docs, sf_dir):
-    """Of each group of near-duplicates the document with the smallest doc_id stays, one row of it."""
-    groups = simhash.simhash_components(docs)
+    """Of each group of near-duplicates (five-word shingles, similarity 0.8 or more) the document with the smallest doc_id stays, one row of it."""
+    groups = simhash.near_duplicate_groups(docs)
     kept = groups.where(F.col("doc_id").eqNullSafe(F.col("component_id"))).select("doc_id").distinct()
     one = Window.partitionBy("doc_id").orderBy("text", "lang", "source", "n_chars")
     return docs.join(kept, docs.doc_id.eqNullSafe(kept.doc_id), "left_semi").withColumn("copy", F.row_number().over(one)).where("copy = 1").drop("copy")

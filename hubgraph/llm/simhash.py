@@ -17,9 +17,11 @@ import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
-from hubgraph.llm.common import stage
+from hubgraph.llm.common import LOWER, Rolling, flat, mix, slices, stage
 from hubgraph.llm.components import connected_components
+from hubgraph.llm.ctw import tokens
 
 GENERATOR = 0b101011100011  # generator polynomial of the (23,12) Golay code
 WIDTH, SEGMENTS = 23, ((0, 23), (23, 23), (46, 18))
@@ -198,3 +200,79 @@ def simhash_components(docs: DataFrame) -> DataFrame:
 def near_duplicate_report(docs: DataFrame) -> DataFrame:
     """The digest of query op5."""
     return simhash_components(docs).select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
+
+
+SHINGLE, SIMILARITY, CHUNK, CHUNKS, SKETCH = 5, 0.8, 16, 6, 256
+_GRAMS = Rolling(0xA0761D6478BD642F)
+
+
+def _sketches(batches):
+    """Of each text: fingerprints of the CHUNKS content-defined chunks of least hash, and the least shingle hashes.
+
+    A chunk ends at a shingle whose hash is divisible by CHUNK; its fingerprint is the SimHash of its shingles.
+    """
+    for b in slices(batches, "text", 2_000_000):
+        data, off = flat(b.column("text"))
+        word, doc = tokens(LOWER[data], off)
+        first = np.searchsorted(doc, np.arange(b.num_rows + 1))
+        prefix = _GRAMS.prefix(word)
+        size = np.diff(first)
+        starts = np.maximum(size - SHINGLE + 1, np.minimum(size, 1))  # a shorter text is one shingle
+        row = np.repeat(np.arange(b.num_rows), starts)
+        at = first[row] + np.arange(len(row)) - np.repeat(np.cumsum(starts) - starts, starts)
+        h = _GRAMS.spans(prefix, at, np.minimum(at + SHINGLE, first[row + 1]))
+        chunks, sketches = [[] for _ in range(b.num_rows)], [[] for _ in range(b.num_rows)]
+        if len(h):
+            bound = np.r_[0, np.cumsum(starts)]
+            cut = np.unique(np.r_[bound[:-1][starts > 0], np.nonzero(h % np.uint64(CHUNK) == 0)[0]])
+            bits = np.unpackbits(h.astype("<u8").view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").astype(np.int32)
+            ones = np.add.reduceat(bits, cut, axis=0)
+            many = np.diff(np.r_[cut, len(h)])
+            fp = np.packbits(2 * ones > many[:, None], axis=1, bitorder="little").view("<u8").ravel()
+            owner = row[cut]
+            at = np.searchsorted(owner, np.arange(b.num_rows + 1))
+            for i in range(b.num_rows):
+                own = np.unique(fp[at[i] : at[i + 1]])
+                chunks[i] = own[np.argsort(mix(own))[:CHUNKS]].view(np.int64)
+                sketches[i] = np.unique(h[bound[i] : bound[i + 1]])[:SKETCH].view(np.int64)
+        yield pa.RecordBatch.from_arrays([b.column("doc_id"), pa.array(chunks, pa.list_(pa.int64())), pa.array(sketches, pa.list_(pa.int64()))], ["doc_id", "chunks", "sketch"])
+
+
+def _alike(batches):
+    """Pairs whose share of common shingles, over the least hashes of their union, is SIMILARITY or more."""
+    for b in batches:
+        keep = []
+        for x, y in zip(b.column("x").to_pylist(), b.column("y").to_pylist(), strict=True):
+            x, y = np.array(x, np.int64).view(np.uint64), np.array(y, np.int64).view(np.uint64)
+            union = np.union1d(x, y)
+            if SKETCH in (len(x), len(y)):  # a full sketch is cut: only the least hashes of the union are known
+                union = union[:SKETCH]
+            both = np.isin(union, x) & np.isin(union, y)
+            keep.append(len(union) > 0 and both.sum() >= SIMILARITY * len(union))
+        yield pa.RecordBatch.from_arrays([b.column("a"), b.column("b")], ["a", "b"]).filter(pa.array(keep, pa.bool_()))
+
+
+def near_duplicate_groups(docs: DataFrame) -> DataFrame:
+    """(doc_id, component_id) of docs (doc_id, text, ...): groups of five-word shingle similarity 0.8 or more.
+
+    Links are those of simhash_components, joined by pairs that share a chunk fingerprint and pass the similarity
+    test on their sketches (exact up to SKETCH shingles). Within a fingerprint each document is held against the first
+    one and against its neighbours by size and id, never against all. doc_id is taken as unique; a null one groups by
+    itself. Empty texts have no shingles and link by their fingerprint.
+    """
+    groups = simhash_components(docs)
+    sketches = stage(docs.select("doc_id", "text").where("doc_id is not null").mapInArrow(_sketches, "doc_id long, chunks array<long>, sketch array<long>"))
+    # Copies meet as one: only the first document of each sketch and chunk set looks for others.
+    unique = sketches.groupBy(F.xxhash64("sketch", "chunks").alias("sign")).agg(F.min("doc_id").alias("doc_id"))
+    same = sketches.select("doc_id", F.xxhash64("sketch", "chunks").alias("sign")).join(unique.withColumnRenamed("doc_id", "b"), "sign").where("doc_id <> b").select(F.col("doc_id").alias("a"), "b")
+    rows = sketches.join(unique.select("doc_id"), "doc_id", "left_semi").select("doc_id", F.size("sketch").alias("n"), F.explode("chunks").alias("fp"))
+    shared = rows.groupBy("fp").agg(F.count("*").alias("k"), F.min("doc_id").alias("head")).where("k > 1")
+    by = Window.partitionBy("fp").orderBy("n", "doc_id")
+    near = rows.join(shared, "fp").withColumn("before", F.lag("doc_id").over(by))
+    pairs = near.select(F.col("doc_id").alias("a"), F.explode(F.array("head", "before")).alias("b")).where("b is not null and a <> b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct()
+    held = sketches.select("doc_id", "sketch")
+    joined = pairs.join(held.select(F.col("doc_id").alias("a"), F.col("sketch").alias("x")), "a").join(held.select(F.col("doc_id").alias("b"), F.col("sketch").alias("y")), "b")
+    alike = joined.select("a", "b", "x", "y").mapInArrow(_alike, "a long, b long")
+    links = alike.union(same).union(groups.where("doc_id <> component_id").select("doc_id", "component_id"))
+    labels = connected_components(links)
+    return docs.select("doc_id").join(labels.withColumnRenamed("node", "doc_id"), "doc_id", "left").select("doc_id", F.coalesce("label", "doc_id").alias("component_id"))
