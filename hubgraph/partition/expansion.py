@@ -49,11 +49,12 @@ def _claims(rows: DataFrame, load: DataFrame) -> DataFrame:
     return rows.join(F.broadcast(load), "part").groupBy("eid").agg(F.min(packed).alias("claim")).select("eid", (F.col("claim") % 4096).cast("int").alias("part"))
 
 
-def expand(graph: PropertyGraph, parts: int, *, steer: bool, lambda0: float = 0.1, alpha: float = 1.0, beta: float = 1.0, tau: float = 1.1, max_rounds: int = 200, tail: float = 0.02) -> PartitionResult:
+def expand(graph: PropertyGraph, parts: int, *, steer: bool, lambda0: float = 0.1, alpha: float = 1.0, beta: float = 1.0, tau: float = 1.1, max_rounds: int = 200, tail: float = 0.02, round_share: float = 0.1) -> PartitionResult:
     """Edges (eid, src, dst, part) and the trace of rounds.
 
     When no more than the share `tail` of the edges is free, or after max_rounds, each of the rest goes in one pass to
-    its ends' least loaded part. A part whose boundary is empty while edges are free starts again at another vertex.
+    its ends' least loaded part. In a round a part takes vertices of about round_share of its fair share of edges at
+    most, so that steering can act before a part runs away. A part whose boundary is empty while edges are free starts again at another vertex.
     """
     spark = graph.edges.sparkSession
     every = stage(graph.edges.select("eid", "src", "dst"))
@@ -84,7 +85,10 @@ def expand(graph: PropertyGraph, parts: int, *, steer: bool, lambda0: float = 0.
         # Degree histogram of each part, cut where the quota is met; only the cut degree itself is ranked.
         histogram = boundary.groupBy("part", "d").agg(F.count("*").alias("n"))
         below = F.sum("n").over(Window.partitionBy("part").orderBy("d")) - F.col("n")
-        cuts = histogram.withColumn("below", below).join(F.broadcast(want), "part").where("below < quota").select("part", "d", (F.col("quota") - F.col("below")).alias("room"), "n")
+        ends_below = F.sum(F.col("n") * F.col("d")).over(Window.partitionBy("part").orderBy("d")) - F.col("n") * F.col("d")
+        cap = max(1.0, round_share * total / parts)
+        room = F.least(F.col("quota") - F.col("below"), F.greatest(F.lit(1), F.ceil((F.lit(cap) - F.col("ends_below")) / F.col("d"))))
+        cuts = histogram.withColumn("below", below).withColumn("ends_below", ends_below).join(F.broadcast(want), "part").where((F.col("below") < F.col("quota")) & (F.col("ends_below") < cap)).select("part", "d", room.alias("room"), "n")
         chosen = boundary.join(cuts, ["part", "d"])
         whole = chosen.where("n <= room").select("vid", "part")
         rank = F.row_number().over(Window.partitionBy("part", "d").orderBy(bits("q", "vid"), "vid"))
