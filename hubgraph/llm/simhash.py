@@ -211,7 +211,7 @@ def _sketches(batches):
 
     A chunk ends at a shingle whose hash is divisible by CHUNK; its fingerprint is the SimHash of its shingles.
     """
-    for b in slices(batches, "text", 2_000_000):
+    for b in slices(batches, "text", 500_000):
         data, off = flat(b.column("text"))
         word, doc = tokens(LOWER[data], off)
         first = np.searchsorted(doc, np.arange(b.num_rows + 1))
@@ -225,8 +225,8 @@ def _sketches(batches):
         if len(h):
             bound = np.r_[0, np.cumsum(starts)]
             cut = np.unique(np.r_[bound[:-1][starts > 0], np.nonzero(h % np.uint64(CHUNK) == 0)[0]])
-            bits = np.unpackbits(h.astype("<u8").view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").astype(np.int32)
-            ones = np.add.reduceat(bits, cut, axis=0)
+            bits = np.unpackbits(h.astype("<u8").view(np.uint8).reshape(-1, 8), axis=1, bitorder="little")
+            ones = np.add.reduceat(bits, cut, axis=0, dtype=np.int32)
             many = np.diff(np.r_[cut, len(h)])
             fp = np.packbits(2 * ones > many[:, None], axis=1, bitorder="little").view("<u8").ravel()
             owner = row[cut]
@@ -242,8 +242,9 @@ def _alike(batches):
     """Pairs whose share of common shingles, over the least hashes of their union, is SIMILARITY or more."""
     for b in batches:
         keep = []
-        for x, y in zip(b.column("x").to_pylist(), b.column("y").to_pylist(), strict=True):
-            x, y = np.array(x, np.int64).view(np.uint64), np.array(y, np.int64).view(np.uint64)
+        xs, ys = ((c.offsets.to_numpy(), c.values.to_numpy().view(np.uint64)) for c in (b.column("x"), b.column("y")))
+        for i in range(b.num_rows):
+            x, y = (values[off[i] : off[i + 1]] for off, values in (xs, ys))
             union = np.union1d(x, y)
             if SKETCH in (len(x), len(y)):  # a full sketch is cut: only the least hashes of the union are known
                 union = union[:SKETCH]
