@@ -19,7 +19,10 @@ RULES = {
     2: {"pem": r"-----BEGIN [A-Z ]*PRIVATE KEY-----"},
 }
 KINDS = {kind: (version, pattern) for version, rules in RULES.items() for kind, pattern in rules.items()}
-EMPTY = F.array().cast("array<struct<start:bigint,k:int,kind:string,end:bigint>>")
+
+
+def _empty() -> Column:
+    return F.array().cast("array<struct<start:bigint,k:int,kind:string,end:bigint>>")
 
 
 def _spans(text: Column, kind: str) -> Column:
@@ -31,7 +34,7 @@ def _spans(text: Column, kind: str) -> Column:
     sizes = F.transform(hits, F.length)
     values = F.transform(F.regexp_extract_all(text, pattern, F.lit(2)), F.length) if kind == "assign" else sizes
     zipped = F.arrays_zip(F.slice(gaps, F.lit(1), F.size(hits)).alias("gap"), sizes.alias("size"), values.alias("value"))
-    start = F.struct(F.lit(0).cast("bigint").alias("at"), EMPTY.alias("out"))
+    start = F.struct(F.lit(0).cast("bigint").alias("at"), _empty().alias("out"))
 
     def step(acc, x):
         begin = acc.at + x["gap"]
@@ -39,7 +42,7 @@ def _spans(text: Column, kind: str) -> Column:
         keep = x["value"] >= 6 if kind == "assign" else F.lit(True)
         return F.struct((begin + x["size"]).cast("bigint").alias("at"), F.when(keep, F.concat(acc.out, F.array(span))).otherwise(acc.out).alias("out"))
 
-    return F.when(F.regexp_like(text, pattern), F.aggregate(zipped, start, step, lambda a: a.out)).otherwise(EMPTY)
+    return F.when(F.regexp_like(text, pattern), F.aggregate(zipped, start, step, lambda a: a.out)).otherwise(_empty())
 
 
 def scan(blobs: DataFrame, version: int) -> DataFrame:
@@ -76,7 +79,7 @@ def findings(docs: DataFrame, ledger: DataFrame, versions=tuple(RULES)) -> DataF
     known = ledger.where(F.col("version").isin(*versions)).where(F.size("spans") > 0)
     known = known.groupBy("blob").agg(F.array_sort(F.flatten(F.collect_list("spans"))).alias("spans"))
     # The text is not moved: each row goes by its address.
-    return addressed(docs).drop("text").join(known, "blob", "left").withColumn("spans", F.coalesce("spans", EMPTY))
+    return addressed(docs).drop("text").join(known, "blob", "left").withColumn("spans", F.coalesce("spans", _empty()))
 
 
 def _digest(spans: Column) -> Column:

@@ -113,6 +113,10 @@ class RunLengthIndex:
 
     def equal(self, a: np.ndarray, b: np.ndarray, length: int) -> np.ndarray:
         """Do the suffixes at a and b agree on `length` bytes?"""
+        if length < min(self.depth_ranks):
+            at = [np.minimum(x[:, None] + np.arange(length), self.n - 1) for x in (a, b)]
+            same = self.text[at[0]] == self.text[at[1]]
+            return (same & (self.text[at[0]] > 0)).all(1)
         depth = max(d for d in self.depth_ranks if d <= length)
         r = self.depth_ranks[depth]
         ok = np.ones(len(a), bool)
