@@ -206,12 +206,13 @@ class ToxicityModel:
 
 def labelled_sample(docs: DataFrame, labels: DataFrame) -> list[tuple[str, int]]:
     """A bounded sample of (text, toxic), the rows of each label with the smallest hash of their text."""
-    # Labels are narrow: the sample is drawn on ids before any text is moved.
-    rows = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text")).join(labels.select("doc_id", "toxic").where("toxic in (0, 1)").dropDuplicates(["doc_id"]), "doc_id")
-    rows = rows.select("text", "toxic", F.xxhash64("text").alias("h"))
-    held = []
-    for y, n in SAMPLE.items():
-        held += [(r.h, r.text, y) for r in rows.where(F.col("toxic") == y).orderBy("h").limit(n).collect()]
+    # The sample is drawn on ids and hashes; only its texts are fetched, by ids whose number SAMPLE bounds.
+    known = labels.select("doc_id", "toxic").where("toxic in (0, 1)").dropDuplicates(["doc_id"])
+    hashed = docs.select("doc_id", F.xxhash64(F.coalesce("text", F.lit(""))).alias("h")).join(known, "doc_id")
+    drawn = [(r.doc_id, y) for y, n in SAMPLE.items() for r in hashed.where(F.col("toxic") == y).orderBy("h", "doc_id").limit(n).collect()]
+    ids = docs.sparkSession.createDataFrame(drawn, "doc_id long, toxic int").dropDuplicates(["doc_id"])
+    rows = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text")).join(F.broadcast(ids), "doc_id")
+    held = [(r.h, r.text, r.toxic) for r in rows.select(F.xxhash64("text").alias("h"), "text", "toxic").collect()]
     return [(t, y) for _, t, y in sorted(held)]
 
 
