@@ -20,7 +20,7 @@ import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from hubgraph.llm.common import BYTE_VALUES, LOWER, U64, Rolling, flat, id_crc, slices, stage
+from hubgraph.llm.common import BYTE_VALUES, LOWER, U64, Rolling, flat, id_crc, in_arrow, slices, stage
 
 DEPTH, END = 4, 255
 #: Entries (context and byte) that the model may hold; beyond it the depth falls to 2, where 2**24 is a proven bound.
@@ -304,7 +304,7 @@ class ContextTree:
 
 def train_tree(docs: DataFrame) -> ContextTree:
     """The tree over all bytes of all docs: counted on the executors, added up in one shuffle."""
-    counts = docs.select("text").mapInArrow(_count, "code long, n long").groupBy("code").agg(F.sum("n").alias("n"))
+    counts = docs.select("text").transform(in_arrow, _count, "code long, n long").groupBy("code").agg(F.sum("n").alias("n"))
     counts, depth = stage(counts), DEPTH
     if counts.count() > ENTRIES:
         depth = 2
@@ -325,9 +325,9 @@ def score_texts(docs: DataFrame, train) -> DataFrame:
     docs = docs.select("doc_id", F.coalesce(F.col("doc_id").cast("long"), F.lit(-(1 << 63))).alias("d"), F.coalesce("text", F.lit("")).alias("text"), F.coalesce(train, F.lit(False)).alias("train"))
     docs = docs.withColumn("th", F.xxhash64("text"))
     ranges = 1 << (4 * int(spark.conf.get("spark.sql.shuffle.partitions"))).bit_length()
-    asked = docs.select("d", "th", "text", "train").mapInArrow(_ask(ranges), "p int, slice string, blob binary")
-    answers = stage(asked.repartition("p", F.when(F.col("p") < 0, F.col("slice"))).sortWithinPartitions("p").mapInArrow(_own, "slice string, blob binary, distinct long"))
-    counted = stage(answers.where("slice is not null").select("slice", "blob").repartition("slice").sortWithinPartitions("slice").mapInArrow(_gather, "d long, th long, train boolean, words long, s double, known long"))
+    asked = docs.select("d", "th", "text", "train").transform(in_arrow, _ask(ranges), "p int, slice string, blob binary")
+    answers = stage(asked.repartition("p", F.when(F.col("p") < 0, F.col("slice"))).sortWithinPartitions("p").transform(in_arrow, _own, "slice string, blob binary, distinct long"))
+    counted = stage(answers.where("slice is not null").select("slice", "blob").repartition("slice").sortWithinPartitions("slice").transform(in_arrow, _gather, "d long, th long, train boolean, words long, s double, known long"))
     totals = counted.where("train").agg(F.coalesce(F.sum(F.col("words") + 1), F.lit(0)).alias("n"), F.count("*").alias("ends")).first()
     distinct = answers.agg(F.coalesce(F.sum("distinct"), F.lit(0)).alias("v")).first().v + (totals.ends > 0)
     # Rows that repeat both id and text answer once each: their sums are shared out again.
@@ -340,7 +340,7 @@ def score_texts(docs: DataFrame, train) -> DataFrame:
             score = tree.value.score(LOWER[data], off)
             yield pa.RecordBatch.from_arrays([b.column("doc_id"), b.column("d"), b.column("th"), b.column("train"), pa.array(score), pa.array(np.diff(off))], ["doc_id", "d", "th", "train", "score", "bytes"])
 
-    scored = docs.mapInArrow(run, "doc_id long, d long, th long, train boolean, score double, bytes long")
+    scored = docs.transform(in_arrow, run, "doc_id long, d long, th long, train boolean, score double, bytes long")
     n_tokens = (F.round("words") + 1).cast("long")
     scale = math.log10(totals.n + 0.1 * (distinct + 1))
     end = math.log10(totals.ends + 0.1)

@@ -10,7 +10,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from hubgraph.llm.common import BYTE_VALUES, LOWER, U64, Rolling, flat, mix, slices, stage
+from hubgraph.llm.common import BYTE_VALUES, LOWER, U64, Rolling, flat, in_arrow, mix, slices, stage
 
 WINDOW = 10
 #: Characters of benchmark text that may be broadcast; a larger benchmark is scanned in blocks of this size.
@@ -139,7 +139,7 @@ def decontaminate(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, *
     schema = "doc_id long, n_words long, items array<string>, hits array<int>" + ", text string" * clean
     if total <= block_chars:
         held = [tuple(r) for r in items.orderBy("id", "text").collect()]
-        found = docs.mapInArrow(_scanner(held, window, clean), schema)
+        found = docs.transform(in_arrow, _scanner(held, window, clean), schema)
     else:
         if clean:
             raise ValueError("clean=True needs a benchmark within block_chars")
@@ -148,7 +148,7 @@ def decontaminate(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, *
         parts = None
         for k in range(blocks):
             held = [(r.id, r.text) for r in placed.where(F.col("block") == k).orderBy("id", "text").toLocalIterator()]
-            part = docs.mapInArrow(_scanner(held, window, False), schema)
+            part = docs.transform(in_arrow, _scanner(held, window, False), schema)
             parts = part if parts is None else parts.unionByName(part)
         found = parts.groupBy("doc_id").agg(F.max("n_words").alias("n_words"), F.array_sort(F.array_distinct(F.flatten(F.collect_list("items")))).alias("items"), F.array_distinct(F.flatten(F.collect_list("hits"))).alias("hits"))
     return found.withColumn("n_hit", F.size("hits").cast("long"))

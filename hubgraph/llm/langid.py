@@ -16,7 +16,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from hubgraph.llm.common import id_crc, slices
+from hubgraph.llm.common import id_crc, in_arrow, slices
 
 UNKNOWN = "und"
 #: Bounds of the labelled sample: documents a language, characters a document and characters a language.
@@ -106,7 +106,7 @@ class LanguageModel:
         points = _points("".join(texts))
         off = np.r_[0, np.cumsum(size)]
         has = np.r_[0, np.cumsum(self.letter[points])]
-        codes = self.code[points].astype(np.int64)
+        codes = self.code[points]
         pieces = -(-size // PIECE)
         doc = np.repeat(np.arange(len(texts)), pieces)
         at = off[:-1][doc] + PIECE * (np.arange(len(doc)) - np.repeat(np.cumsum(pieces) - pieces, pieces))
@@ -115,7 +115,7 @@ class LanguageModel:
         doc, at, length = doc[order], at[order], length[order]
         live = len(length) - np.searchsorted(length[::-1], np.arange(PIECE), side="right")  # lanes longer than the step
         bits = np.zeros((len(texts), len(self.names)))
-        lanes = np.zeros((int(length.max(initial=0)), len(doc)), np.int64)
+        lanes = np.zeros((int(length.max(initial=0)), len(doc)), np.uint8)
         for t in range(len(lanes)):
             lanes[t, : live[t]] = codes[at[: live[t]] + t]
         for k, automaton in enumerate(self.automata):
@@ -149,7 +149,7 @@ def sample_languages(labelled: DataFrame) -> dict[str, str]:
     return {k: " ".join(t for _, t in sorted(v))[:LANG_CHARS] for k, v in held.items()}
 
 
-@lru_cache(2)
+@lru_cache(1)
 def _model(key: str, samples: tuple) -> LanguageModel:
     return LanguageModel(dict(samples))
 
@@ -168,11 +168,11 @@ def predict_languages(docs: DataFrame, samples: dict[str, str]) -> DataFrame:
 
     def run(batches):
         model = _model(key, items)
-        for b in slices(batches, "text", 4_000_000):
+        for b in slices(batches, "text", 1_000_000):
             names, score = model.predict([t or "" for t in b.column("text").to_pylist()])
             yield pa.RecordBatch.from_arrays([*b.columns, pa.array(names, pa.string()), pa.array(score, pa.float64())], [*kept, "lang_pred", "score"])
 
-    return docs.mapInArrow(run, schema)
+    return docs.transform(in_arrow, run, schema)
 
 
 def language_report(docs: DataFrame) -> DataFrame:

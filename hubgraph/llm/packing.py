@@ -12,7 +12,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from hubgraph.llm.common import Rolling, slices, stage
+from hubgraph.llm.common import Rolling, in_arrow, slices, stage
 
 CAPACITY, END_ID = 1024, 2
 # Classes of code points for the tokenizer's pre-splitting.
@@ -107,7 +107,7 @@ def encode_block(texts: list[str], path: str) -> tuple[np.ndarray, np.ndarray]:
 
 def _pieces(path: str, capacity: int, with_ids: bool):
     def run(batches):
-        for b in slices(batches, "text", 3_000_000):
+        for b in slices(batches, "text", 1_000_000):
             ids, off = encode_block([t or "" for t in b.column("text").to_pylist()], path)
             doc, piece, start, length, crc, held = [], [], [], [], [], []
             for row, d in enumerate(b.column("doc_id").to_pylist()):
@@ -253,7 +253,7 @@ def pack(docs: DataFrame, ranks_path: str, capacity: int = CAPACITY, *, with_ids
     """
     schema = "doc_id long, piece int, start long, length long, ids_crc32 long" + ", ids array<int>" * with_ids
     spark = docs.sparkSession
-    pieces = stage(docs.select("doc_id", "text").mapInArrow(_pieces(ranks_path, capacity, with_ids), schema))
+    pieces = stage(docs.select("doc_id", "text").transform(in_arrow, _pieces(ranks_path, capacity, with_ids), schema))
     histogram = {r.length: r.n for r in pieces.groupBy("length").agg(F.count("*").alias("n")).collect()}
     plan, sequence = [], histogram.get(capacity, 0)
     taken: dict[int, int] = {}

@@ -19,7 +19,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from hubgraph.llm.common import LOWER, Rolling, flat, mix, slices, stage
+from hubgraph.llm.common import LOWER, Rolling, flat, in_arrow, mix, slices, stage
 from hubgraph.llm.components import connected_components
 from hubgraph.llm.ctw import tokens
 
@@ -186,10 +186,10 @@ def simhash_components(docs: DataFrame) -> DataFrame:
     a component_id unless nothing else is there. Repeated rows stay. An empty table gives an empty result; other
     columns are ignored. Copies meet as one fingerprint, so no group of copies is ever expanded.
     """
-    prints = stage(docs.select("doc_id", "text").mapInArrow(_prints, "doc_id long, fp long"))
+    prints = stage(docs.select("doc_id", "text").transform(in_arrow, _prints, "doc_id long, fp long"))
     unique = stage(prints.groupBy("fp").agg(F.min("doc_id").alias("low")))
-    keyed = unique.select("fp").mapInArrow(_keys, "key long, fp long")
-    links = keyed.repartition("key").sortWithinPartitions("key", "fp").mapInArrow(_links, "a long, b long")
+    keyed = unique.select("fp").transform(in_arrow, _keys, "key long, fp long")
+    links = keyed.repartition("key").sortWithinPartitions("key", "fp").transform(in_arrow, _links, "a long, b long")
     labels = connected_components(links)
     owner = unique.join(labels.withColumnRenamed("node", "fp"), "fp", "left").select("fp", "low", F.coalesce("label", "fp").alias("label"))
     lowest = owner.groupBy("label").agg(F.min("low").alias("component_id"))
@@ -262,7 +262,7 @@ def near_duplicate_groups(docs: DataFrame) -> DataFrame:
     itself. Empty texts have no shingles and link by their fingerprint.
     """
     groups = simhash_components(docs)
-    sketches = stage(docs.select("doc_id", "text").where("doc_id is not null").mapInArrow(_sketches, "doc_id long, chunks array<long>, sketch array<long>"))
+    sketches = stage(docs.select("doc_id", "text").where("doc_id is not null").transform(in_arrow, _sketches, "doc_id long, chunks array<long>, sketch array<long>"))
     # Copies meet as one: only the first document of each sketch and chunk set looks for others.
     unique = sketches.groupBy(F.xxhash64("sketch", "chunks").alias("sign")).agg(F.min("doc_id").alias("doc_id"))
     same = sketches.select("doc_id", F.xxhash64("sketch", "chunks").alias("sign")).join(unique.withColumnRenamed("doc_id", "b"), "sign").where("doc_id <> b").select(F.col("doc_id").alias("a"), "b")
@@ -273,7 +273,7 @@ def near_duplicate_groups(docs: DataFrame) -> DataFrame:
     pairs = near.select(F.col("doc_id").alias("a"), F.explode(F.array("head", "before")).alias("b")).where("b is not null and a <> b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct()
     held = sketches.select("doc_id", "sketch")
     joined = pairs.join(held.select(F.col("doc_id").alias("a"), F.col("sketch").alias("x")), "a").join(held.select(F.col("doc_id").alias("b"), F.col("sketch").alias("y")), "b")
-    alike = joined.select("a", "b", "x", "y").mapInArrow(_alike, "a long, b long")
+    alike = joined.select("a", "b", "x", "y").transform(in_arrow, _alike, "a long, b long")
     links = alike.union(same).union(groups.where("doc_id <> component_id").select("doc_id", "component_id"))
     labels = connected_components(links)
     return docs.select("doc_id").join(labels.withColumnRenamed("node", "doc_id"), "doc_id", "left").select("doc_id", F.coalesce("label", "doc_id").alias("component_id"))
