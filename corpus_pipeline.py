@@ -26,9 +26,11 @@ def identify_language(spark, docs, sf_dir):
 def drop_near_duplicates(spark, docs, sf_dir):
     """Of each group of near-duplicates (five-word shingles, similarity 0.8 or more) the document with the smallest doc_id stays, one row of it."""
     groups = simhash.near_duplicate_groups(docs)
-    kept = groups.where(F.col("doc_id").eqNullSafe(F.col("component_id"))).select("doc_id").distinct()
-    one = Window.partitionBy("doc_id").orderBy("text", "lang", "source", "n_chars")
-    return docs.join(kept, docs.doc_id.eqNullSafe(kept.doc_id), "left_semi").withColumn("copy", F.row_number().over(one)).where("copy = 1").drop("copy")
+    key = F.coalesce(F.col("doc_id").cast("string"), F.lit(""))  # one exchange of the texts serves the join and the window
+    kept = groups.where(F.col("doc_id").eqNullSafe(F.col("component_id"))).select(key.alias("key_of_row")).distinct()
+    one = Window.partitionBy("key_of_row").orderBy("text", "lang", "source", "n_chars")
+    rows = docs.withColumn("key_of_row", key).join(kept, "key_of_row", "left_semi")
+    return rows.withColumn("copy_of_row", F.row_number().over(one)).where("copy_of_row = 1").select(*docs.columns)
 
 
 def drop_contaminated(spark, docs, sf_dir):

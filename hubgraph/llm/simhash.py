@@ -266,7 +266,8 @@ def near_duplicate_groups(docs: DataFrame) -> DataFrame:
     # Copies meet as one: only the first document of each sketch and chunk set looks for others.
     unique = sketches.groupBy(F.xxhash64("sketch", "chunks").alias("sign")).agg(F.min("doc_id").alias("doc_id"))
     same = sketches.select("doc_id", F.xxhash64("sketch", "chunks").alias("sign")).join(unique.withColumnRenamed("doc_id", "b"), "sign").where("doc_id <> b").select(F.col("doc_id").alias("a"), "b")
-    rows = sketches.join(unique.select("doc_id"), "doc_id", "left_semi").select("doc_id", F.size("sketch").alias("n"), F.explode("chunks").alias("fp"))
+    sizes = sketches.select("doc_id", F.size("sketch").alias("n"), "chunks")  # no sketch goes through this join
+    rows = sizes.join(unique.select("doc_id"), "doc_id", "left_semi").select("doc_id", "n", F.explode("chunks").alias("fp"))
     shared = rows.groupBy("fp").agg(F.count("*").alias("k"), F.min("doc_id").alias("head")).where("k > 1")
     by = Window.partitionBy("fp").orderBy("n", "doc_id")
     near = rows.join(shared, "fp").withColumn("before", F.lag("doc_id").over(by))
