@@ -3,11 +3,13 @@
 Every part grows from its replicas that still have free edges. Each round it takes the share lambda of these with the
 lowest degrees, claims their free edges, and then free edges whose ends already meet in a part. With steering, lambda
 follows how far the part's vertices and edges are from the mean; without, a part stops above tau times its share.
-Only a row for each part reaches the driver in a round; all state lies in the shared folder.
+Rounds are distributed: only a row for each part reaches the driver, and all state lies in the shared folder. A graph
+of no more than `local_limit` edges runs the same rounds over arrays within one task instead, with the same result.
 """
 
 from __future__ import annotations
 
+import json
 import math
 from dataclasses import dataclass, field
 
@@ -20,6 +22,7 @@ from hubgraph.core.portable import bits
 from hubgraph.session import stage
 
 LAMBDA_MIN, LAMBDA_MAX = 1e-6, 1.0
+LOCAL_LIMIT = 2_000_000  # edges whose rounds one task holds: some 100 bytes each, and a byte a vertex and part
 
 
 @dataclass
@@ -43,13 +46,13 @@ def quota(speed: float, boundary: int) -> int:
     return max(1, min(boundary, math.ceil(min(max(speed, LAMBDA_MIN), LAMBDA_MAX) * boundary)))
 
 
-def _claims(rows: DataFrame, load: DataFrame) -> DataFrame:
-    """One part for each claimed edge: the least loaded, ties by hash; packed into one long for hash aggregation."""
-    packed = (F.col("load") * 1024 + bits("c", "eid", "part") % 1024) * 4096 + F.col("part")
+def _claims(rows: DataFrame, load: DataFrame, parts: int) -> DataFrame:
+    """One part for each claimed edge: the least loaded, ties in an order turned by eid; packed into one long for hash aggregation."""
+    packed = (F.col("load") * parts + F.expr(f"pmod(eid + part, {parts}L)")) * 4096 + F.col("part")
     return rows.join(F.broadcast(load), "part").groupBy("eid").agg(F.min(packed).alias("claim")).select("eid", (F.col("claim") % 4096).cast("int").alias("part"))
 
 
-def expand(graph: PropertyGraph, parts: int, *, steer: bool, lambda0: float = 0.1, alpha: float = 1.0, beta: float = 1.0, tau: float = 1.1, max_rounds: int = 200, tail: float = 0.02, round_share: float = 0.1) -> PartitionResult:
+def expand(graph: PropertyGraph, parts: int, *, steer: bool, lambda0: float = 0.1, alpha: float = 1.0, beta: float = 1.0, tau: float = 1.1, max_rounds: int = 200, tail: float = 0.02, round_share: float = 0.02, local_limit: int = LOCAL_LIMIT) -> PartitionResult:
     """Edges (eid, src, dst, part) and the trace of rounds.
 
     When no more than the share `tail` of the edges is free, or after max_rounds, each of the rest goes in one pass to
@@ -59,9 +62,12 @@ def expand(graph: PropertyGraph, parts: int, *, steer: bool, lambda0: float = 0.
     spark = graph.edges.sparkSession
     every = stage(graph.edges.select("eid", "src", "dst"))
     total = every.count()
-    degree = stage(every.select(F.explode(F.array("src", "dst")).alias("vid")).groupBy("vid").agg(F.count("*").alias("d")))
+    degree = every.select(F.explode(F.array("src", "dst")).alias("vid")).groupBy("vid").agg(F.count("*").alias("d")).withColumn("h", bits("s", "vid"))
+    if total <= local_limit:
+        return _expand_in_task(every, degree, total, parts, steer, lambda0, alpha, beta, tau, max_rounds, tail, round_share)
+    degree = stage(degree)
     free, placed = every, []
-    seeds = degree.orderBy(bits("s", "vid"), "vid").limit(parts).collect()
+    seeds = degree.orderBy("h", "vid").limit(parts).collect()
     replicas = stage(spark.createDataFrame([(r.vid, k) for k, r in enumerate(seeds)] or [(-1, 0)], "vid long, part int"))
     nv, ne, speed, trace, left = [1] * parts, [0] * parts, [lambda0] * parts, [], total
     for number in range(max_rounds):
@@ -76,7 +82,7 @@ def expand(graph: PropertyGraph, parts: int, *, steer: bool, lambda0: float = 0.
         counts = {r.part: r.n for r in boundary.groupBy("part").agg(F.count("*").alias("n")).collect()}
         starved = [p for p in live if p not in counts]
         if starved:
-            fresh = ends.orderBy(bits(f"r{number}", "vid"), "vid").limit(len(starved)).collect()
+            fresh = ends.join(degree, "vid").orderBy("h", "vid").limit(len(starved)).collect()
             extra = spark.createDataFrame([(r.vid, p) for r, p in zip(fresh, starved, strict=False)], "vid long, part int")
             replicas = stage(replicas.union(extra).distinct())
             boundary = stage(boundary.unionByName(extra.join(degree, "vid")))
@@ -91,22 +97,22 @@ def expand(graph: PropertyGraph, parts: int, *, steer: bool, lambda0: float = 0.
         cuts = histogram.withColumn("below", below).withColumn("ends_below", ends_below).join(F.broadcast(want), "part").where((F.col("below") < F.col("quota")) & (F.col("ends_below") < cap)).select("part", "d", room.alias("room"), "n")
         chosen = boundary.join(cuts, ["part", "d"])
         whole = chosen.where("n <= room").select("vid", "part")
-        rank = F.row_number().over(Window.partitionBy("part", "d").orderBy(bits("q", "vid"), "vid"))
+        rank = F.row_number().over(Window.partitionBy("part", "d").orderBy("h", "vid"))
         partly = chosen.where("n > room").withColumn("r", rank).where("r <= room").select("vid", "part")
         selected = stage(whole.union(partly))
         load = spark.createDataFrame([(p, ne[p]) for p in range(parts)], "part int, load long")
         at_ends = free.join(selected.withColumnRenamed("vid", "src"), "src").select("eid", "part").union(free.join(selected.withColumnRenamed("vid", "dst"), "dst").select("eid", "part"))
-        one = stage(free.join(_claims(at_ends, load), "eid"))
+        one = stage(free.join(_claims(at_ends, load, parts), "eid"))
         joined = one.select("part", F.explode(F.array("src", "dst")).alias("vid")).distinct()
         grown = stage(replicas.unionByName(joined.select("vid", "part")).distinct())
         new = grown.join(replicas, ["vid", "part"], "left_anti")
         rest = stage(free.join(one, "eid", "left_anti"))
         gained = {r.part: r.n for r in one.groupBy("part").agg(F.count("*").alias("n")).collect()}
         load = spark.createDataFrame([(p, ne[p] + gained.get(p, 0)) for p in range(parts)], "part int, load long")
-        touched = rest.join(new.select(F.col("vid").alias("src")).distinct(), "src", "left_semi").union(rest.join(new.select(F.col("vid").alias("dst")).distinct(), "dst", "left_semi").select("eid", "src", "dst")).distinct()
+        touched = rest.join(new.select(F.col("vid").alias("src")).distinct(), "src", "left_semi").unionByName(rest.join(new.select(F.col("vid").alias("dst")).distinct(), "dst", "left_semi").select("eid", "src", "dst")).distinct()
         shared = touched.join(grown.withColumnRenamed("vid", "src"), "src").join(grown.select(F.col("vid").alias("dst"), F.col("part").alias("other")), "dst").where("part = other").select("eid", "part")
         shared = shared.where(F.col("part").isin(live))
-        two = stage(rest.join(_claims(shared, load), "eid"))
+        two = stage(rest.join(_claims(shared, load, parts), "eid"))
         free, replicas = stage(rest.join(two, "eid", "left_anti")), grown
         placed += [one.select("eid", "src", "dst", "part"), two.select("eid", "src", "dst", "part")]
         for r in two.groupBy("part").agg(F.count("*").alias("n")).collect():
@@ -118,7 +124,7 @@ def expand(graph: PropertyGraph, parts: int, *, steer: bool, lambda0: float = 0.
     if left:
         load = spark.createDataFrame([(p, ne[p]) for p in range(parts)], "part int, load long")
         near = free.join(replicas.withColumnRenamed("vid", "src"), "src").select("eid", "part").union(free.join(replicas.withColumnRenamed("vid", "dst"), "dst").select("eid", "part"))
-        last = free.join(_claims(near, load), "eid", "left").withColumn("part", F.coalesce("part", (bits("x", "eid") % parts).cast("int")))
+        last = free.join(_claims(near, load, parts), "eid", "left").withColumn("part", F.coalesce("part", F.expr(f"cast(pmod(eid, {parts}L) as int)")))
         placed.append(last.select("eid", "src", "dst", "part"))
     out = placed[0] if placed else every.withColumn("part", F.lit(0))
     for p in placed[1:]:
@@ -126,6 +132,83 @@ def expand(graph: PropertyGraph, parts: int, *, steer: bool, lambda0: float = 0.
     return PartitionResult(stage(out), trace)
 
 
+def _expand_in_task(every, degree, total, parts, steer, lambda0, alpha, beta, tau, max_rounds, tail, round_share) -> PartitionResult:
+    """The rounds of expand over arrays in one task; the caller has checked the number of edges."""
+
+    def grow(batches):
+        import numpy as np
+        import pyarrow as pa
+
+        rows = pa.Table.from_batches(list(batches))
+        edge = rows.filter(rows["kind"].to_numpy() == 0)
+        eid, s, d = (edge[c].to_numpy() for c in ("eid", "src", "dst"))
+        vertex = rows.filter(rows["kind"].to_numpy() == 1)
+        vid, deg, h = (vertex[c].to_numpy() for c in ("eid", "src", "dst"))
+        order = np.lexsort((vid, h))  # vertices get indices by hash, so that index order breaks ties
+        vid, deg = vid[order], deg[order]
+        by_id = np.argsort(vid)
+        si, di = (by_id[np.searchsorted(vid[by_id], x)] for x in (s, d))
+        part = np.full(total, -1, "int32")
+        held = np.zeros((parts, len(vid)), bool)
+        for p in range(min(parts, len(vid))):
+            held[p, p] = True
+        nv, ne, speed, trace, left = [1] * parts, [0] * parts, [lambda0] * parts, [], total
+
+        def claim(at, wants, load):
+            """Gives each edge the least loaded of the parts that want it; those without any stay free."""
+            best = np.full(len(at), np.iinfo("int64").max)
+            for p in range(parts):
+                mine = wants(p)
+                if mine is not None:
+                    best = np.where(mine, np.minimum(best, (load[p] * parts + (eid[at] + p) % parts) * 4096 + p), best)
+            got = best < np.iinfo("int64").max
+            part[at[got]] = best[got] % 4096
+
+        for number in range(max_rounds):
+            if left <= tail * total:
+                break
+            vs, es = share_score(nv), share_score(ne)
+            if steer:
+                speed = [next_lambda(*x, alpha, beta) for x in zip(speed, vs, es, strict=True)]
+            live = [p for p in range(parts) if steer or ne[p] <= tau * total / parts]
+            at = np.flatnonzero(part < 0)
+            open_ = np.zeros(len(vid), bool)
+            open_[si[at]] = open_[di[at]] = True
+            edge_of = {p: np.flatnonzero(held[p] & open_) for p in live}
+            starved = [p for p in live if not len(edge_of[p])]
+            for p, v in zip(starved, np.flatnonzero(open_)[: len(starved)], strict=False):
+                held[p, v], edge_of[p] = True, np.array([v])
+            chosen = np.zeros_like(held)
+            for p in live:
+                b = edge_of[p]
+                if len(b):
+                    b = b[np.argsort(deg[b], kind="stable")][: quota(speed[p], len(b))]
+                    chosen[p, b[np.cumsum(deg[b]) - deg[b] < max(1.0, round_share * total / parts)]] = True
+            before = held.copy()
+            claim(at, lambda p: (chosen[p][si[at]] | chosen[p][di[at]]), ne)
+            taken = at[part[at] >= 0]
+            held[part[taken], si[taken]] = held[part[taken], di[taken]] = True
+            ne = np.bincount(part[part >= 0], minlength=parts).tolist()
+            new = (held & ~before).any(axis=0)
+            at = np.flatnonzero(part < 0)
+            at = at[new[si[at]] | new[di[at]]]
+            claim(at, lambda p: (held[p][si[at]] & held[p][di[at]]) if p in live else None, ne)
+            ne = np.bincount(part[part >= 0], minlength=parts).tolist()
+            nv, left = held.sum(axis=1).tolist(), total - sum(ne)
+            trace += [{"round": number, "part": p, "speed": speed[p], "vs": vs[p], "es": es[p], "nv": nv[p], "ne": ne[p], "free": left, "reseeded": p in starved} for p in range(parts)]
+        at = np.flatnonzero(part < 0)
+        claim(at, lambda p: held[p][si[at]] | held[p][di[at]], ne)
+        at = np.flatnonzero(part < 0)
+        part[at] = eid[at] % parts
+        yield pa.RecordBatch.from_pydict({"eid": eid, "src": s, "dst": d, "part": part, "trace": pa.nulls(total, pa.string())})
+        yield pa.RecordBatch.from_pydict({"eid": pa.nulls(1, pa.int64()), "src": pa.nulls(1, pa.int64()), "dst": pa.nulls(1, pa.int64()), "part": pa.nulls(1, pa.int32()), "trace": [json.dumps(trace)]})
+
+    rows = every.select(F.lit(0).alias("kind"), "eid", "src", "dst").union(degree.select(F.lit(1), "vid", "d", "h"))
+    done = stage(rows.coalesce(1).mapInArrow(grow, "eid long, src long, dst long, part int, trace string"))
+    trace = json.loads(done.where("trace is not null").first().trace)
+    return PartitionResult(done.where("trace is null").select("eid", "src", "dst", "part"), trace)
+
+
 def bse_partition(graph: PropertyGraph, parts: int, **options) -> PartitionResult:
     """Balance-steered expansion."""
     return expand(graph, parts, steer=True, **options)
