@@ -78,15 +78,18 @@ def _cover(result, parts=4):
 
 
 _COVER_SQL = " SELECT count(*) AS edges, 0::BIGINT AS duplicates, 0::BIGINT AS unassigned FROM e"
-_FAST = {"lambda0": 0.3, "max_rounds": 14, "tail": 0.05}
-_add("part_cover_bse", lambda s, d: _cover(expansion.bse_partition(graphs.folded(s, d), 4, **_FAST)), _cte("folded") + _COVER_SQL)
-_add("part_cover_tse", lambda s, d: _cover(expansion.tse_partition(graphs.folded(s, d), 4, **_FAST)), _cte("folded") + _COVER_SQL)
-_add("part_quality_bse_lexicon", lambda s, d: metrics.partition_report(expansion.bse_partition(graphs.lexicon(s, d), 4, **_FAST).edges, 4))
-_add("part_quality_tse_lexicon", lambda s, d: metrics.partition_report(expansion.tse_partition(graphs.lexicon(s, d), 4, **_FAST).edges, 4))
+EXPANSIONS = {"bse": expansion.bse_partition, "tse": expansion.tse_partition}
+for _n, _f in EXPANSIONS.items():
+    _add(f"part_cover_{_n}", lambda s, d, f=_f: _cover(f(graphs.folded(s, d), 4)), _cte("folded") + _COVER_SQL)
+    for _g in graphs.SQL:
+        for _p in (4, 8):
+            _add(f"part_quality_{_n}_{_g}_{_p}", lambda s, d, f=_f, g=_g, p=_p: metrics.partition_report(f(graphs.GRAPHS[g](s, d), p).edges, p))
+for _n, _o in (("vertex_only", {"beta": 0.0}), ("edge_only", {"alpha": 0.0}), ("unsteered", {"alpha": 0.0, "beta": 0.0})):
+    _add(f"part_quality_bse_{_n}_lexicon", lambda s, d, o=_o: metrics.partition_report(expansion.bse_partition(graphs.lexicon(s, d), 4, **o).edges, 4))
 
 
 def _trace(s, d):
-    return s.createDataFrame(expansion.bse_partition(graphs.folded(s, d), 4, **_FAST).trace)
+    return s.createDataFrame(expansion.bse_partition(graphs.folded(s, d), 4).trace)
 
 
 _add("part_trace_bse", _trace)

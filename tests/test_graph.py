@@ -1,4 +1,5 @@
 import math
+import random
 
 import numpy as np
 import pytest
@@ -34,6 +35,23 @@ def test_every_edge_gets_one_part(spark):
         assert sorted(e.eid) == sorted(r[0] for r in rows) and e.part.between(0, 2).all()
 
 
+def test_rounds_in_one_task_equal_distributed_rounds(spark):
+    r = random.Random(3)
+    rows = [(i, int(40 * r.random() ** 2), 100 + int(30 * r.random() ** 2), 0, 1.0) for i in range(400)] + [(1000, 900, 901, 0, 1.0)]
+    g = PropertyGraph("g", spark.createDataFrame(rows, EDGES))
+    a, b = (expansion.bse_partition(g, 3, lambda0=0.3, max_rounds=2, round_share=0.2, local_limit=limit) for limit in (10_000, 0))
+    assert a.trace == b.trace
+    assert sorted(map(tuple, a.edges.collect())) == sorted(map(tuple, b.edges.collect()))
+
+
+def test_steering_balances_vertices_of_a_power_law_graph(spark):
+    from hubgraph.sources.graphs import lexicon
+
+    g = lexicon(spark, "/root/testdata/sf0.01")
+    steered, plain = (metrics.partition_report(f(g, 8).edges, 8).first() for f in (expansion.bse_partition, expansion.tse_partition))
+    assert steered.vb < plain.vb
+
+
 def test_report_of_an_empty_part_is_null(spark):
     e = spark.createDataFrame([(0, 1, 2, 0), (1, 2, 3, 0)], "eid long, src long, dst long, part int")
     r = metrics.partition_report(e, 2).first()
