@@ -82,6 +82,23 @@ def reorder(cached: DataFrame, home: DataFrame, degree: DataFrame, key: str) ->
     return keyed.select("worker", "vid", (F.row_number().over(Window.partitionBy("worker").orderBy(*ORDERS[key])) - 1).alias("lid"))
 
 
+def reorder_hub_cluster(cached: DataFrame, degree: DataFrame) -> DataFrame:
+    """(worker, vid, lid): vertices above their worker's mean degree first, each side in the order of ids."""
+    keyed = cached.join(degree, "vid").select("worker", "vid", "degree")
+    mean = keyed.groupBy("worker").agg(F.avg("degree").alias("mean"))
+    order = Window.partitionBy("worker").orderBy(F.when(F.col("degree") > F.col("mean"), 0).otherwise(1), "vid")
+    return keyed.join(F.broadcast(mean), "worker").select("worker", "vid", (F.row_number().over(order) - 1).alias("lid"))
+
+
+def locality(lids: DataFrame, placed: DataFrame) -> DataFrame:
+    """(worker, edges, mean_gap, mean_bits): how far apart the local ids of an edge's ends lie, and the bits of the gap."""
+    a = lids.select(F.col("worker").alias("part"), F.col("vid").alias("src"), F.col("lid").alias("a"))
+    b = lids.select(F.col("worker").alias("part"), F.col("vid").alias("dst"), F.col("lid").alias("b"))
+    gap = F.abs(F.col("a") - F.col("b")).cast("long")
+    near = placed.select("part", "src", "dst").join(a, ["part", "src"]).join(b, ["part", "dst"]).select("part", gap.alias("gap"))
+    return near.groupBy(F.col("part").cast("long").alias("worker")).agg(F.count("*").alias("edges"), F.round(F.avg("gap"), 6).alias("mean_gap"), F.round(F.avg(F.length(F.bin("gap"))), 6).alias("mean_bits"))
+
+
 def access_trace(lids: DataFrame, home: DataFrame, hop: DataFrame, *, chunk: int, batch: int) -> DataFrame:
     """(worker, step, chunk): the distinct chunks that each batch of a worker's own vertices reads, in lid order."""
     mine = lids.join(home.select("vid", F.col("home").alias("worker")), ["vid", "worker"])

@@ -163,6 +163,12 @@ _add("workload_seeds_p0", lambda s, d: _loads(s, d, "p0"))
 _add("workload_owner", lambda s, d: _loads(s, d, "owner"), _cte("folded", _adj(), _DEG, _SEEDS) + f" SELECT part, count(*) AS requests, sum(degree)::BIGINT AS scanned, sum(least(degree, 10))::BIGINT AS returned, round(sum(degree) / min(sum(degree)) OVER (), 6) AS load FROM (SELECT degree, {sql_bucket(PARTS, 'v', 'vid')} AS part FROM deg JOIN seeds USING (vid)) GROUP BY part")
 
 
+_HOME = "home AS (SELECT vid, arg_max(part, {'n': n, 'p': -part}) AS home FROM (SELECT vid, part, count(*) AS n FROM (SELECT part, unnest([src, dst]) AS vid FROM p) GROUP BY 1, 2) GROUP BY vid)"
+_add("seeds_balanced_folded", lambda s, d: ga.balanced_seeds(metrics.home_partition(placement.place(graphs.folded(s, d).edges, PARTS, "hash2d")), 20), _cte("folded", _placed("hash2d"), _HOME) + f" SELECT vid FROM (SELECT *, row_number() OVER (PARTITION BY home ORDER BY {sql_uniform('b', 'vid')}, vid) AS r FROM home) WHERE r <= 20")
+_add("sample_frontier_sizes_trade", lambda s, d: ga.frontier_sizes(_khop(graphs.trade(s, d), ga.SampleConfig())), f"SELECT hop, count(DISTINCT vid) AS seeds, count(*) AS rows, count(DISTINCT nbr) AS reached FROM ({_khop_sql('trade')}) GROUP BY hop")
+_add("sample_traffic_folded", lambda s, d: ga.traffic(placement.place(graphs.folded(s, d).edges, PARTS, "hash2d"), _seeds(graphs.folded(s, d)), 10), _cte("folded", _placed("hash2d"), _adj("p", True), _SEEDS) + ", l AS (SELECT vid, part, count(*) AS n FROM adj JOIN seeds USING (vid) GROUP BY vid, part) SELECT sum(shipped)::BIGINT AS shipped, sum(kept)::BIGINT AS kept FROM (SELECT sum(least(n, 10)) AS shipped, least(sum(n), 10) AS kept FROM l GROUP BY vid)")
+
+
 def _closure(s, d):
     g = graphs.trade(s, d)
     return ga.khop_closure(g, _seeds(g, 5), 2)
@@ -251,7 +257,6 @@ def _reorder(s, d, key):
     return engine.reorder(cached, home, g.degrees(), key)
 
 
-_HOME = "home AS (SELECT vid, arg_max(part, {'n': n, 'p': -part}) AS home FROM (SELECT vid, part, count(*) AS n FROM (SELECT part, unnest([src, dst]) AS vid FROM p) GROUP BY 1, 2) GROUP BY vid)"
 _CACHED = "cached AS (SELECT DISTINCT part AS worker, unnest([src, dst]) AS vid FROM p UNION SELECT home AS worker, nbr AS vid FROM hop JOIN home ON home.vid = hop.vid)"
 _CACHE_CTE = _cte("folded", _placed("hash2d", 4), _adj(), _DEG, _HOP, _HOME, _CACHED)
 _SQL_ORDERS = {"ns": "c.vid", "ds": "degree DESC, c.vid", "ps": "home, c.vid", "pds": "home, degree DESC, c.vid"}
@@ -265,6 +270,17 @@ for _k in engine.ORDERS:
     _add(f"reorder_{_k}_folded", lambda s, d, k=_k: _reorder(s, d, k).select(F.col("worker").cast("long").alias("worker"), "vid", F.col("lid").cast("long").alias("lid")), _CACHE_CTE + f", {_lids_sql(_k)} SELECT worker::BIGINT AS worker, vid, lid::BIGINT AS lid FROM lids")
 
 
+def _hub_order(s, d):
+    g, _, _, cached = _cache_parts(s, d)
+    return engine.reorder_hub_cluster(cached, g.degrees())
+
+
+_HUB_SQL = "hubs AS (SELECT c.worker, c.vid, degree > avg(degree) OVER (PARTITION BY c.worker) AS hub FROM cached c JOIN deg USING (vid)), lids AS (SELECT worker, vid, row_number() OVER (PARTITION BY worker ORDER BY hub DESC, vid) - 1 AS lid FROM hubs)"
+_add("reorder_hub_cluster_folded", lambda s, d: _hub_order(s, d).select(F.col("worker").cast("long").alias("worker"), "vid", F.col("lid").cast("long").alias("lid")), _CACHE_CTE + f", {_HUB_SQL} SELECT worker::BIGINT AS worker, vid, lid::BIGINT AS lid FROM lids")
+for _k in (*engine.ORDERS, "hub"):
+    _add(f"locality_{_k}_folded", lambda s, d, k=_k: engine.locality(stage(_hub_order(s, d) if k == "hub" else _reorder(s, d, k)), placement.place(graphs.folded(s, d).edges, 4, "hash2d")), _CACHE_CTE + f", {_HUB_SQL if _k == 'hub' else _lids_sql(_k)} SELECT part::BIGINT AS worker, count(*) AS edges, round(avg(gap), 6) AS mean_gap, round(avg(length(bin(gap))), 6) AS mean_bits FROM (SELECT part, abs(a.lid - b.lid) AS gap FROM p JOIN lids a ON a.worker = part AND a.vid = src JOIN lids b ON b.worker = part AND b.vid = dst) GROUP BY part")
+
+
 def _trace_of(s, d, key):
     g, home, hop, cached = _cache_parts(s, d)
     lids = stage(engine.reorder(cached, home, g.degrees(), key))

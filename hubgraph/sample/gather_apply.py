@@ -128,3 +128,16 @@ def khop_closure(graph, seeds: DataFrame, hops: int) -> DataFrame:
         sizes = row if sizes is None else sizes.union(row)
         reached = stage(adjacency.join(reached, "vid").select(F.col("nbr").alias("vid")).union(reached).distinct())
     return sizes
+
+
+def frontier_sizes(blocks: DataFrame) -> DataFrame:
+    """(hop, seeds, rows, reached) of K-hop blocks."""
+    return blocks.groupBy("hop").agg(F.countDistinct("vid").alias("seeds"), F.count("*").alias("rows"), F.countDistinct("nbr").alias("reached"))
+
+
+def traffic(placed: DataFrame, seeds: DataFrame, fanout: int) -> DataFrame:
+    """(shipped, kept): rows that the parts send for one hop, and rows left once they are merged."""
+    ends = placed.select("part", F.explode(F.array("src", "dst")).alias("vid")).join(seeds.select("vid"), "vid")
+    local = ends.groupBy("vid", "part").agg(F.count("*").alias("n"))
+    seed = local.groupBy("vid").agg(F.sum(F.least("n", F.lit(fanout))).alias("shipped"), F.least(F.sum("n"), F.lit(fanout)).alias("kept"))
+    return seed.agg(F.sum("shipped").alias("shipped"), F.sum("kept").alias("kept"))
