@@ -4,7 +4,7 @@ Every part grows from its replicas that still have free edges. Each round it tak
 lowest degrees, claims their free edges, and then free edges whose ends already meet in a part. With steering, lambda
 follows how far the part's vertices and edges are from the mean; without, a part stops above tau times its share.
 Rounds are distributed: only a row for each part reaches the driver, and all state lies in the shared folder. A graph
-of no more than `local_limit` edges runs the same rounds over arrays within one task instead, with the same result.
+of no more than `local_limit` edges (at 8 parts; fewer at more) runs the same rounds over arrays within one task instead, with the same result.
 """
 
 from __future__ import annotations
@@ -22,7 +22,7 @@ from hubgraph.core.portable import bits
 from hubgraph.session import stage
 
 LAMBDA_MIN, LAMBDA_MAX = 1e-6, 1.0
-LOCAL_LIMIT = 2_000_000  # edges whose rounds one task holds: some 100 bytes each, and a byte a vertex and part
+LOCAL_LIMIT = 2_000_000  # edges whose rounds one task holds at 8 parts: some 100 bytes each, and bytes for each vertex and part
 
 
 @dataclass
@@ -63,7 +63,9 @@ def expand(graph: PropertyGraph, parts: int, *, steer: bool, lambda0: float = 0.
     every = stage(graph.edges.select("eid", "src", "dst"))
     total = every.count()
     degree = every.select(F.explode(F.array("src", "dst")).alias("vid")).groupBy("vid").agg(F.count("*").alias("d")).withColumn("h", bits("s", "vid"))
-    if total <= local_limit:
+    if not total:
+        return PartitionResult(every.withColumn("part", F.lit(0)))
+    if total * parts <= 8 * local_limit:  # a task holds a byte a vertex and part
         return _expand_in_task(every, degree, total, parts, steer, lambda0, alpha, beta, tau, max_rounds, tail, round_share)
     degree = stage(degree)
     free, placed = every, []

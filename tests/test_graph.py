@@ -44,6 +44,12 @@ def test_rounds_in_one_task_equal_distributed_rounds(spark):
     assert sorted(map(tuple, a.edges.collect())) == sorted(map(tuple, b.edges.collect()))
 
 
+def test_expansion_of_an_empty_graph_and_of_fewer_vertices_than_parts(spark):
+    assert expansion.bse_partition(PropertyGraph("g", spark.createDataFrame([], EDGES)), 3).edges.count() == 0
+    loop = expansion.bse_partition(PropertyGraph("g", spark.createDataFrame([(7, 5, 5, 0, 1.0)], EDGES)), 3).edges.collect()
+    assert len(loop) == 1 and 0 <= loop[0].part < 3
+
+
 def test_steering_balances_vertices_of_a_power_law_graph(spark):
     from hubgraph.sources.graphs import lexicon
 
