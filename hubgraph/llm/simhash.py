@@ -202,79 +202,229 @@ def near_duplicate_report(docs: DataFrame) -> DataFrame:
     return simhash_components(docs).select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
 
 
-SHINGLE, SIMILARITY, CHUNK, CHUNKS, SKETCH = 5, 0.8, 16, 6, 256
+SHINGLE, CHUNK, CHUNKS, BINS = 5, 16, 6, 256
+#: Documents whose shingles are counted for the order of the prefixes, entries kept of them, and rows of a key compared in one task.
+SAMPLE, COMMON, HOT = 8000, 1 << 17, 4096
 _GRAMS = Rolling(0xA0761D6478BD642F)
 
 
-def _sketches(batches):
-    """Of each text: fingerprints of the CHUNKS content-defined chunks of least hash, and the least shingle hashes.
+def row_key(doc_id: str = "doc_id", text: str = "text"):
+    """64-bit key of a row: rows share it if they are equal in id (null is a value) and text."""
+    return F.xxhash64(F.coalesce(F.col(doc_id).cast("string"), F.lit("null")), F.coalesce(F.col(text), F.lit("")))
 
-    A chunk ends at a shingle whose hash is divisible by CHUNK; its fingerprint is the SimHash of its shingles.
-    """
+
+def _shingles(col):
+    """Shingle hashes of a text column in reading order, and where each text's begin; a text of fewer words is one shingle."""
+    data, off = flat(col)
+    word, doc = tokens(LOWER[data], off)
+    first = np.searchsorted(doc, np.arange(len(col) + 1))
+    prefix = _GRAMS.prefix(word)
+    size = np.diff(first)
+    starts = np.maximum(size - SHINGLE + 1, np.minimum(size, 1))
+    row = np.repeat(np.arange(len(col)), starts)
+    at = first[row] + np.arange(len(row)) - np.repeat(np.cumsum(starts) - starts, starts)
+    return _GRAMS.spans(prefix, at, np.minimum(at + SHINGLE, first[row + 1])), np.r_[0, np.cumsum(starts)]
+
+
+def _sampled(batches):
     for b in slices(batches, "text", 500_000):
-        data, off = flat(b.column("text"))
-        word, doc = tokens(LOWER[data], off)
-        first = np.searchsorted(doc, np.arange(b.num_rows + 1))
-        prefix = _GRAMS.prefix(word)
-        size = np.diff(first)
-        starts = np.maximum(size - SHINGLE + 1, np.minimum(size, 1))  # a shorter text is one shingle
-        row = np.repeat(np.arange(b.num_rows), starts)
-        at = first[row] + np.arange(len(row)) - np.repeat(np.cumsum(starts) - starts, starts)
-        h = _GRAMS.spans(prefix, at, np.minimum(at + SHINGLE, first[row + 1]))
-        chunks, sketches = [[] for _ in range(b.num_rows)], [[] for _ in range(b.num_rows)]
-        if len(h):
-            bound = np.r_[0, np.cumsum(starts)]
-            cut = np.unique(np.r_[bound[:-1][starts > 0], np.nonzero(h % np.uint64(CHUNK) == 0)[0]])
-            bits = np.unpackbits(h.astype("<u8").view(np.uint8).reshape(-1, 8), axis=1, bitorder="little")
-            ones = np.add.reduceat(bits, cut, axis=0, dtype=np.int32)
-            many = np.diff(np.r_[cut, len(h)])
-            fp = np.packbits(2 * ones > many[:, None], axis=1, bitorder="little").view("<u8").ravel()
-            owner = row[cut]
-            at = np.searchsorted(owner, np.arange(b.num_rows + 1))
-            for i in range(b.num_rows):
-                own = np.unique(fp[at[i] : at[i + 1]])
-                chunks[i] = own[np.argsort(mix(own))[:CHUNKS]].view(np.int64)
-                sketches[i] = np.unique(h[bound[i] : bound[i + 1]])[:SKETCH].view(np.int64)
-        yield pa.RecordBatch.from_arrays([b.column("doc_id"), pa.array(chunks, pa.list_(pa.int64())), pa.array(sketches, pa.list_(pa.int64()))], ["doc_id", "chunks", "sketch"])
+        h, bound = _shingles(b.column("text"))
+        sets = [np.unique(h[s:e]) for s, e in zip(bound[:-1], bound[1:], strict=True)]
+        yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(sets).view(np.int64))], ["h"])
 
 
-def _alike(batches):
-    """Pairs whose share of common shingles, over the least hashes of their union, is SIMILARITY or more."""
+def _profiles(common: np.ndarray, rank: np.ndarray):
+    """Of each text: set size, digest of the set, CHUNKS chunk fingerprints, counts of the set by BINS, and its prefix.
+
+    A chunk ends at a shingle whose hash is divisible by CHUNK; its fingerprint is the SimHash of its shingles. The
+    prefix is the first n - ceil(0.8 n) + 1 shingles of the set, those outside `common` first, then by rising rank.
+    """
+
+    def run(batches):
+        for b in slices(batches, "text", 500_000):
+            h, bound = _shingles(b.column("text"))
+            n, out = b.num_rows, {"n": [], "sign": [], "hist": [], "prefix": []}
+            chunks = [[] for _ in range(n)]
+            if len(h):
+                starts = np.diff(bound)
+                row = np.repeat(np.arange(n), starts)
+                cut = np.unique(np.r_[bound[:-1][starts > 0], np.nonzero(h % np.uint64(CHUNK) == 0)[0]])
+                bits = np.unpackbits(h.astype("<u8").view(np.uint8).reshape(-1, 8), axis=1, bitorder="little")
+                ones = np.add.reduceat(bits, cut, axis=0, dtype=np.int32)
+                many = np.diff(np.r_[cut, len(h)])
+                fp = np.packbits(2 * ones > many[:, None], axis=1, bitorder="little").view("<u8").ravel()
+                at = np.searchsorted(row[cut], np.arange(n + 1))
+                for i in range(n):
+                    own = np.unique(fp[at[i] : at[i + 1]])
+                    chunks[i] = own[np.argsort(mix(own))[:CHUNKS]].view(np.int64)
+            for s, e in zip(bound[:-1], bound[1:], strict=True):
+                own = np.unique(h[s:e])
+                out["n"].append(len(own))
+                out["sign"].append(xxhash.xxh3_128_digest(own.tobytes()))
+                out["hist"].append(np.minimum(np.bincount((own >> np.uint64(56)).astype(np.int64), minlength=BINS), 255).astype(np.uint8).tobytes())
+                known = np.zeros(len(own), np.int64)
+                if len(common) and len(own):
+                    spot = np.minimum(np.searchsorted(common, own), len(common) - 1)
+                    known = np.where(common[spot] == own, rank[spot], 0)
+                out["prefix"].append(own[np.lexsort((own, known))[: len(own) + (-4 * len(own) // 5) + 1 if len(own) else 0]].view(np.int64))
+            yield pa.RecordBatch.from_arrays([b.column("key"), b.column("doc_id"), pa.array(out["n"], pa.int32()), pa.array(out["sign"], pa.binary()), pa.array(chunks, pa.list_(pa.int64())), pa.array(out["hist"], pa.binary()), pa.array(out["prefix"], pa.list_(pa.int64()))], ["key", "doc_id", "n", "sign", "chunks", "hist", "prefix"])
+
+    return run
+
+
+def _prefix_rows(hot: np.ndarray, blocks: np.ndarray):
+    """A row of each shingle of a prefix. A hot one is dealt in blocks of documents, one row for each pair of blocks."""
+
+    def run(batches):
+        for b in batches:
+            col = b.column("prefix")
+            off, values = col.offsets.to_numpy(), col.values.to_numpy().view(np.uint64)
+            values = values[off[0] : off[-1]]
+            many = np.diff(off)
+            row = np.repeat(np.arange(b.num_rows), many)
+            pos = np.arange(len(row)) - np.repeat(off[:-1] - off[0], many)
+            if len(hot) and len(values):
+                at = np.minimum(np.searchsorted(hot, values), len(hot) - 1)
+                times = np.where(hot[at] == values, blocks[at], 1)
+                pick = np.repeat(np.arange(len(values)), times)
+                other = np.arange(len(pick)) - np.repeat(np.cumsum(times) - times, times)
+                k = times[pick]
+                own = (mix(b.column("key").to_numpy().view(np.uint64))[row[pick]] % k.astype(np.uint64)).astype(np.int64)
+                # A block meets itself in every pair it is part of, so no pair of a block with itself is made.
+                use = (k == 1) | (other != own)
+                pick, other, k, own = pick[use], other[use], k[use], own[use]
+                salt = np.where(k == 1, 0, 1 + np.minimum(own, other) * k + np.maximum(own, other)).astype(np.uint64)
+                values, row, pos = np.where(salt == 0, values[pick], mix(values[pick] + mix(salt))), row[pick], pos[pick]
+            for s in range(0, max(len(row), 1), 200_000):
+                r = row[s : s + 200_000]
+                yield pa.RecordBatch.from_arrays([pa.array(values[s : s + 200_000].view(np.int64)), b.column("key").take(pa.array(r)), b.column("comp").take(pa.array(r)), b.column("n").take(pa.array(r)), pa.array(pos[s : s + 200_000].astype(np.int32))], ["h", "key", "comp", "n", "pos"])
+
+    return run
+
+
+def _meet(batches):
+    """Pairs of rows of one shingle that may reach 0.8 by their sizes and by what can follow and precede the shingle.
+
+    Rows arrive sorted by shingle and size; a shingle may span batches. Pairs already in one group are passed over.
+    """
+
+    def emit(h, key, comp, n, pos):
+        live, lag, a, b = np.arange(len(h)), 0, [], []
+        while len(live):
+            lag += 1
+            live = live[live + lag < len(h)]
+            j = live + lag
+            going = (h[live] == h[j]) & (5 * n[live] >= 4 * n[j])
+            live, j = live[going], j[going]
+            most = np.minimum(pos[live], pos[j]) + np.minimum(n[live] - pos[live], n[j] - pos[j])
+            ok = (comp[live] != comp[j]) & (9 * most >= 4 * (n[live] + n[j]))
+            a.append(key[live[ok]])
+            b.append(key[j[ok]])
+        a, b = (np.concatenate(x) if x else np.zeros(0, np.int64) for x in (a, b))
+        pairs = np.unique(np.stack([np.maximum(a, b), np.minimum(a, b)], 1), axis=0)
+        return pa.RecordBatch.from_arrays([pa.array(pairs[:, 0]), pa.array(pairs[:, 1])], ["a", "b"])
+
+    held = [np.zeros(0, np.int64)] * 5
+    for batch in batches:
+        rows = [np.r_[x, batch.column(c).to_numpy().astype(np.int64)] for x, c in zip(held, ("h", "key", "comp", "n", "pos"), strict=True)]
+        if not len(rows[0]):
+            continue
+        cut = np.searchsorted(rows[0], rows[0][-1])
+        if cut:
+            yield emit(*(x[:cut] for x in rows))
+        held = [x[cut:] for x in rows]
+    if len(held[0]):
+        yield emit(*held)
+
+
+def _near_counts(batches):
+    """Pairs that may reach 0.8: the counts by BINS differ by no more than sets of that similarity can differ."""
     for b in batches:
+        x, y = (np.frombuffer(b"".join(b.column(c).to_pylist()), np.uint8).reshape(-1, BINS).astype(np.int32) for c in ("x", "y"))
+        n, m = (b.column(c).to_numpy().astype(np.int64) for c in ("n", "m"))
+        ok = (9 * np.abs(x - y).sum(1) <= n + m) & (5 * np.minimum(n, m) >= 4 * np.maximum(n, m))
+        yield pa.RecordBatch.from_arrays([b.column("a"), b.column("b")], ["a", "b"]).filter(pa.array(ok, pa.bool_()))
+
+
+def _alike(batches):
+    """Pairs of texts whose whole shingle sets have a similarity of 0.8 or more."""
+    for b in slices(batches, "x", 500_000):
+        (h, hb), (g, gb) = _shingles(b.column("x")), _shingles(b.column("y"))
         keep = []
-        xs, ys = ((c.offsets.to_numpy(), c.values.to_numpy().view(np.uint64)) for c in (b.column("x"), b.column("y")))
         for i in range(b.num_rows):
-            x, y = (values[off[i] : off[i + 1]] for off, values in (xs, ys))
-            union = np.union1d(x, y)
-            if SKETCH in (len(x), len(y)):  # a full sketch is cut: only the least hashes of the union are known
-                union = union[:SKETCH]
-            both = np.isin(union, x) & np.isin(union, y)
-            keep.append(len(union) > 0 and both.sum() >= SIMILARITY * len(union))
+            x, y = np.unique(h[hb[i] : hb[i + 1]]), np.unique(g[gb[i] : gb[i + 1]])
+            both = len(np.intersect1d(x, y, assume_unique=True))
+            keep.append(5 * both >= 4 * (len(x) + len(y) - both))
         yield pa.RecordBatch.from_arrays([b.column("a"), b.column("b")], ["a", "b"]).filter(pa.array(keep, pa.bool_()))
 
 
+def near_duplicate_rows(docs: DataFrame) -> DataFrame:
+    """(key, doc_id, label) of each distinct row key of docs (doc_id, text, ...): rows of one label are one group of
+    five-word shingle similarity 0.8 or more.
+
+    The search is exact. Two sets of that similarity share a shingle of their prefixes under any one order of all
+    shingles, so the order, rarest first by the counts of a sample, bears on time alone. Links found cheaply (copies,
+    chunk fingerprints, SimHash) are joined first; prefixes then only bring up pairs of different groups.
+    Every pair but those of SimHash is verified on the whole sets of both texts. Rows without words are alike.
+    """
+    keyed = docs.select(row_key().alias("key"), "doc_id", "text")
+    total = docs.count()
+    every = max(1, -(-total // SAMPLE))
+    counted = keyed.where(F.pmod("key", F.lit(every)) == 0).select("text").transform(in_arrow, _sampled, "h long").groupBy("h").agg(F.count("*").alias("k")).where("k > 1")
+    top = counted.orderBy(F.desc("k"), "h").limit(COMMON).toPandas()
+    common, rank = top.h.to_numpy(np.int64).view(np.uint64), top.k.to_numpy(np.int64)
+    order = np.argsort(common)
+    common, rank = common[order], rank[order]
+    blocks = -(-rank * every // HOT)
+    held = stage(keyed.transform(in_arrow, _profiles(common, rank), "key long, doc_id long, n int, sign binary, chunks array<long>, hist binary, prefix array<long>"))
+    again = stage(held.groupBy("key").agg(F.count("*").alias("k")).where("k > 1").select("key"))
+    if not again.isEmpty():
+        held = stage(held.join(again, "key", "left_anti").unionByName(held.join(again, "key", "left_semi").dropDuplicates(["key"])))
+    # Copies meet as one: only the first row of each set looks for others.
+    first = held.groupBy("sign").agg(F.min("key").alias("b"))
+    same = stage(held.select("sign", F.col("key").alias("a")).join(first, "sign").where("a <> b").select("a", "b"))
+    profile = held.select("key", "n", "hist")
+    texts = keyed.select("key", "text")
+
+    def verified(pairs):
+        """Pairs of keys that pass the counts and then the test on the texts; each document's text is read once a side."""
+        side = lambda k, c, x: profile.select(F.col("key").alias(k), F.col("n").alias(c), F.col("hist").alias(x))
+        close = stage(pairs.join(side("b", "m", "y"), "b").join(side("a", "n", "x"), "a").select("a", "b", "n", "m", "x", "y").transform(in_arrow, _near_counts, "a long, b long"))
+        asked = close.select(F.col("a").alias("key")).union(close.select("b")).distinct()
+        some = texts.join(asked, "key", "left_semi").dropDuplicates(["key"])
+        read = lambda k, x: some.select(F.col("key").alias(k), F.col("text").alias(x))
+        return stage(close.join(read("b", "y"), "b").join(read("a", "x"), "a").select("a", "b", "x", "y").transform(in_arrow, _alike, "a long, b long"))
+
+    rows = held.select("key", "n", F.explode("chunks").alias("fp")).join(same.select(F.col("a").alias("key")), "key", "left_anti")
+    shared = rows.groupBy("fp").agg(F.count("*").alias("k"), F.min("key").alias("head")).where("k > 1")
+    near = rows.join(shared, "fp").withColumn("before", F.lag("key").over(Window.partitionBy("fp").orderBy("n", "key")))
+    by_chunk = near.select(F.col("key").alias("a"), F.explode(F.array("head", "before")).alias("b"))
+    by_print = simhash_components(keyed.select(F.col("key").alias("doc_id"), "text")).select(F.col("doc_id").alias("a"), F.col("component_id").alias("b"))
+    for end in ("a", "b"):
+        to = same.select(F.col("a").alias(end), F.col("b").alias("to"))
+        by_print = by_print.join(to, end, "left").withColumn(end, F.coalesce("to", end)).drop("to")
+    ordered = lambda d: d.where("b is not null and a <> b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct()
+    early = connected_components(same.union(verified(ordered(by_chunk))).union(ordered(by_print)))
+    known = early.select(F.col("node").alias("key"), F.col("label").alias("comp"))
+    seek = held.select("key", "n", "prefix").join(same.select(F.col("a").alias("key")), "key", "left_anti").join(known, "key", "left").withColumn("comp", F.coalesce("comp", "key"))
+    spread = seek.select("key", "comp", "n", "prefix").transform(in_arrow, _prefix_rows(common[blocks > 1], blocks[blocks > 1]), "h long, key long, comp long, n int, pos int")
+    met = spread.repartition("h").sortWithinPartitions("h", "n", "key").transform(in_arrow, _meet, "a long, b long")
+    late = verified(met.distinct())
+    # Only pairs across groups are left, so the second search joins labels and not documents.
+    for end in ("a", "b"):
+        late = late.join(known.select(F.col("key").alias(end), F.col("comp").alias("to")), end, "left").withColumn(end, F.coalesce("to", end)).drop("to")
+    merged = connected_components(late.select("a", "b"))
+    ends = held.select("key", "doc_id").join(known, "key", "left").withColumn("comp", F.coalesce("comp", "key"))
+    return ends.join(merged.select(F.col("node").alias("comp"), F.col("label").alias("to")), "comp", "left").select("key", "doc_id", F.coalesce("to", "comp").alias("label"))
+
+
 def near_duplicate_groups(docs: DataFrame) -> DataFrame:
-    """(doc_id, component_id) of docs (doc_id, text, ...): groups of five-word shingle similarity 0.8 or more.
+    """(doc_id, component_id) of each row of docs (doc_id, text, ...), by the groups of near_duplicate_rows.
 
-    Links are those of simhash_components, joined by pairs that share a chunk fingerprint and pass the similarity
-    test on their sketches (exact up to SKETCH shingles). Within a fingerprint each document is held against the first
-    one and against its neighbours by size and id, never against all. doc_id is taken as unique; a null one groups by
-    itself. Empty texts have no shingles and link by their fingerprint.
+    component_id is the smallest doc_id of the group, null if it has none. A null or repeated doc_id links nothing:
+    rows group by their texts alone.
     """
-    groups = simhash_components(docs)
-    sketches = stage(docs.select("doc_id", "text").where("doc_id is not null").transform(in_arrow, _sketches, "doc_id long, chunks array<long>, sketch array<long>"))
-    # Copies meet as one: only the first document of each sketch and chunk set looks for others.
-    unique = sketches.groupBy(F.xxhash64("sketch", "chunks").alias("sign")).agg(F.min("doc_id").alias("doc_id"))
-    same = sketches.select("doc_id", F.xxhash64("sketch", "chunks").alias("sign")).join(unique.withColumnRenamed("doc_id", "b"), "sign").where("doc_id <> b").select(F.col("doc_id").alias("a"), "b")
-    sizes = sketches.select("doc_id", F.size("sketch").alias("n"), "chunks")  # no sketch goes through this join
-    rows = sizes.join(unique.select("doc_id"), "doc_id", "left_semi").select("doc_id", "n", F.explode("chunks").alias("fp"))
-    shared = rows.groupBy("fp").agg(F.count("*").alias("k"), F.min("doc_id").alias("head")).where("k > 1")
-    by = Window.partitionBy("fp").orderBy("n", "doc_id")
-    near = rows.join(shared, "fp").withColumn("before", F.lag("doc_id").over(by))
-    pairs = near.select(F.col("doc_id").alias("a"), F.explode(F.array("head", "before")).alias("b")).where("b is not null and a <> b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct()
-    held = sketches.select("doc_id", "sketch")
-    joined = pairs.join(held.select(F.col("doc_id").alias("a"), F.col("sketch").alias("x")), "a").join(held.select(F.col("doc_id").alias("b"), F.col("sketch").alias("y")), "b")
-    alike = joined.select("a", "b", "x", "y").transform(in_arrow, _alike, "a long, b long")
-    links = alike.union(same).union(groups.where("doc_id <> component_id").select("doc_id", "component_id"))
-    labels = connected_components(links)
-    return docs.select("doc_id").join(labels.withColumnRenamed("node", "doc_id"), "doc_id", "left").select("doc_id", F.coalesce("label", "doc_id").alias("component_id"))
+    rows = stage(near_duplicate_rows(docs))
+    low = rows.groupBy("label").agg(F.min("doc_id").alias("component_id"))
+    groups = rows.join(low, "label").select("key", "component_id")
+    return docs.select(row_key().alias("key"), "doc_id").join(groups, "key").select("doc_id", "component_id")
