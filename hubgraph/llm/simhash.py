@@ -364,8 +364,8 @@ def near_duplicate_rows(docs: DataFrame) -> DataFrame:
 
     The search is exact. Two sets of that similarity share a shingle of their prefixes under any one order of all
     shingles, so the order, rarest first by the counts of a sample, bears on time alone. Links found cheaply (copies,
-    chunk fingerprints, SimHash) are joined first; prefixes then only bring up pairs of different groups.
-    Every pair but those of SimHash is verified on the whole sets of both texts. Rows without words are alike.
+    chunk fingerprints, SimHash) are verified and joined first; prefixes then only bring up pairs of different groups.
+    Every pair, whatever brought it up, is verified on the whole sets of both texts. Rows without words are alike.
     """
     keyed = docs.select(row_key().alias("key"), "doc_id", "text")
     total = docs.count()
@@ -404,7 +404,7 @@ def near_duplicate_rows(docs: DataFrame) -> DataFrame:
         to = same.select(F.col("a").alias(end), F.col("b").alias("to"))
         by_print = by_print.join(to, end, "left").withColumn(end, F.coalesce("to", end)).drop("to")
     ordered = lambda d: d.where("b is not null and a <> b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct()
-    early = connected_components(same.union(verified(ordered(by_chunk))).union(ordered(by_print)))
+    early = connected_components(same.union(verified(ordered(by_chunk.union(by_print)))))
     known = early.select(F.col("node").alias("key"), F.col("label").alias("comp"))
     seek = held.select("key", "n", "prefix").join(same.select(F.col("a").alias("key")), "key", "left_anti").join(known, "key", "left").withColumn("comp", F.coalesce("comp", "key"))
     spread = seek.select("key", "comp", "n", "prefix").transform(in_arrow, _prefix_rows(common[blocks > 1], blocks[blocks > 1]), "h long, key long, comp long, n int, pos int")

@@ -57,3 +57,21 @@ def test_near_copies_among_documents_that_share_a_passage(spark, monkeypatch, ho
     assert len(set(want.values())) == 150
     assert dict(map(tuple, simhash.near_duplicate_groups(frame(spark, texts)).collect())) == want
 
+
+def test_long_texts_about_the_limit(spark):
+    r = random.Random(6)
+    docs = []
+    for k in range(40):
+        base = words(r, 1500)
+        docs += [base, changed(r, base, 31 + k % 10)]
+    texts = [(i, " ".join(d)) for i, d in enumerate(docs)]
+    want = wanted(texts)
+    assert 41 < len(set(want.values())) < 79
+    assert dict(map(tuple, simhash.near_duplicate_groups(frame(spark, texts)).collect())) == want
+
+
+def test_simhash_links_pass_the_test_of_shingles(spark):
+    # Two words of three-word shingles repeated: one fingerprint, but no five-word shingle set in common.
+    texts = [(1, "a b c " * 2), (2, "b c a " * 40 + "x y z w v"), (3, "a b c " * 3)]
+    got = dict(map(tuple, simhash.near_duplicate_groups(frame(spark, texts)).collect()))
+    assert got == wanted(texts)
