@@ -15,6 +15,8 @@ from hubgraph.llm.common import BYTE_VALUES, LOWER, U64, Rolling, flat, in_arrow
 WINDOW = 10
 #: Characters of benchmark text that may be broadcast; a larger benchmark is scanned in blocks of this size.
 BLOCK_CHARS = 32_000_000
+#: Bytes of text that are scanned at once.
+SLICE = 1_000_000
 WORD_BYTE = np.zeros(256, bool)
 WORD_BYTE[0x30:0x3A] = WORD_BYTE[0x61:0x7B] = WORD_BYTE[0x80:] = True
 _BYTES, _WORDS = Rolling(0x5851F42D4C957F2D), Rolling(0x14057B7EF767814F)
@@ -92,7 +94,7 @@ def _scanner(items: list[tuple[str, str]], window: int, clean: bool):
 
     def run(batches):
         index = _index(key, items, window)
-        for b in slices(batches, "text", 4_000_000):
+        for b in slices(batches, "text", SLICE):
             data, off = flat(b.column("text"))
             words = Words(data, off)
             n = b.num_rows
@@ -124,6 +126,40 @@ def _without(text, raw, words, hit, i, base):
     return raw[keep].tobytes().decode("utf-8", "ignore")
 
 
+def _cleaner():
+    """Texts without the words at `hits`, positions of all blocks united."""
+
+    def run(batches):
+        for b in slices(batches, "text", SLICE):
+            data, off = flat(b.column("text"))
+            words = Words(data, off)
+            hit = np.zeros(len(words.start), bool)
+            at = b.column("hits")
+            many = np.diff(at.offsets.to_numpy())
+            hit[np.repeat(words.first[:-1], many) + at.flatten().to_numpy()] = True
+            text = [_without(b.column("text")[i].as_py(), data[off[i] : off[i + 1]], words, hit, i, off[i]) for i in range(b.num_rows)]
+            yield pa.RecordBatch.from_arrays([*(b.column(c) for c in ("doc_id", "n_words", "items", "hits")), pa.array(text, pa.string())], ["doc_id", "n_words", "items", "hits", "text"])
+
+    return run
+
+
+def _items(benchmark: DataFrame) -> tuple[DataFrame, int]:
+    """(id, text) of the items, and the characters of all texts."""
+    items = benchmark.select(F.coalesce(F.col("item_id").cast("string"), F.lit("null")).alias("id"), F.coalesce("text", F.lit("")).alias("text"))
+    return items, items.agg(F.coalesce(F.sum(F.length("text")), F.lit(0)).alias("n")).first().n
+
+
+def _blocks(items: DataFrame, total: int, block_chars: int):
+    """The items in lists of about block_chars characters at most, one at a time; a single list where all fit."""
+    if total <= block_chars:
+        yield [tuple(r) for r in items.orderBy("id", "text").collect()]
+        return
+    blocks = 1 + total // block_chars * 2
+    placed = stage(items.withColumn("block", F.pmod(F.xxhash64("id", "text"), F.lit(blocks))))
+    for k in range(blocks):
+        yield [(r.id, r.text) for r in placed.where(F.col("block") == k).orderBy("id", "text").toLocalIterator()]
+
+
 def decontaminate(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, *, clean: bool = False, block_chars: int = BLOCK_CHARS) -> DataFrame:
     """(doc_id, n_words, n_hit, items) of each row of docs; with clean=True also the text without hit words.
 
@@ -131,26 +167,23 @@ def decontaminate(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, *
     an item in a row, or all words of a shorter item. Null or wordless texts have no words and no hits; items without
     words are passed over; a null item_id is listed as "null"; repeated items count once. Repeated documents each
     get their row. The items are broadcast up to block_chars characters; beyond that the items, cut into blocks of
-    that size on the executors, each make a scan, and the hits of a row are united (rows then need distinct doc_ids).
+    that size on the executors, each make a scan, and the hits of a row are united by a key written with it before.
     """
     docs = docs.select("doc_id", "text")
-    items = benchmark.select(F.coalesce(F.col("item_id").cast("string"), F.lit("null")).alias("id"), F.coalesce("text", F.lit("")).alias("text"))
-    total = items.agg(F.coalesce(F.sum(F.length("text")), F.lit(0)).alias("n")).first().n
-    schema = "doc_id long, n_words long, items array<string>, hits array<int>" + ", text string" * clean
+    items, total = _items(benchmark)
+    schema = "doc_id long, n_words long, items array<string>, hits array<int>"
     if total <= block_chars:
-        held = [tuple(r) for r in items.orderBy("id", "text").collect()]
-        found = docs.transform(in_arrow, _scanner(held, window, clean), schema)
+        found = docs.transform(in_arrow, _scanner(next(_blocks(items, total, block_chars)), window, clean), schema + ", text string" * clean)
     else:
-        if clean:
-            raise ValueError("clean=True needs a benchmark within block_chars")
-        blocks = 1 + total // block_chars * 2
-        placed = stage(items.withColumn("block", F.pmod(F.xxhash64("id", "text"), F.lit(blocks))))
+        keyed = stage(docs.withColumn("row", F.monotonically_increasing_id()))
         parts = None
-        for k in range(blocks):
-            held = [(r.id, r.text) for r in placed.where(F.col("block") == k).orderBy("id", "text").toLocalIterator()]
-            part = docs.transform(in_arrow, _scanner(held, window, False), schema)
+        for held in _blocks(items, total, block_chars):
+            part = keyed.select(F.col("row").alias("doc_id"), "text").transform(in_arrow, _scanner(held, window, False), schema).withColumnRenamed("doc_id", "row")
             parts = part if parts is None else parts.unionByName(part)
-        found = parts.groupBy("doc_id").agg(F.max("n_words").alias("n_words"), F.array_sort(F.array_distinct(F.flatten(F.collect_list("items")))).alias("items"), F.array_distinct(F.flatten(F.collect_list("hits"))).alias("hits"))
+        found = parts.groupBy("row").agg(F.max("n_words").alias("n_words"), F.array_sort(F.array_distinct(F.flatten(F.collect_list("items")))).alias("items"), F.array_sort(F.array_distinct(F.flatten(F.collect_list("hits")))).alias("hits"))
+        found = found.join(keyed if clean else keyed.drop("text"), "row").select("doc_id", "n_words", "items", "hits", *["text"] * clean)
+        if clean:
+            found = found.transform(in_arrow, _cleaner(), schema + ", text string")
     return found.withColumn("n_hit", F.size("hits").cast("long"))
 
 
