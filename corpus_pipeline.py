@@ -24,20 +24,17 @@ def identify_language(spark, docs, sf_dir):
 
 
 def drop_near_duplicates(spark, docs, sf_dir):
-    """Of each group of near-duplicates (five-word shingles, similarity 0.8 or more) the document with the smallest doc_id stays, one row of it."""
-    groups = simhash.near_duplicate_groups(docs)
-    key = F.coalesce(F.col("doc_id").cast("string"), F.lit(""))  # one exchange of the texts serves the join and the window
-    kept = groups.where(F.col("doc_id").eqNullSafe(F.col("component_id"))).select(key.alias("key_of_row")).distinct()
-    one = Window.partitionBy("key_of_row").orderBy("text", "lang", "source", "n_chars")
-    rows = docs.withColumn("key_of_row", key).join(kept, "key_of_row", "left_semi")
-    return rows.withColumn("copy_of_row", F.row_number().over(one)).where("copy_of_row = 1").select(*docs.columns)
+    """Of each group of near-duplicates (five-word shingles, similarity 0.8 or more) the row with the smallest doc_id stays (a null one last); rows equal in doc_id and text count as one."""
+    rows = simhash.near_duplicate_rows(docs)
+    kept = rows.groupBy("label").agg(F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "key")).alias("low")).select(F.col("low.key").alias("key_of_row"))
+    one = Window.partitionBy("key_of_row").orderBy("text", "lang", "source", "n_chars")  # one exchange of the texts serves the join and the window
+    held = docs.withColumn("key_of_row", simhash.row_key()).join(kept, "key_of_row", "left_semi")
+    return held.withColumn("copy_of_row", F.row_number().over(one)).where("copy_of_row = 1").select(*docs.columns)
 
 
 def drop_contaminated(spark, docs, sf_dir):
     """Documents that hold a benchmark passage go."""
-    found = decontam.decontaminate(docs, table(spark, sf_dir, "benchmark"))
-    dirty = found.where("n_hit > 0").select("doc_id").distinct()
-    return docs.join(dirty, docs.doc_id.eqNullSafe(dirty.doc_id), "left_anti")
+    return decontam.uncontaminated(docs, table(spark, sf_dir, "benchmark"))
 
 
 def redact_secrets(spark, docs, sf_dir):

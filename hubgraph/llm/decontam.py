@@ -7,6 +7,7 @@ from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -187,6 +188,27 @@ def decontaminate(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, *
     return found.withColumn("n_hit", F.size("hits").cast("long"))
 
 
+def _sieve(items: list[tuple[str, str]], window: int):
+    scan = _scanner(items, window, False)
+
+    def run(batches):
+        for b in slices(batches, "text", SLICE):
+            (found,) = scan([b])
+            yield b.filter(pc.equal(pc.list_value_length(found.column("hits")), 0))
+
+    return run
+
+
+def uncontaminated(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, *, block_chars: int = BLOCK_CHARS) -> DataFrame:
+    """The rows of docs without a hit, with all their columns. Each row is judged by itself, whatever its doc_id; a
+    benchmark of several blocks sieves what the block before has left."""
+    items, total = _items(benchmark)
+    out = docs
+    for k, held in enumerate(_blocks(items, total, block_chars)):
+        out = (stage(out) if k else out).transform(in_arrow, _sieve(held, window), docs.schema)
+    return out
+
+
 def contamination_report(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
     """The digest of query op6."""
     return decontaminate(docs, benchmark).select("doc_id", "n_words", "n_hit", F.size("items").cast("long").alias("n_items"), F.sha2(F.concat_ws(",", "items"), 256).alias("items_sha256"), (F.col("n_hit") > 0).alias("contaminated"))

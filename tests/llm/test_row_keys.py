@@ -1,4 +1,5 @@
 import brute
+import corpus_pipeline
 from hubgraph.llm import decontam
 
 SCHEMA = "doc_id long, text string, lang string, source string, n_chars long"
@@ -13,6 +14,23 @@ def pairs(df):
     return sorted(((r.doc_id, r.text) for r in df.select("doc_id", "text").collect()), key=repr)
 
 
+def test_near_dedup_keeps_rows_of_null_and_repeated_ids(spark):
+    a, b, c, d, e = (" ".join(f"{x}{k}" for k in range(60)) for x in "abcde")
+    rows = [(None, a), (None, b), (7, c), (7, d), (9, d + " more"), (None, e), (None, e), (3, a + " more"), (8, b), (8, b)]
+    got = pairs(corpus_pipeline.drop_near_duplicates(spark, frame(spark, rows), None))
+    assert got == sorted([(3, a + " more"), (8, b), (7, c), (7, d), (None, e)], key=repr)
+
+
+def test_decontamination_judges_each_row_by_itself(spark, monkeypatch):
+    rows = [(None, PASSAGE), (None, "clean one"), (None, None), (5, "x " + PASSAGE), (5, "clean two"), (6, "clean two")]
+    want = [(None, "clean one"), (None, None), (5, "clean two"), (6, "clean two")]
+    bench = spark.createDataFrame([(1, PASSAGE), (2, "some other words that no document has in a row at all")], "item_id long, text string")
+    for limit in (decontam.BLOCK_CHARS, 60):
+        assert pairs(decontam.uncontaminated(frame(spark, rows), bench, block_chars=limit)) == sorted(want, key=repr)
+    monkeypatch.setattr(corpus_pipeline, "table", lambda *_: bench)
+    assert pairs(corpus_pipeline.drop_contaminated(spark, frame(spark, rows), None)) == sorted(want, key=repr)
+
+
 def test_blocks_of_a_benchmark_give_the_rows_of_one_scan(spark):
     rows = [(None, "a " + PASSAGE), (None, PASSAGE + " lazy dog b"), (None, "clean"), (4, "lazy dog"), (4, "no"), (4, "lazy dog"), (5, None)]
     bench = spark.createDataFrame([(1, PASSAGE), (2, "lazy dog"), (3, "b")], "item_id long, text string")
