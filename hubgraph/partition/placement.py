@@ -57,49 +57,98 @@ def label_propagation_cut(graph, parts: int, *, rounds: int = 4, slack: float =
     return owner
 
 
-def multilevel_edge_cut(graph, parts: int, *, coarsest: int = 2000, levels: int = 8, slack: float = 1.2, stage=lambda d: d) -> DataFrame:
-    """Simplified multilevel edge-cut: heavy-edge matching, greedy growing of the coarsest graph, label refinement.
+def _bounded(up: DataFrame, limit: int) -> DataFrame:
+    """(vid, up) of (vid, size, up): each cluster in pieces, in order of vid, of a size of limit or a single vertex more."""
+    from pyspark.sql.window import Window
+
+    before = F.sum("size").over(Window.partitionBy("up").orderBy("vid").rowsBetween(Window.unboundedPreceding, -1))
+    piece = up.withColumn("piece", F.floor(F.coalesce(before, F.lit(0)) / F.lit(limit)))
+    return piece.select("vid", F.min("vid").over(Window.partitionBy("up", "piece")).alias("up"))
+
+
+def _cut_weight(links: DataFrame, cut: DataFrame) -> int:
+    a, b = cut.select("vid", F.col("part").alias("pa")), cut.select(F.col("vid").alias("nbr"), F.col("part").alias("pb"))
+    return links.join(a, "vid").join(b, "nbr").where("pa <> pb").agg(F.coalesce(F.sum("w"), F.lit(0))).first()[0]
+
+
+def refine_cut(links: DataFrame, weight: DataFrame, cut: DataFrame, cap: float, *, passes: int = 2, stage=lambda d: d) -> DataFrame:
+    """cut (vid, part) after moves of vertices to the part most of their links go to, where they gain and the part has
+    room. Moves of a pass go to higher parts or to lower ones only; a pass that does not lower the cut is taken back."""
+    from pyspark.sql.window import Window
 
-    Only the coarsest graph, of at most a few thousand vertices, reaches the driver; if matching stalls above that,
-    its vertices are hashed instead.
+    cut = stage(cut)
+    held = _cut_weight(links, cut)
+    for k in range(passes):
+        votes = links.join(cut.select(F.col("vid").alias("nbr"), F.col("part").alias("to")), "nbr").groupBy("vid", "to").agg(F.sum("w").alias("votes")).join(cut, "vid")
+        stay = F.max(F.when(F.col("to") == F.col("part"), F.col("votes")))
+        way = F.col("to") > F.col("part") if k % 2 == 0 else F.col("to") < F.col("part")
+        best = votes.groupBy("vid", "part").agg(stay.alias("stay"), F.max(F.when(way, F.struct("votes", (-F.col("to")).alias("to")))).alias("best"))
+        moves = best.select("vid", (-F.col("best.to")).alias("to"), (F.col("best.votes") - F.coalesce("stay", F.lit(0))).alias("gain")).where("gain > 0").join(weight, "vid")
+        load = cut.join(weight, "vid").groupBy(F.col("part").alias("to")).agg(F.sum("size").alias("load"))
+        filled = moves.join(F.broadcast(load), "to", "left").withColumn("sum", F.sum("size").over(Window.partitionBy("to").orderBy(F.desc("gain"), "vid").rowsBetween(Window.unboundedPreceding, 0)))
+        taken = filled.where(F.col("sum") + F.coalesce("load", F.lit(0)) <= F.lit(cap)).select("vid", "to")
+        moved = stage(cut.join(taken, "vid", "left").select("vid", F.coalesce("to", "part").cast("int").alias("part")))
+        now = _cut_weight(links, moved)
+        if now < held:
+            cut, held = moved, now
+    return cut
+
+
+def multilevel_edge_cut(graph, parts: int, *, coarsest: int = 2000, slack: float = 1.2, passes: int = 2, stage=lambda d: d) -> DataFrame:
+    """Multilevel edge-cut: heavy-edge matching, greedy growing of the coarsest graph, label refinement of each level.
+
+    Levels are made until `coarsest` vertices (at least 16 a part) are left, which alone reach the driver. Clusters are
+    held to a size that leaves so many. Where matching stalls, vertices of one favourite neighbour merge (two hops),
+    and those without links by hash; where that stalls too, any vertices do, by hash, and refinement mends the cut.
     """
+    coarsest = max(coarsest, 16 * parts)
     links = stage(graph.adjacency().where("vid <> nbr").groupBy("vid", "nbr").agg(F.sum(F.lit(1)).alias("w")))
-    chain, weight = [], graph.vertices().withColumn("size", F.lit(1))
-    for _ in range(levels):
-        n = weight.count()
-        if n <= coarsest:
-            break
+    weight = stage(graph.vertices().withColumn("size", F.lit(1).cast("long")))
+    n = total = weight.count()
+    limit, chain, how = max(2, -(-4 * total // coarsest)), [], 0
+    while n > coarsest:
         best = links.groupBy("vid").agg(F.max_by("nbr", F.struct("w", F.xxhash64(F.least("vid", "nbr"), F.greatest("vid", "nbr")))).alias("mate"))
-        other = best.select(F.col("vid").alias("mate"), F.col("mate").alias("back"))
-        # Mutual choices merge; a vertex whose choice was taken joins the pair that took it.
-        up = stage(best.join(other, "mate").select("vid", F.when(F.col("back") == F.col("vid"), F.least("vid", "mate")).otherwise(F.least("mate", "back")).alias("up")))
-        up = stage(weight.select("vid").join(up, "vid", "left").select("vid", F.coalesce("up", "vid").alias("up")))
-        chain.append(up)
+        loose = F.pmod(F.xxhash64(F.lit(len(chain)), "vid"), F.lit(coarsest // 4)) + F.lit(1)
+        if how == 0:
+            other = best.select(F.col("vid").alias("mate"), F.col("mate").alias("back"))
+            # Mutual choices merge; a vertex whose choice was taken joins the pair that took it.
+            up = best.join(other, "mate").select("vid", F.when(F.col("back") == F.col("vid"), F.least("vid", "mate")).otherwise(F.least("mate", "back")).alias("up"))
+            up = weight.join(up, "vid", "left").select("vid", "size", F.struct(F.lit(0).alias("kind"), F.coalesce("up", "vid").alias("id")).alias("up"))
+        elif how == 1:
+            up = weight.join(best, "vid", "left").select("vid", "size", F.struct(F.when(F.col("mate").isNull(), 1).otherwise(0).alias("kind"), F.coalesce("mate", loose).alias("id")).alias("up"))
+        else:
+            up = weight.select("vid", "size", F.struct(F.lit(1).alias("kind"), loose.alias("id")).alias("up"))
+        up = stage(_bounded(up, limit))
+        left = up.agg(F.countDistinct("up")).first()[0]
+        if left > 0.9 * n and left > coarsest:
+            how = (how + 1) % 3
+            if left == n:
+                if how == 0:
+                    limit *= 2
+                continue
+        else:
+            how = 0
+        chain.append((up, links, weight))
         to = up.select(F.col("vid").alias("nbr"), F.col("up").alias("nup"))
         links = stage(links.join(up, "vid").join(to, "nbr").where("up <> nup").groupBy(F.col("up").alias("vid"), F.col("nup").alias("nbr")).agg(F.sum("w").alias("w")))
         weight = stage(weight.join(up, "vid").groupBy(F.col("up").alias("vid")).agg(F.sum("size").alias("size")))
-        if weight.count() > 0.9 * n:
-            break
-    if weight.count() <= 4 * coarsest:
-        sizes = {r.vid: r.size for r in weight.collect()}
-        near: dict[int, list] = {}
-        for r in links.collect():
-            near.setdefault(r.vid, []).append((r.nbr, r.w))
-        cap, load, owner = slack * sum(sizes.values()) / parts, [0] * parts, {}
-        for v in sorted(sizes, key=lambda v: (-sizes[v], v)):
-            gain = [0] * parts
-            for u, w in near.get(v, ()):
-                if u in owner:
-                    gain[owner[u]] += w
-            p = min(range(parts), key=lambda p: (load[p] + sizes[v] > cap, -gain[p], load[p], p))
-            owner[v] = p
-            load[p] += sizes[v]
-        spark = links.sparkSession
-        cut = spark.createDataFrame(list(owner.items()) or [(-1, 0)], "vid long, part int")
-    else:
-        from hubgraph.core.portable import bucket as b
-
-        cut = weight.select("vid", b(parts, "ml", "vid").alias("part"))
-    for up in reversed(chain):
+        n = left
+    sizes = {r.vid: r["size"] for r in weight.collect()}
+    near: dict[int, list] = {}
+    for r in links.collect():
+        near.setdefault(r.vid, []).append((r.nbr, r.w))
+    cap, load, owner = slack * total / parts, [0] * parts, {}
+    for v in sorted(sizes, key=lambda v: (-sizes[v], v)):
+        gain = [0] * parts
+        for u, w in near.get(v, ()):
+            if u in owner:
+                gain[owner[u]] += w
+        p = min(range(parts), key=lambda p: (load[p] + sizes[v] > cap, -gain[p], load[p], p))
+        owner[v] = p
+        load[p] += sizes[v]
+    cut = links.sparkSession.createDataFrame(list(owner.items()), "vid long, part int")
+    cut = refine_cut(links, weight, cut, cap, passes=passes, stage=stage)
+    for up, links, weight in reversed(chain):
         cut = up.join(cut.withColumnRenamed("vid", "up"), "up").select("vid", "part")
-    return stage(cut)
+        cut = refine_cut(links, weight, cut, cap, passes=passes, stage=stage)
+    return cut
