@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -133,20 +134,20 @@ def multilevel_edge_cut(graph, parts: int, *, coarsest: int = 2000, slack: float
         links = stage(links.join(up, "vid").join(to, "nbr").where("up <> nup").groupBy(F.col("up").alias("vid"), F.col("nup").alias("nbr")).agg(F.sum("w").alias("w")))
         weight = stage(weight.join(up, "vid").groupBy(F.col("up").alias("vid")).agg(F.sum("size").alias("size")))
         n = left
-    sizes = {r.vid: r["size"] for r in weight.collect()}
-    near: dict[int, list] = {}
-    for r in links.collect():
-        near.setdefault(r.vid, []).append((r.nbr, r.w))
-    cap, load, owner = slack * total / parts, [0] * parts, {}
-    for v in sorted(sizes, key=lambda v: (-sizes[v], v)):
-        gain = [0] * parts
-        for u, w in near.get(v, ()):
-            if u in owner:
-                gain[owner[u]] += w
-        p = min(range(parts), key=lambda p: (load[p] + sizes[v] > cap, -gain[p], load[p], p))
+    # As arrays: the coarsest graph may be dense, and a Row a link would not fit the driver.
+    held, ends = weight.orderBy("vid").toArrow(), links.toArrow()
+    vid, size = (held.column(c).to_numpy().astype(np.int64) for c in ("vid", "size"))
+    a, b = (np.searchsorted(vid, ends.column(c).to_numpy()) for c in ("vid", "nbr"))
+    order = np.argsort(a, kind="stable")
+    b, w, first = b[order], ends.column("w").to_numpy()[order], np.searchsorted(a[order], np.arange(len(vid) + 1))
+    cap, load, owner = slack * total / parts, [0] * parts, np.full(len(vid), -1)
+    for v in np.lexsort((vid, -size)).tolist():
+        to, share = owner[b[first[v] : first[v + 1]]], w[first[v] : first[v + 1]]
+        gain = np.bincount(to[to >= 0], share[to >= 0], parts)
+        p = min(range(parts), key=lambda p: (load[p] + size[v] > cap, -gain[p], load[p], p))
         owner[v] = p
-        load[p] += sizes[v]
-    cut = links.sparkSession.createDataFrame(list(owner.items()), "vid long, part int")
+        load[p] += int(size[v])
+    cut = links.sparkSession.createDataFrame(list(zip(vid.tolist(), owner.tolist(), strict=True)), "vid long, part int")
     cut = refine_cut(links, weight, cut, cap, passes=passes, stage=stage)
     for up, links, weight in reversed(chain):
         cut = up.join(cut.withColumnRenamed("vid", "up"), "up").select("vid", "part")
