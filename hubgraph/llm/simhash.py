@@ -202,7 +202,7 @@ def near_duplicate_report(docs: DataFrame) -> DataFrame:
     return simhash_components(docs).select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
 
 
-SHINGLE, CHUNK, CHUNKS, BINS = 5, 16, 6, 256
+SHINGLE, CHUNK, CHUNKS, BINS, PIECE = 5, 16, 6, 256, 200_000
 #: Documents whose shingles are counted for the order of the prefixes, entries kept of them, and rows of a key compared in one task.
 SAMPLE, COMMON, HOT = 8000, 1 << 17, 4096
 _GRAMS = Rolling(0xA0761D6478BD642F)
@@ -227,7 +227,7 @@ def _shingles(col):
 
 
 def _sampled(batches):
-    for b in slices(batches, "text", 500_000):
+    for b in slices(batches, "text", PIECE):
         h, bound = _shingles(b.column("text"))
         sets = [np.unique(h[s:e]) for s, e in zip(bound[:-1], bound[1:], strict=True)]
         yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(sets).view(np.int64))], ["h"])
@@ -241,7 +241,7 @@ def _profiles(common: np.ndarray, rank: np.ndarray):
     """
 
     def run(batches):
-        for b in slices(batches, "text", 500_000):
+        for b in slices(batches, "text", PIECE):
             h, bound = _shingles(b.column("text"))
             n, out = b.num_rows, {"n": [], "sign": [], "hist": [], "prefix": []}
             chunks = [[] for _ in range(n)]
@@ -348,7 +348,7 @@ def _near_counts(batches):
 
 def _alike(batches):
     """Pairs of texts whose whole shingle sets have a similarity of 0.8 or more."""
-    for b in slices(batches, "x", 500_000):
+    for b in slices(batches, "x", PIECE):
         (h, hb), (g, gb) = _shingles(b.column("x")), _shingles(b.column("y"))
         keep = []
         for i in range(b.num_rows):
