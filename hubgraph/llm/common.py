@@ -10,6 +10,7 @@ import uuid
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
+import zstandard
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -95,6 +96,21 @@ def slices(batches, text: str, limit: int):
             at = end
 
 
+def packed(*arrays: np.ndarray) -> bytes:
+    """Arrays as one compressed string."""
+    body = b"".join(len(a).to_bytes(4, "little") + a.dtype.char.encode() + a.tobytes() for a in arrays)
+    return zstandard.ZstdCompressor(level=1).compress(body)
+
+
+def unpacked(blob: bytes) -> list[np.ndarray]:
+    body, out, at = zstandard.ZstdDecompressor().decompress(blob), [], 0
+    while at < len(body):
+        n, kind = int.from_bytes(body[at : at + 4], "little"), np.dtype(chr(body[at + 4]))
+        out.append(np.frombuffer(body, kind, n, at + 5))
+        at += 5 + n * kind.itemsize
+    return out
+
+
 LOWER = np.arange(256, dtype=np.uint8)
 LOWER[65:91] += 32
 
