@@ -80,7 +80,7 @@ def encode_block(texts: list[str], path: str) -> tuple[np.ndarray, np.ndarray]:
     values = _char_classes()[1]
     key = _CHARS.spans(_CHARS.prefix(values[points]), start, end) if len(start) else np.zeros(0, np.uint64)
     unique, where, which = np.unique(key, return_index=True, return_inverse=True)
-    if len(_SEEN) > 400_000:
+    if len(_SEEN) > 150_000:
         _SEEN.clear()
     ids = []
     for k, s, e in zip(unique.tolist(), start[where].tolist(), end[where].tolist(), strict=True):
@@ -125,104 +125,110 @@ def _pieces(path: str, capacity: int, with_ids: bool):
     return run
 
 
-def _fill(sizes: np.ndarray, counts: np.ndarray, room: int) -> list[int]:
-    """Indices (repeats allowed up to counts) of sizes whose sum comes closest to room: bounded subset sums as bits."""
-    reach, steps = 1, []
-    mask = (1 << (room + 1)) - 1
-    for i in np.argsort(-sizes, kind="stable").tolist():
-        s, n, k = int(sizes[i]), int(counts[i]), 1
-        while n > 0 and s * k <= room:
-            k = min(k, n)
-            steps.append((i, k, reach))
-            reach |= reach << (s * k) & mask
-            n -= k
-            k *= 2
-        if reach >> room & 1:
+def _fullest(sizes: np.ndarray, worth: np.ndarray, capacity: int) -> tuple[float, np.ndarray]:
+    """The most worth that repeated sizes can have within the capacity, and how often each is taken."""
+    most, chosen = np.zeros(capacity + 1), np.full(capacity + 1, -1)
+    for c in range(int(sizes.min()), capacity + 1):
+        got = np.where(sizes <= c, worth + most[np.maximum(c - sizes, 0)], -1.0)
+        i = int(got.argmax())
+        if got[i] > most[c - 1] + 1e-12:
+            most[c], chosen[c] = got[i], i
+        else:
+            most[c] = most[c - 1]
+    take, c = np.zeros(len(sizes)), capacity
+    while c > 0:
+        if chosen[c] < 0:
+            c -= 1
+        else:
+            take[chosen[c]] += 1
+            c -= int(sizes[chosen[c]])
+    return float(most[capacity]), take
+
+
+def configurations(sizes: np.ndarray, demand: np.ndarray, capacity: int, tolerance: float = 1e-5) -> list[tuple[np.ndarray, float]]:
+    """The linear programme of the fewest bins over all configurations of a few sizes: (counts by size, times).
+
+    Revised simplex; the entering configuration is the fullest one at the present prices of the sizes, found by a
+    knapsack, so that no list of configurations is ever made. There are as many configurations used as sizes.
+    """
+    m = len(sizes)
+    alone = np.maximum(1, capacity // sizes).astype(float)
+    columns, inverse, times = [alone[i] * np.eye(m)[i] for i in range(m)], np.diag(1 / alone), demand / alone
+    for _ in range(60 * m):
+        value, column = _fullest(sizes, inverse.sum(0), capacity)
+        if value <= 1 + tolerance:
             break
-    best = reach.bit_length() - 1
-    out: list[int] = []
-    for i, k, before in reversed(steps):
-        if not before >> best & 1:
-            best -= int(sizes[i]) * k
-            out += [i] * k
-    return out
+        step = inverse @ column
+        ratio = np.where(step > 1e-9, times / np.where(step > 1e-9, step, 1), np.inf)
+        out = int(ratio.argmin())
+        times = np.maximum(times - ratio[out] * step, 0)
+        times[out] = ratio[out]
+        columns[out] = column
+        row = inverse[out] / step[out]
+        inverse -= np.outer(step, row)
+        inverse[out] = row
+    return [(c, float(t)) for c, t in zip(columns, times, strict=True) if t > 0]
 
 
-def plan_bins(histogram: dict[int, int], capacity: int = CAPACITY, small: int = 48, groups: int = 384) -> list[tuple[int, list[int]]]:
+def plan_bins(histogram: dict[int, int], capacity: int = CAPACITY, small: int = 128, groups: int = 96) -> list[tuple[int, list[int]]]:
     """(number of bins, exact lengths inside) for lengths below capacity.
 
     Lengths above `small`, in falling order, are dealt into groups of equal cardinality and rounded up to the longest
-    of the group. Configurations over these few sizes are made one after the other, each the fullest that the group
-    counts allow around the longest size left, and used as often as the counts last. Actual lengths then take the
-    places of rounded ones in order, which splits a configuration into runs of bins with equal content. Small lengths
-    go last, each into the fullest bin that still holds it.
+    of the group. The configurations of these few sizes that need the fewest bins come from a linear programme; the
+    whole part of each is used. Actual lengths then take the places of rounded ones: the longest that its group still
+    has, and in a configuration's last place the longest of all that fits, which wins back what rounding up cost. Bins
+    of equal content are made at once. What is left over and the small lengths go last, longest first, each into the
+    fullest bin that still holds it.
     """
-    large = sorted((s for s, n in histogram.items() if n and small < s < capacity), reverse=True)
-    total = sum(histogram[s] for s in large)
-    quota = max(1, -(-total // groups))
-    members: list[list[list[int]]] = []  # by group: [length, count] in falling order
-    rounded, room = [], 0
+    left = {s: n for s, n in histogram.items() if n and s < capacity}
+    large = sorted((s for s in left if s > small), reverse=True)
+    quota = max(1, -(-sum(left[s] for s in large) // groups))
+    rounded, demand, lowest = [], [], []  # by group
     for s in large:
-        n = histogram[s]
+        n = left[s]
         while n:
-            if not room:
-                members.append([])
-                rounded.append(s)
-                room = quota
-            take = min(n, room)
-            members[-1].append([s, take])
+            if not demand or demand[-1] == quota:
+                rounded.append(s), demand.append(0), lowest.append(s)
+            take = min(n, quota - demand[-1])
+            demand[-1] += take
+            lowest[-1] = s
             n -= take
-            room -= take
-    sizes = np.array(rounded, np.int64)
-    left = np.array([sum(n for _, n in m) for m in members], np.int64)
+    there = np.zeros(capacity + 1, np.int64)  # lengths above `small` that are left
+    there[large] = [left[s] for s in large]
     runs: list[tuple[int, list[int]]] = []
-    while len(left) and left.any():
-        top = int(np.nonzero(left)[0][0])
-        left[top] -= 1
-        rest = np.nonzero(left)[0]
-        room = capacity - int(sizes[top])
-        config = [top, *(int(rest[i]) for i in _fill(sizes[rest], left[rest], room))] if len(rest) else [top]
-        left[top] += 1
-        need = np.bincount(config, minlength=len(left))
-        times = int((left[need > 0] // need[need > 0]).min())
-        left -= need * times
+    plan = configurations(np.array(rounded, np.int64), np.array(demand, float), capacity) if large else []
+    plan = sorted((np.repeat(np.arange(len(c)), c.astype(int)).tolist(), t) for c, t in plan)
+    for places, used in plan:
+        times = int(used + 1e-6)
         while times:
             own: list[int] = []
-            can = times
-            pos = {g: 0 for g in config}
-            for g in config:  # the next lengths of each group in order
-                m = members[g]
-                k = pos[g]
-                same = int(need[g])
-                while m and m[0][1] == 0:
-                    m.pop(0)
-                if m[0][1] >= same:
-                    can = min(can, m[0][1] // same)
-                    own.append(m[0][0])
-                else:
-                    can = 1
-                    seen = 0
-                    for s, n in m:
-                        if k < seen + n:
-                            own.append(s)
-                            break
-                        seen += n
-                pos[g] = k + 1
-            for g, used in ((g, int(need[g]) * can) for g in set(config)):
-                m = members[g]
-                while used:
-                    take = min(used, m[0][1])
-                    m[0][1] -= take
-                    used -= take
-                    if not m[0][1]:
-                        m.pop(0)
-            runs.append((int(can), own))
+            for g in places[:-1]:
+                fit = np.nonzero(there[: rounded[g] + 1])[0]
+                if not len(fit) or fit[-1] < lowest[g] - small:
+                    break
+                own.append(int(fit[-1]))
+                there[own[-1]] -= 1
+            room, full = capacity - sum(own), len(own) == len(places) - 1
+            while full and len(fit := np.nonzero(there[: room + 1])[0]):
+                own.append(int(fit[-1]))
+                there[own[-1]] -= 1
+                room -= own[-1]
+            kinds = {s: own.count(s) for s in own}
+            for s, k in kinds.items():
+                there[s] += k
+            if not full or not own:
+                break
+            can = min(times, *(int(there[s]) // k for s, k in kinds.items()))
+            for s, k in kinds.items():
+                there[s] -= k * can
+            runs.append((can, own))
             times -= can
+    last = {s: n for s, n in left.items() if s <= small} | {int(s): int(there[s]) for s in np.nonzero(there)[0]}
     by_room: dict[int, list[tuple[int, list[int]]]] = {}
     for n, own in runs:
         by_room.setdefault(capacity - sum(own), []).append((n, own))
-    for s in sorted((s for s, n in histogram.items() if n and s <= small), reverse=True):
-        n = histogram[s]
+    for s in sorted(last, reverse=True):
+        n = last[s]
         while n:
             fits = [r for r in by_room if r >= s]
             if not fits:
@@ -246,7 +252,7 @@ def pack(docs: DataFrame, ranks_path: str, capacity: int = CAPACITY, *, with_ids
 
     A document is its token ids and the closing id; only one longer than capacity is cut, its first piece holding the
     remainder. Null and empty texts are the closing id alone. Repeated rows are packed each for itself. An empty table
-    gives an empty result. Only the histogram of lengths (capacity entries at most) reaches the driver, and the plan
+    gives an empty result; very long texts are cut whole; other columns are ignored. Only the histogram of lengths (capacity entries at most) reaches the driver, and the plan
     made from it goes back as rows (length, rank range, first sequence, offset): pieces find their place by length and
     rank. Ranks are taken per length and salt, with as many salts as the number of pieces asks for, so a length that
     holds most pieces is still spread.
