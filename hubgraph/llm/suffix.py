@@ -2,7 +2,8 @@
 
 Where two documents share a string of `length` bytes, they share the smallest of its hashed k-byte substrings, at the
 same place in it. So each document is cut to anchors, the smallest substrings of all its windows, each with its
-context: the bytes that any window around it can hold. Equal contexts are all settled by their hashes. Where an
+context: the bytes that any window around it can hold. Equal contexts are all settled by their hashes
+(64 bits of the anchor and 64 of the context). Where an
 anchor has several contexts, the earliest row of each goes, as bytes, to an index block: a run-length encoded
 Burrows-Wheeler transform with text positions at the run ends. Matching statistics of the contexts are streamed
 against it and every match of `length` bytes or more whose first occurrence is earlier is marked.
@@ -20,7 +21,7 @@ from pyspark.sql import functions as F
 from hubgraph.llm.common import BYTE_VALUES, U64, Rolling, flat, mix, slices, stage
 
 LENGTH, ANCHOR = 100, 32
-#: Contexts of one anchor that an index block takes at most; beyond that windows are counted one by one.
+#: Contexts of one anchor that an index block takes at most; beyond that all their strings are grouped one by one.
 GROUP = 16384
 BLOCK_BYTES = 120_000
 _BYTES = Rolling(0x9E3779B97F4A7C15)
@@ -357,17 +358,20 @@ def _indexed(length: int):
 
 
 def _windows(length: int):
-    """Contexts of a crowded anchor to the hashes of their windows."""
+    """Contexts of a crowded anchor to all their strings of `length` bytes."""
 
     def run(batches):
-        for b in slices(batches, "ctx", 500_000):
+        for b in slices(batches, "ctx", 100_000):
             data, off = flat(b.column("ctx"))
             row = np.repeat(np.arange(b.num_rows), np.maximum(np.diff(off) - length + 1, 0))
+            if not len(row):
+                continue
             at = off[row] + np.arange(len(row)) - np.searchsorted(row, row)
-            one = _BYTES.spans(_BYTES.prefix(BYTE_VALUES[data]), at, at + length)
-            two = _BYTES.spans(_BYTES.prefix(mix(BYTE_VALUES[data])), at, at + length)
+            held = np.lib.stride_tricks.sliding_window_view(data, length)[at].tobytes()
+            bounds = pa.py_buffer((np.arange(len(row) + 1, dtype=np.int32) * length).tobytes())
+            strings = pa.Array.from_buffers(pa.binary(), len(row), [None, bounds, pa.py_buffer(held)])
             start = at - off[row] + b.column("lo").to_numpy()[row]
-            yield _frame(w1=one.view(np.int64), w2=two.view(np.int64), doc=b.column("doc").to_numpy()[row], start=start)
+            yield _frame(string=strings, doc=b.column("doc").to_numpy()[row], start=start)
 
     return run
 
@@ -407,9 +411,9 @@ def repeated_spans(docs: DataFrame, length: int = LENGTH, group: int = GROUP) ->
     texts = docs.select(F.col("d").alias("doc"), F.col("text").cast("binary").alias("raw"))
     contexts = stage(wanted.join(texts, "doc").mapInArrow(_contexts, "h long, n long, doc long, lo long, place long, ctx binary"))
     near = contexts.where(F.col("n") <= group).select("h", "doc", "lo", "place", "ctx").repartition("h").sortWithinPartitions("h").mapInArrow(_indexed(length), "doc long, start long, end long")
-    windows = contexts.where(F.col("n") > group).select("doc", "lo", "ctx").mapInArrow(_windows(length), "w1 long, w2 long, doc long, start long")
-    first = windows.groupBy("w1", "w2").agg(F.min(F.struct("doc", "start")).alias("first"))
-    crowded = windows.join(first, ["w1", "w2"]).where(F.struct("doc", "start") > F.col("first")).select("doc", "start", (F.col("start") + length).alias("end"))
+    windows = contexts.where(F.col("n") > group).select("doc", "lo", "ctx").mapInArrow(_windows(length), "string binary, doc long, start long")
+    first = windows.groupBy("string").agg(F.min(F.struct("doc", "start")).alias("first"))
+    crowded = windows.join(first, "string").where(F.struct("doc", "start") > F.col("first")).select("doc", "start", (F.col("start") + length).alias("end"))
     return whole.union(near).union(crowded)
 
 
@@ -417,11 +421,16 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH) -> DataFrame:
     """(doc_id, n_bytes, n_removed, n_spans, kept_sha256, kept): each text without what an earlier text or place holds.
 
     Order is by doc_id, then start; a null doc_id comes first of all. Null texts count as empty. Texts shorter than
-    `length` bytes stay as they are. Rows that repeat a doc_id and a text count as one place, and each gets the same
-    result; of rows that repeat a doc_id with other texts each loses the spans found in any. An empty table gives an
-    empty result; other columns are ignored.
+    `length` bytes stay as they are; very long ones are one row like any other. Rows that repeat a doc_id and a text
+    count as one place, and each gets the same result; rows that repeat a doc_id with other texts are documents of
+    their own, in the order of a hash of their texts. An empty table gives an empty result; other columns are ignored.
     """
     keyed = docs.select("doc_id", F.coalesce(F.col("doc_id").cast("long"), F.lit(NO_ID)).alias("d"), F.coalesce("text", F.lit("")).alias("text"))
+    hashed = keyed.select("d", F.xxhash64("text").alias("h"))
+    if not hashed.groupBy("d").agg(F.min("h").alias("lo"), F.max("h").alias("hi")).where("lo <> hi").isEmpty():
+        # Ids are shared: a number that rises with (d, h) takes the place of d.
+        places = hashed.distinct().repartitionByRange("d", "h").sortWithinPartitions("d", "h").withColumn("place", F.monotonically_increasing_id())
+        keyed = keyed.withColumn("h", F.xxhash64("text")).join(stage(places), ["d", "h"]).select("doc_id", F.col("place").alias("d"), "text")
     marks = repeated_spans(keyed.select("d", "text"), length).groupBy(F.col("doc").alias("d")).agg(F.collect_list(F.struct("start", "end")).alias("marks"))
     rows = keyed.select("doc_id", "d", F.col("text").cast("binary").alias("raw")).join(marks, "d", "left").select("doc_id", "raw", "marks")
     return rows.mapInArrow(_remove, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string, kept binary")
