@@ -3,6 +3,10 @@
 For each language a suffix automaton over a bounded sample of its labelled text gives longest-match lengths. A text
 is parsed greedily into phrases, each the longest string that occurs in the sample; the number of phrases, times the
 bits to point into the sample, per character is the cross-parsing entropy. The language with the least one wins.
+A phrase also ends where a unit of PIECE signs does, for every language alike.
+
+Signs are a blank for all that is no letter, one sign for each of the letters that are frequent in the samples, and
+DIGITS signs for any other letter, from a band of their own, so that no two letters are ever taken for one.
 """
 
 from __future__ import annotations
@@ -19,9 +23,10 @@ from pyspark.sql.window import Window
 from hubgraph.llm.common import id_crc, in_arrow, slices
 
 UNKNOWN = "und"
-#: Bounds of the labelled sample: documents a language, characters a document and characters a language.
-SAMPLE_DOCS, DOC_CHARS, LANG_CHARS = 96, 600, 24_000
-PIECE = 512  # characters parsed as one unit, so that a text is scanned by many lanes at once
+#: Bounds of the labelled sample: distinct documents a language, characters taken from each, and of all languages.
+SAMPLE_DOCS, DOC_CHARS, ALL_CHARS = 96, 160, 122_880
+PIECE = 512  # signs parsed as one unit, so that a text is scanned by many lanes at once
+FREQUENT, BAND, DIGITS = 92, 34, 4  # BAND ** DIGITS is more than there are code points
 
 
 @lru_cache(1)
@@ -44,8 +49,8 @@ def _points(text: str) -> np.ndarray:
 class SuffixAutomaton:
     """All substrings of a sequence of small integers, as a dense table for greedy parsing.
 
-    parse[s, c] is twice the next state, plus one if c ends a phrase, that is, no occurrence goes on with c and the
-    parse starts again at the root with c.
+    parse[s, c] is twice the next state, plus one if a phrase begins with c, that is, no occurrence goes on with c and
+    the parse starts again at the root.
     """
 
     def __init__(self, sequence: list[int], alphabet: int):
@@ -81,32 +86,47 @@ class SuffixAutomaton:
         for s, steps in enumerate(step):
             for c, to in steps.items():
                 self.parse[s, c] = 2 * to
+        self.parse[0] = 2 * root + 1  # at the root a phrase begins; a sign that never occurs is one by itself
         self.length = max(2, len(sequence))
 
 
 class LanguageModel:
-    """One automaton a language over a common alphabet: a space for all that is no letter, the letters seen, others."""
+    """One automaton a language over a common alphabet."""
 
     def __init__(self, samples: dict[str, str]):
         self.names = sorted(samples)
         letter, lower = _letters()
         points = {k: lower[_points(samples[k])] for k in self.names}
         seen, n = np.unique(np.concatenate([p[letter[p]] for p in points.values()] or [np.zeros(0, np.uint32)]), return_counts=True)
-        seen = seen[np.argsort(-n, kind="stable")[:126]]
+        seen = seen[np.argsort(-n, kind="stable")[:FREQUENT]]
         code = np.zeros(0x110000, np.uint8)
-        code[letter] = len(seen) + 1
+        code[letter] = FREQUENT + 1
         code[seen] = np.arange(1, len(seen) + 1)
         self.code = code[lower]  # upper case has the code of its lower case
-        self.letter, self.alphabet = letter, len(seen) + 2
-        self.automata = [SuffixAutomaton(self.code[points[k]].tolist(), self.alphabet) for k in self.names]
+        self.letter, self.lower, self.alphabet = letter, lower, FREQUENT + 1 + BAND
+        self.automata = [SuffixAutomaton(self.signs(points[k])[0].tolist(), self.alphabet) for k in self.names]
+
+    def signs(self, points: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """The signs of code points, and where each one's begin (with the total)."""
+        code = self.code[points]
+        rare = code > FREQUENT
+        at = np.r_[0, np.cumsum(np.where(rare, DIGITS, 1))]
+        out = np.repeat(code, np.diff(at))
+        own, low = at[:-1][rare], self.lower[points[rare]]
+        for k in range(DIGITS):
+            out[own + k] = FREQUENT + 1 + low // BAND**k % BAND
+        return out, at
 
     def entropies(self, texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
         """Bits a character of each text for each language, and whether it has a letter."""
-        size = np.array([len(t) for t in texts], np.int64)
+        chars = np.array([len(t) for t in texts], np.int64)
         points = _points("".join(texts))
-        off = np.r_[0, np.cumsum(size)]
+        off = np.r_[0, np.cumsum(chars)]
         has = np.r_[0, np.cumsum(self.letter[points])]
-        codes = self.code[points]
+        lettered = has[off[1:]] > has[off[:-1]]
+        codes, at = self.signs(points)
+        off = at[off]
+        size = np.diff(off)
         pieces = -(-size // PIECE)
         doc = np.repeat(np.arange(len(texts)), pieces)
         at = off[:-1][doc] + PIECE * (np.arange(len(doc)) - np.repeat(np.cumsum(pieces) - pieces, pieces))
@@ -120,14 +140,14 @@ class LanguageModel:
             lanes[t, : live[t]] = codes[at[: live[t]] + t]
         for k, automaton in enumerate(self.automata):
             table, wide = automaton.parse.ravel(), self.alphabet
-            state, phrases = np.zeros(len(doc), np.int64), np.ones(len(doc), np.int64)
+            state, phrases = np.zeros(len(doc), np.int64), np.zeros(len(doc), np.int64)
             for t in range(len(lanes)):
                 n = live[t]
                 got = table[state[:n] * wide + lanes[t, :n]]
                 phrases[:n] += got & 1
                 state[:n] = got >> 1
             bits[:, k] = np.bincount(doc, phrases, len(texts)) * np.log2(automaton.length)
-        return bits / np.maximum(size, 1)[:, None], has[off[1:]] > has[off[:-1]]
+        return bits / np.maximum(chars, 1)[:, None], lettered
 
     def predict(self, texts: list[str]) -> tuple[list[str], np.ndarray]:
         bits, lettered = self.entropies(texts)
@@ -140,13 +160,27 @@ class LanguageModel:
 
 
 def sample_languages(labelled: DataFrame) -> dict[str, str]:
-    """A bounded sample of each language of (text, lang): the documents with the smallest hash of their text."""
-    rows = labelled.where("lang is not null and text is not null").select("lang", F.xxhash64("text").alias("h"), F.substring("text", 1, DOC_CHARS).alias("t"))
-    rows = rows.withColumn("r", F.row_number().over(Window.partitionBy("lang").orderBy("h", "t"))).where(F.col("r") <= SAMPLE_DOCS)
-    held: dict[str, list] = {}
-    for r in rows.collect():
-        held.setdefault(r.lang, []).append((r.r, r.t))
-    return {k: " ".join(t for _, t in sorted(v))[:LANG_CHARS] for k, v in held.items()}
+    """A bounded sample of each language of (text, lang): from the SAMPLE_DOCS distinct texts with the smallest hash,
+    DOC_CHARS characters each, at a place in the text that the hash draws too. With many languages each document gives
+    fewer, so that all samples together stay within ALL_CHARS (16 characters a document at least)."""
+    known = labelled.where("lang is not null and text is not null").withColumn("h", F.xxhash64("text"))
+    # Hashes above what some four samples of a language need are passed over before any rows are ranked.
+    low = F.col("h").bitwiseAND((1 << 63) - 1)
+    found = known.groupBy("lang").agg(F.approx_count_distinct("h").alias("n")).collect()
+    most = labelled.sparkSession.createDataFrame([(r.lang, min((1 << 63) - 1, 4 * SAMPLE_DOCS * (1 << 63) // max(1, r.n))) for r in found], "lang string, most long")
+    some = known.join(F.broadcast(most), "lang").where(low <= F.col("most")).select("lang", "h").distinct()
+    ranked = some.withColumn("r", F.row_number().over(Window.partitionBy("lang").orderBy(low, "h")))
+    drawn = ranked.where(F.col("r") <= SAMPLE_DOCS).collect()
+    if not drawn:
+        return {}
+    chars = max(16, min(DOC_CHARS, ALL_CHARS // (SAMPLE_DOCS * len({r.lang for r in drawn}))))
+    wanted = labelled.sparkSession.createDataFrame(drawn, "lang string, h long, r int")
+    place = F.pmod("h", F.greatest(F.length("text") - chars + 1, F.lit(1)).cast("long")).cast("int") + 1
+    rows = known.join(F.broadcast(wanted), ["lang", "h"]).select("lang", "r", F.substring("text", place, F.lit(chars)).alias("t"))
+    held: dict[str, dict[int, str]] = {}
+    for r in rows.dropDuplicates(["lang", "r"]).collect():
+        held.setdefault(r.lang, {})[r.r] = r.t
+    return {k: " ".join(v[r] for r in sorted(v)) for k, v in held.items()}
 
 
 @lru_cache(1)
@@ -157,8 +191,9 @@ def _model(key: str, samples: tuple) -> LanguageModel:
 def predict_languages(docs: DataFrame, samples: dict[str, str]) -> DataFrame:
     """docs with lang_pred and score (0 to 1, the winner's share of the languages' likelihoods).
 
-    Whole texts are parsed. A null text, or one without a letter, has lang_pred "und" and score 0; so has every text
-    if nothing was learned. Ties go to the first name. All columns of docs are kept but those two names.
+    Whole texts are parsed, very long ones too. A null text, or one without a letter, has lang_pred "und" and score 0;
+    so has every text if nothing was learned. Ties go to the first name. Repeated rows each get their row, an empty
+    table gives an empty result, and all columns of docs are kept but those two names.
     """
     kept = [c for c in docs.columns if c not in ("lang_pred", "score")]
     docs = docs.select(*kept)
