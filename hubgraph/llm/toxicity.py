@@ -2,8 +2,9 @@
 
 Stems of words that mark toxic documents are learned from labelled rows. The trie of the stems is intersected with
 the Levenshtein automata of distance 1 and made deterministic, so that all words of a block run through one table in
-step and misspelled stems are caught. Hits inside quotation marks count less than open ones. A logistic model over
-what the hits of a document come to gives the score.
+step and misspelled stems are caught, wherever the error is. Hits inside quotation marks and open ones are features of
+their own, so how much a quotation counts is learned. A logistic model over what the hits of a document come to gives
+the score.
 """
 
 from __future__ import annotations
@@ -21,24 +22,28 @@ from hubgraph.llm.langid import _letters
 
 #: Bounds of the labelled sample that stems and weights are learned from, by label; STEMS bounds the lexicon.
 SAMPLE = {1: 1500, 0: 3000}
-STEMS, SHORTEST, LONGEST, FUZZY_FROM = 160, 4, 10, 5
+STEMS, SHORTEST, LONGEST, FUZZY_FROM = 160, 4, 24, 5
 QUOTES = '"“”«»„‟'
-QUOTE_WINDOW, QUOTED_WEIGHT = 60, 0.25
+FEW = 3  # documents
+SURE = 1.64  # standard errors that are taken off the log odds of a stem before it has any worth
+QUOTE_WINDOW = 60  # characters: the most between a quoted hit and either quotation mark
 WORD = re.compile(r"[^\W_]+")
+QUOTED = re.compile(f"[{QUOTES}][^{QUOTES}]{{0,{2 * QUOTE_WINDOW}}}[{QUOTES}]")
 
 
 def learn_stems(docs: list[tuple[str, int]]) -> list[str]:
-    """Prefixes of words that many toxic documents and hardly any clean ones hold; none is the prefix of another."""
+    """Prefixes of words that many toxic documents and hardly any clean ones hold outside of quotation marks; none is
+    the prefix of another."""
     n = Counter(y for _, y in docs)
     seen = {0: Counter(), 1: Counter()}
     for text, y in docs:
-        words = {w[:LONGEST] for w in WORD.findall(text.lower())}
+        words = {w[:LONGEST] for w in WORD.findall(QUOTED.sub(" ", text.lower()))}
         seen[y].update({w[:k] for w in words for k in range(SHORTEST, len(w) + 1)})
     found = []
     for stem, hit in seen[1].items():
         odds = np.log((hit + 0.5) / (n[1] + 1)) - np.log((seen[0][stem] + 0.5) / (n[0] + 1))
         if hit >= 4 and odds >= 2.5:
-            found.append((hit * odds, -len(stem), stem))
+            found.append((hit * odds, len(stem), stem))  # of prefixes with the same documents the longest
     stems: list[str] = []
     for _, _, stem in sorted(found, reverse=True):
         if len(stems) < STEMS and not any(stem.startswith(s) or s.startswith(stem) for s in stems):
@@ -81,7 +86,7 @@ class FuzzyTrie:
         def close(items):
             out = set(items)
             for node, e in items:
-                if e == 0 and node:  # a letter of the stem left out, but not its first
+                if e == 0:  # a letter of the stem left out
                     out |= {(to, 1) for to in child[node].values() if open_to[to]}
             return frozenset(x for x in out if not (x[1] == 1 and (x[0], 0) in out))
 
@@ -99,7 +104,7 @@ class FuzzyTrie:
                 for node, e in state:
                     if c in child[node]:
                         to.add((child[node][c], e))
-                    if e == 0 and node:  # the first letter is held fast
+                    if e == 0:
                         to.add((node, 1))
                         to |= {(x, 1) for x in child[node].values()}
                 to = close({x for x in to if x[1] == 0 or open_to[x[0]]})
@@ -132,10 +137,19 @@ class ToxicityModel:
         texts, y = [t for t, _ in labelled], np.array([y for _, y in labelled], float)
         hits = self.hits(texts)
         # The worth of each stem, matched exactly or nearly, from the documents that it was not chosen on.
-        held = (np.arange(len(labelled)) >= half)[:, None] & (hits > 0)
+        held = (np.arange(len(labelled)) >= half)[:, None] & (hits[0] > 0)
         n1, n0 = max(1, y[half:].sum()), max(1, (1 - y[half:]).sum())
         one, none = (held * y[:, None]).sum(0), (held * (1 - y[:, None])).sum(0)
-        self.worth = np.maximum(0, np.log((one + 0.5) / (n1 + 1)) - np.log((none + 0.5) / (n0 + 1)))
+
+        def worth(one, none):
+            odds = np.log((one + 0.5) / (n1 + 1)) - np.log((none + 0.5) / (n0 + 1))
+            return np.maximum(0, odds - SURE * np.sqrt(1 / (one + 0.5) + 1 / (none + 0.5)))
+
+        self.worth = worth(one, none)
+        # Misspellings that were hardly seen are worth what their stem is, but no more than all misspellings together.
+        near = (one + none)[1::2]
+        together = worth(one[1::2].sum(), none[1::2].sum()) if near.sum() >= FEW else np.inf
+        self.worth[1::2] = np.where(near < FEW, np.minimum(self.worth[::2], together), self.worth[1::2])
         x = self.features(hits)
         self.coef = np.zeros(x.shape[1])
         weight = np.where(y == 1, 0.5 / max(y.mean() if len(y) else 0.5, 1e-3), 0.5 / max(1 - y.mean() if len(y) else 0.5, 1e-3))
@@ -148,18 +162,21 @@ class ToxicityModel:
             self.coef += np.linalg.solve(bend, slope)
 
     def features(self, hits: np.ndarray) -> np.ndarray:
-        worth = hits * self.worth
-        total = worth.sum(1)
-        return np.c_[np.ones(len(hits)), np.minimum(hits, 1) @ self.worth > 0, (np.minimum(hits, 1) * self.worth).max(1, initial=0), np.log1p(total)]
+        """A constant, then for open and for quoted hits: is there a stem of worth, the greatest worth, and the sum."""
+        out = [np.ones(hits.shape[1])]
+        for kind in hits:
+            worth = (kind > 0) * self.worth
+            out += [worth.sum(1) > 0, worth.max(1, initial=0), np.log1p((kind * self.worth).sum(1))]
+        return np.stack(out, 1)
 
     def hits(self, texts: list[str]) -> np.ndarray:
-        """For each text the weighted number of hits of each stem: even columns exact ones, odd ones with an error."""
+        """For each text the hits of each stem, open ones [0] and quoted ones [1]: even columns exact, odd ones with an error."""
         if self.code is None:
             self.code = self.trie.codes()
         off = np.r_[0, np.cumsum([len(t) for t in texts])].astype(np.int64)
         points = np.frombuffer("".join(texts).encode("utf-32-le", "surrogatepass"), np.uint32)
         code = self.code[points]
-        out = np.zeros((len(texts), 2 * len(self.stems)))
+        out = np.zeros((2, len(texts), 2 * len(self.stems)))
         word = code > 0
         edge = np.zeros(len(code) + 1, bool)
         edge[off] = True
@@ -186,15 +203,15 @@ class ToxicityModel:
         found = np.nonzero(best >= 0)[0]
         where = begin[found]
         doc = np.searchsorted(off, where, side="right") - 1
-        weight = np.ones(len(found))
+        quoted = np.zeros(len(found), np.int64)
         if len(quotes) and len(found):
             k = np.searchsorted(quotes, where)
             before = np.where(k > 0, where - quotes[np.maximum(k - 1, 0)], 1 << 40)
             after = np.where(k < len(quotes), quotes[np.minimum(k, len(quotes) - 1)] - where, 1 << 40)
             same = (k > 0) & (k < len(quotes)) & (quotes[np.maximum(k - 1, 0)] >= off[doc]) & (quotes[np.minimum(k, len(quotes) - 1)] < off[doc + 1])
             inside = (k - np.searchsorted(quotes, off[doc])) % 2 == 1
-            weight[same & inside & (before <= QUOTE_WINDOW) & (after <= QUOTE_WINDOW)] = QUOTED_WEIGHT
-        np.add.at(out, (doc, best[found]), weight)
+            quoted[same & inside & (before <= QUOTE_WINDOW) & (after <= QUOTE_WINDOW)] = 1
+        np.add.at(out, (quoted, doc, best[found]), 1)
         return out
 
     def score(self, texts: list[str]) -> np.ndarray:
@@ -212,15 +229,16 @@ def labelled_sample(docs: DataFrame, labels: DataFrame) -> list[tuple[str, int]]
     drawn = [(r.doc_id, y) for y, n in SAMPLE.items() for r in hashed.where(F.col("toxic") == y).orderBy("h", "doc_id").limit(n).collect()]
     ids = docs.sparkSession.createDataFrame(drawn, "doc_id long, toxic int").dropDuplicates(["doc_id"])
     rows = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text")).join(F.broadcast(ids), "doc_id")
-    held = [(r.h, r.text, r.toxic) for r in rows.select(F.xxhash64("text").alias("h"), "text", "toxic").collect()]
+    held = {(r.h, r.text, r.toxic) for r in rows.select(F.xxhash64("text").alias("h"), "text", "toxic").collect()}
     return [(t, y) for _, t, y in sorted(held)]
 
 
 def score_toxicity(docs: DataFrame, model: ToxicityModel) -> DataFrame:
     """(doc_id, score, predicted, n_hits) of docs (doc_id, text, ...).
 
-    Whole texts are scanned. Null and empty texts have no hits and the score of a text without hits. Repeated rows
-    each get their row; an empty table gives an empty result; with no labels every score is 0.5.
+    Whole texts are scanned, very long ones too. Null and empty texts have no hits and the score of a text without
+    hits. Repeated rows each get their row; an empty table gives an empty result; with no labels every score is 0.5.
+    Other columns of docs are ignored.
     """
     shared = docs.sparkSession.sparkContext.broadcast(model)
 
@@ -229,7 +247,7 @@ def score_toxicity(docs: DataFrame, model: ToxicityModel) -> DataFrame:
             m = shared.value
             hits = m.hits([t or "" for t in b.column("text").to_pylist()])
             score = 1 / (1 + np.exp(-np.clip(m.features(hits) @ m.coef, -30, 30)))
-            yield pa.RecordBatch.from_arrays([b.column("doc_id"), pa.array(score), pa.array((score >= 0.7).astype(np.int32)), pa.array(hits.sum(1))], ["doc_id", "score", "predicted", "n_hits"])
+            yield pa.RecordBatch.from_arrays([b.column("doc_id"), pa.array(score), pa.array((score >= 0.7).astype(np.int32)), pa.array(hits.sum((0, 2)))], ["doc_id", "score", "predicted", "n_hits"])
 
     return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, score double, predicted int, n_hits double")
 
