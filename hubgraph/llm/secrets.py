@@ -21,20 +21,46 @@ RULES = {
 KINDS = {kind: (version, pattern) for version, rules in RULES.items() for kind, pattern in rules.items()}
 
 
+#: Entries that one fold appends to; rows of a known address are dealt over as many keys.
+BLOCK, SALTS = 128, 16
+
+
 def _empty() -> Column:
     return F.array().cast("array<struct<start:bigint,k:int,kind:string,end:bigint>>")
 
 
+def _let(value: Column, body) -> Column:
+    """body(value) with the value worked out once, however often the body names it."""
+    return F.transform(F.array(value), body)[0]
+
+
+def _in_blocks(array: Column) -> Column:
+    """The array cut into arrays of BLOCK entries, so that what folds append is copied within a block alone."""
+    return F.transform(F.sequence(F.lit(0), F.greatest(F.ceil(F.size(array) / BLOCK) - 1, F.lit(0)).cast("int")), lambda b: F.slice(array, b * BLOCK + 1, F.lit(BLOCK)))
+
+
+def _running(values: Column, step) -> Column:
+    """What a fold from 0 has come to before each entry of an array of numbers, and at its end."""
+    start = F.struct(F.lit(0).cast("bigint").alias("at"), F.array(F.lit(0).cast("bigint")).alias("out"))
+
+    def add(acc, x):
+        at = step(acc.at, x).cast("bigint")
+        return F.struct(at.alias("at"), F.concat(acc.out, F.array(at)).alias("out"))
+
+    return F.aggregate(values, start, add, lambda a: a.out)
+
+
 def _spans(text: Column, kind: str) -> Column:
     """Spans of the leftmost matches: the pieces between matches and the matches themselves give the places."""
     pattern = F.lit(KINDS[kind][1])
     rank = F.lit(list(KINDS).index(kind))
     gaps = F.transform(F.split(text, KINDS[kind][1], -1), F.length)
     hits = F.regexp_extract_all(text, pattern, F.lit(0))
-    sizes = F.transform(hits, F.length)
-    values = F.transform(F.regexp_extract_all(text, pattern, F.lit(2)), F.length) if kind == "assign" else sizes
-    zipped = F.arrays_zip(F.slice(gaps, F.lit(1), F.size(hits)).alias("gap"), sizes.alias("size"), values.alias("value"))
-    start = F.struct(F.lit(0).cast("bigint").alias("at"), _empty().alias("out"))
+    values = F.transform(F.regexp_extract_all(text, pattern, F.lit(2)), F.length) if kind == "assign" else None
+
+    def zipped(hits):
+        sizes = F.transform(hits, F.length)
+        return F.arrays_zip(F.slice(gaps, F.lit(1), F.size(hits)).alias("gap"), sizes.alias("size"), (sizes if values is None else values).alias("value"))
 
     def step(acc, x):
         begin = acc.at + x["gap"]
@@ -42,7 +68,42 @@ def _spans(text: Column, kind: str) -> Column:
         keep = x["value"] >= 6 if kind == "assign" else F.lit(True)
         return F.struct((begin + x["size"]).cast("bigint").alias("at"), F.when(keep, F.concat(acc.out, F.array(span))).otherwise(acc.out).alias("out"))
 
-    return F.when(F.regexp_like(text, pattern), F.aggregate(zipped, start, step, lambda a: a.out)).otherwise(_empty())
+    def placed(blocks):
+        sums = F.transform(blocks, lambda b: F.aggregate(b, F.lit(0).cast("bigint"), lambda a, x: a + x["gap"] + x["size"]))
+        each = F.zip_with(blocks, F.slice(_running(sums, lambda at, x: at + x), F.lit(1), F.size(blocks)), lambda b, at: F.aggregate(b, F.struct(at.alias("at"), _empty().alias("out")), step, lambda a: a.out))
+        return F.flatten(each)
+
+    found = _let(hits, lambda h: _let(zipped(h), lambda z: _let(_in_blocks(z), placed)))
+    return F.when(F.regexp_like(text, pattern), found).otherwise(_empty())
+
+
+def redacted(text: Column, spans: Column, mark: str) -> Column:
+    """The text with the mark in place of all that sorted spans cover; spans that overlap share one mark."""
+
+    def cut(block, at0, end):
+        def pieces(chunk):  # the text from at0 to end
+            start = F.struct(at0.alias("at"), F.array().cast("array<string>").alias("out"))
+
+            def step(acc, x):
+                gap = F.substring(chunk, (acc.at - at0 + 1).cast("int"), F.greatest(x["start"] - acc.at, F.lit(0)).cast("int"))
+                piece = F.when(x["start"] >= acc.at, F.concat(gap, F.lit(mark))).otherwise(F.lit(""))
+                return F.struct(F.greatest(acc.at, x["end"]).alias("at"), F.concat(acc.out, F.array(piece)).alias("out"))
+
+            return F.aggregate(block, start, step, lambda a: F.array_join(a.out, ""))
+
+        return _let(F.substring(text, (at0 + 1).cast("int"), (end - at0).cast("int")), pieces)
+
+    def joined(blocks):
+        ends = F.transform(blocks, lambda b: F.array_max(F.transform(b, lambda x: x["end"])))
+
+        def whole(at):
+            numbered = F.sequence(F.lit(0), F.size(blocks) - 1)
+            head = F.transform(numbered, lambda i: cut(blocks[i], at[i], at[i + 1]))
+            return F.concat(F.array_join(head, ""), F.substring(text, (F.element_at(at, -1) + 1).cast("int"), F.length(text)))
+
+        return _let(_running(ends, F.greatest), whole)
+
+    return F.when(F.size(spans) > 0, _let(_in_blocks(spans), joined)).otherwise(text)
 
 
 def scan(blobs: DataFrame, version: int) -> DataFrame:
@@ -74,12 +135,27 @@ def scan_unseen(docs: DataFrame, ledger: DataFrame | None = None, versions=tuple
     return out
 
 
-def findings(docs: DataFrame, ledger: DataFrame, versions=tuple(RULES)) -> DataFrame:
-    """docs with blob and spans: what the ledger has for the blob of each row. Rows with equal texts share findings."""
+def findings(docs: DataFrame, ledger: DataFrame, versions=tuple(RULES), *, text: bool = False) -> DataFrame:
+    """docs with blob and spans: what the ledger has for the blob of each row. Rows with equal texts share findings.
+
+    A blob that very many rows hold is dealt over SALTS keys: its findings, not its rows, are repeated. The text is
+    not moved unless it is asked for.
+    """
     known = ledger.where(F.col("version").isin(*versions)).where(F.size("spans") > 0)
     known = known.groupBy("blob").agg(F.array_sort(F.flatten(F.collect_list("spans"))).alias("spans"))
-    # The text is not moved: each row goes by its address.
-    return addressed(docs).drop("text").join(known, "blob", "left").withColumn("spans", F.coalesce("spans", _empty()))
+    known = known.withColumn("salt", F.explode(F.sequence(F.lit(0).cast("bigint"), F.lit(SALTS - 1).cast("bigint"))))
+    held = addressed(docs).withColumn("salt", F.monotonically_increasing_id() % SALTS)
+    return (held if text else held.drop("text")).join(known, ["blob", "salt"], "left").withColumn("spans", F.coalesce("spans", _empty())).drop("salt")
+
+
+def redact_documents(docs: DataFrame, ledger: DataFrame, mark: str) -> DataFrame:
+    """All rows of docs (text, n_chars, ...), each secret of the ledger replaced by the mark, n_chars counted anew.
+
+    Null texts become empty. Repeated rows each get their row, an empty table gives an empty result, and very long
+    texts are cut in one pass. All columns are kept, whatever their names; blob, spans and salt are taken by this.
+    """
+    out = findings(docs, ledger, text=True).withColumn("text", redacted(F.col("text"), F.col("spans"), mark))
+    return out.withColumn("n_chars", F.length("text").cast("long")).select(*docs.columns)
 
 
 def _digest(spans: Column) -> Column:
@@ -90,7 +166,8 @@ def secret_report(docs: DataFrame, ledger: DataFrame | None = None) -> DataFrame
     """The digest of query op3.
 
     Null texts count as empty; an empty text has no spans. Repeated rows each get their row. An empty table gives an
-    empty result, and other columns of docs are ignored.
+    empty result, and other columns of docs are ignored. Very long texts are scanned whole, in time that grows little
+    faster than the number of their matches.
     """
     docs = docs.select("doc_id", "text")
     new = scan_unseen(docs, ledger)
