@@ -169,6 +169,7 @@ def decontaminate(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, *
     words are passed over; a null item_id is listed as "null"; repeated items count once. Repeated documents each
     get their row. The items are broadcast up to block_chars characters; beyond that the items, cut into blocks of
     that size on the executors, each make a scan, and the hits of a row are united by a key written with it before.
+    Very long texts are scanned whole; empty tables give no rows or no hits; other columns are ignored.
     """
     docs = docs.select("doc_id", "text")
     items, total = _items(benchmark)
