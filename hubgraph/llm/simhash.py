@@ -10,6 +10,7 @@ verified by their exact distance; inside a key only a spanning forest of the tru
 
 from __future__ import annotations
 
+import uuid
 from functools import lru_cache
 
 import numpy as np
@@ -17,13 +18,13 @@ import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql.window import Window
 
-from hubgraph.llm.common import LOWER, Rolling, flat, in_arrow, mix, slices, stage
+from hubgraph.llm.common import LOWER, Rolling, flat, in_arrow, mix, packed, slices, stage, unpacked
 from hubgraph.llm.components import connected_components
 from hubgraph.llm.ctw import tokens
 
 GENERATOR = 0b101011100011  # generator polynomial of the (23,12) Golay code
+SHARE, SALTS = 512, 64
 WIDTH, SEGMENTS = 23, ((0, 23), (23, 23), (46, 18))
 
 
@@ -178,6 +179,20 @@ def _links(batches):
         yield emit(held_k, held_f)
 
 
+def salted_join(rows: DataFrame, groups: DataFrame, by: str, spark) -> DataFrame:
+    """rows joined with groups, one row for each value of `by` with the number k of rows that hold it.
+
+    Values that more than one row in SHARE holds, of which there are fewer than SHARE, are dealt over SALTS keys.
+    """
+    total = rows.count()
+    hot = spark.createDataFrame([(r[0],) for r in groups.where(F.col("k") > max(1, total // SHARE)).select(by).collect()], groups.select(by).schema).withColumn("hot", F.lit(True))
+    salt = F.when(F.col("hot"), F.monotonically_increasing_id() % SALTS).otherwise(0)
+    left = rows.join(F.broadcast(hot), by, "left").withColumn("salt", salt).drop("hot")
+    salts = F.when(F.col("hot"), F.sequence(F.lit(0).cast("long"), F.lit(SALTS - 1).cast("long"))).otherwise(F.array(F.lit(0).cast("long")))
+    right = groups.join(F.broadcast(hot), by, "left").withColumn("salt", F.explode(salts)).drop("hot", "k")
+    return left.join(right, [by, "salt"]).drop("salt")
+
+
 def simhash_components(docs: DataFrame) -> DataFrame:
     """(doc_id, fp, component_id) of every row of docs (doc_id, text, ...).
 
@@ -186,15 +201,16 @@ def simhash_components(docs: DataFrame) -> DataFrame:
     a component_id unless nothing else is there. Repeated rows stay. An empty table gives an empty result; other
     columns are ignored. Copies meet as one fingerprint, so no group of copies is ever expanded.
     """
+    spark = docs.sparkSession
     prints = stage(docs.select("doc_id", "text").transform(in_arrow, _prints, "doc_id long, fp long"))
-    unique = stage(prints.groupBy("fp").agg(F.min("doc_id").alias("low")))
+    unique = stage(prints.groupBy("fp").agg(F.min("doc_id").alias("low"), F.count("*").alias("k")))
     keyed = unique.select("fp").transform(in_arrow, _keys, "key long, fp long")
     links = keyed.repartition("key").sortWithinPartitions("key", "fp").transform(in_arrow, _links, "a long, b long")
     labels = connected_components(links)
-    owner = unique.join(labels.withColumnRenamed("node", "fp"), "fp", "left").select("fp", "low", F.coalesce("label", "fp").alias("label"))
+    owner = unique.join(labels.withColumnRenamed("node", "fp"), "fp", "left").select("fp", "low", "k", F.coalesce("label", "fp").alias("label"))
     lowest = owner.groupBy("label").agg(F.min("low").alias("component_id"))
-    of_print = owner.join(lowest, "label").select("fp", "component_id")
-    return prints.join(of_print, "fp").select("doc_id", "fp", "component_id")
+    of_print = owner.join(lowest, "label").select("fp", "k", "component_id")
+    return salted_join(prints, of_print, "fp", spark).select("doc_id", "fp", "component_id")
 
 
 def near_duplicate_report(docs: DataFrame) -> DataFrame:
@@ -202,9 +218,10 @@ def near_duplicate_report(docs: DataFrame) -> DataFrame:
     return simhash_components(docs).select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
 
 
-SHINGLE, CHUNK, CHUNKS, BINS, PIECE = 5, 16, 6, 256, 200_000
-#: Documents whose shingles are counted for the order of the prefixes, entries kept of them, and rows of a key compared in one task.
-SAMPLE, COMMON, HOT = 8000, 1 << 17, 4096
+SHINGLE, BINS, PIECE = 5, 256, 200_000
+#: Bytes of text whose shingles are counted together, and of a range of hashes; rows of a key compared in one task.
+SLICE, RANGE_BYTES, HOT = 2_000_000, 24_000_000, 4096
+KEPT_BITS = 40  # of a shingle's hash, where shingles are counted and meet
 _GRAMS = Rolling(0xA0761D6478BD642F)
 
 
@@ -226,123 +243,229 @@ def _shingles(col):
     return _GRAMS.spans(prefix, at, np.minimum(at + SHINGLE, first[row + 1])), np.r_[0, np.cumsum(starts)]
 
 
-def _sampled(batches):
-    for b in slices(batches, "text", PIECE):
-        h, bound = _shingles(b.column("text"))
-        sets = [np.unique(h[s:e]) for s, e in zip(bound[:-1], bound[1:], strict=True)]
-        yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(sets).view(np.int64))], ["h"])
-
+def _prefix_size(n: np.ndarray) -> np.ndarray:
+    """Two sets of similarity 0.8 share one of so many first shingles under any one order of all shingles."""
+    return np.where(n > 0, n + (-4 * n // 5) + 1, 0)
 
-def _profiles(common: np.ndarray, rank: np.ndarray):
-    """Of each text: set size, digest of the set, CHUNKS chunk fingerprints, counts of the set by BINS, and its prefix.
 
-    A chunk ends at a shingle whose hash is divisible by CHUNK; its fingerprint is the SimHash of its shingles. The
-    prefix is the first n - ceil(0.8 n) + 1 shingles of the set, those outside `common` first, then by rising rank.
-    """
+def _ask(ranges: int):
+    """Texts to (range, slice, payload): the distinct shingles of a slice's documents by range of hashes, and in range
+    -1 of each document key, id, set size, digest of the set and counts of the set by BINS."""
+    rest = KEPT_BITS - (ranges.bit_length() - 1)
 
     def run(batches):
-        for b in slices(batches, "text", PIECE):
+        for b in slices(batches, "text", SLICE):
             h, bound = _shingles(b.column("text"))
-            n, out = b.num_rows, {"n": [], "sign": [], "hist": [], "prefix": []}
-            chunks = [[] for _ in range(n)]
-            if len(h):
-                starts = np.diff(bound)
-                row = np.repeat(np.arange(n), starts)
-                cut = np.unique(np.r_[bound[:-1][starts > 0], np.nonzero(h % np.uint64(CHUNK) == 0)[0]])
-                bits = np.unpackbits(h.astype("<u8").view(np.uint8).reshape(-1, 8), axis=1, bitorder="little")
-                ones = np.add.reduceat(bits, cut, axis=0, dtype=np.int32)
-                many = np.diff(np.r_[cut, len(h)])
-                fp = np.packbits(2 * ones > many[:, None], axis=1, bitorder="little").view("<u8").ravel()
-                at = np.searchsorted(row[cut], np.arange(n + 1))
-                for i in range(n):
-                    own = np.unique(fp[at[i] : at[i + 1]])
-                    chunks[i] = own[np.argsort(mix(own))[:CHUNKS]].view(np.int64)
-            for s, e in zip(bound[:-1], bound[1:], strict=True):
-                own = np.unique(h[s:e])
-                out["n"].append(len(own))
-                out["sign"].append(xxhash.xxh3_128_digest(own.tobytes()))
-                out["hist"].append(np.minimum(np.bincount((own >> np.uint64(56)).astype(np.int64), minlength=BINS), 255).astype(np.uint8).tobytes())
-                known = np.zeros(len(own), np.int64)
-                if len(common) and len(own):
-                    spot = np.minimum(np.searchsorted(common, own), len(common) - 1)
-                    known = np.where(common[spot] == own, rank[spot], 0)
-                out["prefix"].append(own[np.lexsort((own, known))[: len(own) + (-4 * len(own) // 5) + 1 if len(own) else 0]].view(np.int64))
-            yield pa.RecordBatch.from_arrays([b.column("key"), b.column("doc_id"), pa.array(out["n"], pa.int32()), pa.array(out["sign"], pa.binary()), pa.array(chunks, pa.list_(pa.int64())), pa.array(out["hist"], pa.binary()), pa.array(out["prefix"], pa.list_(pa.int64()))], ["key", "doc_id", "n", "sign", "chunks", "hist", "prefix"])
+            row = np.repeat(np.arange(b.num_rows), np.diff(bound))
+            order = np.lexsort((h, row))
+            h, row = h[order], row[order]
+            new = np.r_[True, (h[1:] != h[:-1]) | (row[1:] != row[:-1])] if len(h) else np.zeros(0, bool)
+            h, row = h[new], row[new]
+            n = np.bincount(row, minlength=b.num_rows)
+            at = np.r_[0, np.cumsum(n)].tolist()
+            counts = np.bincount(row * BINS + (h >> np.uint64(56)).astype(np.int64), minlength=BINS * b.num_rows)
+            sign = np.frombuffer(b"".join(xxhash.xxh3_128_digest(h[s:e].tobytes()) for s, e in zip(at[:-1], at[1:], strict=True)), np.uint8)
+            given = b.column("doc_id").is_valid().to_numpy(zero_copy_only=False).astype(np.uint8)
+            own = (b.column("key").to_numpy(), b.column("doc_id").fill_null(0).to_numpy(), given, n, sign, np.minimum(counts, 255).astype(np.uint8))
+            name = uuid.uuid4().hex
+            rows = [(-1, name, packed(*own))]
+            h = h >> np.uint64(64 - KEPT_BITS)
+            order = np.argsort(h, kind="stable")
+            h, row = h[order], row[order].astype(np.uint16 if b.num_rows < 1 << 16 else np.uint32)
+            cut = np.searchsorted(h, np.arange(ranges + 1, dtype=np.uint64) << np.uint64(rest)).tolist()
+            for p in range(ranges):
+                s, e = cut[p], cut[p + 1]
+                if s < e:
+                    low = (h[s:e] - np.uint64(p << rest)).astype(np.uint32)
+                    rows.append((p, name, packed(np.diff(low, prepend=np.uint32(0)), row[s:e])))
+            p, name, blob = zip(*rows, strict=True)
+            yield pa.RecordBatch.from_arrays([pa.array(p, pa.int32()), pa.array(name), pa.array(blob, pa.binary())], ["p", "slice", "blob"])
 
     return run
 
 
-def _prefix_rows(hot: np.ndarray, blocks: np.ndarray):
+def _own(ranges: int):
+    """All payloads of some ranges, sorted by range: for each slice its documents' shingles that other documents hold
+    too, and how many do. The document lists (range -1) pass through."""
+    rest = KEPT_BITS - (ranges.bit_length() - 1)
+
+    def settle(p, held):
+        parts = [(name, *unpacked(blob)) for name, blob in held]
+        low = [np.cumsum(d, dtype=np.uint32) for _, d, _ in parts]
+        _, which, many = np.unique(np.concatenate(low), return_inverse=True, return_counts=True)
+        many, at, out = many[which], 0, []
+        for (name, _, row), v in zip(parts, low, strict=True):
+            df = many[at : at + len(v)]
+            at += len(v)
+            if (df > 1).any():
+                out.append((name, packed(row[df > 1], v[df > 1].astype(np.uint64) + np.uint64(p << rest), df[df > 1].astype(np.uint32))))
+        return out
+
+    def batch(out):
+        name, blob = zip(*out, strict=True) if out else ([], [])
+        return pa.RecordBatch.from_arrays([pa.array(name, pa.string()), pa.array(blob, pa.binary())], ["slice", "blob"])
+
+    def run(batches):
+        held, last = [], None
+        for b in batches:
+            for p, name, blob in zip(*(b.column(c).to_pylist() for c in ("p", "slice", "blob")), strict=True):
+                if p == -1:
+                    yield batch([(name, b"\0" + blob)])
+                    continue
+                if p != last and held:
+                    yield batch(settle(last, held))
+                    held = []
+                last = p
+                held.append((name, blob))
+        if held:
+            yield batch(settle(last, held))
+
+    return run
+
+
+PROFILE = "key long, doc_id long, n int, sign binary, hist binary, h array<long>, pos array<int>, df array<int>"
+
+
+def _gather(batches):
+    """The answers to a slice, sorted by slice, to one row a document: its profile, and those of its prefix's shingles
+    that others hold too. The order of shingles is by rising number of documents, then by hash; shingles of one
+    document alone come first and can meet nothing, so they only take up places."""
+
+    def rows(held):
+        key, doc_id, given, n, sign, hist = unpacked(next(x for x in held if x[:1] == b"\0")[1:])
+        parts = [unpacked(x) for x in held if x[:1] != b"\0"]
+        row, h, df = (np.concatenate(x) for x in zip(*parts, strict=True)) if parts else (np.zeros(0, np.int64),) * 3
+        order = np.lexsort((h, df, row))
+        row, h, df = row[order].astype(np.int64), h[order].astype(np.int64), df[order]
+        shared = np.bincount(row, minlength=len(key))
+        pos = np.arange(len(row)) - np.searchsorted(row, row) + (n - shared)[row]
+        use = pos < _prefix_size(n)[row]
+        row, h, df, pos = row[use], h[use], df[use], pos[use]
+        at = pa.array(np.r_[0, np.cumsum(np.bincount(row, minlength=len(key)))], pa.int32())
+        lists = [pa.ListArray.from_arrays(at, pa.array(x, t)) for x, t in ((h, pa.int64()), (pos, pa.int32()), (df, pa.int32()))]
+        cut = lambda x, w: pa.array([x[i : i + w].tobytes() for i in range(0, w * len(key), w)], pa.binary())
+        return pa.RecordBatch.from_arrays([pa.array(key), pa.array(doc_id, mask=given == 0), pa.array(n, pa.int32()), cut(sign, 16), cut(hist, BINS), *lists], ["key", "doc_id", "n", "sign", "hist", "h", "pos", "df"])
+
+    held, last = [], None
+    for b in batches:
+        for name, blob in zip(b.column("slice").to_pylist(), b.column("blob").to_pylist(), strict=True):
+            if name != last and held:
+                yield rows(held)
+                held = []
+            last = name
+            held.append(blob)
+    if held:
+        yield rows(held)
+
+
+def _prefix_rows(hot: int):
     """A row of each shingle of a prefix. A hot one is dealt in blocks of documents, one row for each pair of blocks."""
 
     def run(batches):
         for b in batches:
-            col = b.column("prefix")
-            off, values = col.offsets.to_numpy(), col.values.to_numpy().view(np.uint64)
-            values = values[off[0] : off[-1]]
-            many = np.diff(off)
-            row = np.repeat(np.arange(b.num_rows), many)
-            pos = np.arange(len(row)) - np.repeat(off[:-1] - off[0], many)
-            if len(hot) and len(values):
-                at = np.minimum(np.searchsorted(hot, values), len(hot) - 1)
-                times = np.where(hot[at] == values, blocks[at], 1)
-                pick = np.repeat(np.arange(len(values)), times)
-                other = np.arange(len(pick)) - np.repeat(np.cumsum(times) - times, times)
-                k = times[pick]
-                own = (mix(b.column("key").to_numpy().view(np.uint64))[row[pick]] % k.astype(np.uint64)).astype(np.int64)
-                # A block meets itself in every pair it is part of, so no pair of a block with itself is made.
-                use = (k == 1) | (other != own)
-                pick, other, k, own = pick[use], other[use], k[use], own[use]
-                salt = np.where(k == 1, 0, 1 + np.minimum(own, other) * k + np.maximum(own, other)).astype(np.uint64)
-                values, row, pos = np.where(salt == 0, values[pick], mix(values[pick] + mix(salt))), row[pick], pos[pick]
+            lists = [b.column(c) for c in ("h", "pos", "df")]
+            values, pos, df = (x.flatten().to_numpy() for x in lists)
+            values = values.view(np.uint64)
+            row = np.repeat(np.arange(b.num_rows), np.diff(lists[0].offsets.to_numpy()))
+            times = -(-df.astype(np.int64) // hot)
+            pick = np.repeat(np.arange(len(values)), times)
+            other = np.arange(len(pick)) - np.repeat(np.cumsum(times) - times, times)
+            k = times[pick]
+            own = (mix(b.column("key").to_numpy().view(np.uint64))[row[pick]] % np.maximum(k, 1).astype(np.uint64)).astype(np.int64)
+            # A block meets itself in every pair it is part of, so no pair of a block with itself is made.
+            use = (k == 1) | (other != own)
+            pick, other, k, own = pick[use], other[use], k[use], own[use]
+            salt = np.where(k == 1, 0, 1 + np.minimum(own, other) * k + np.maximum(own, other)).astype(np.uint64)
+            values, row, pos = np.where(salt == 0, values[pick], mix(values[pick] + mix(salt))), row[pick], pos[pick]
             for s in range(0, max(len(row), 1), 200_000):
-                r = row[s : s + 200_000]
-                yield pa.RecordBatch.from_arrays([pa.array(values[s : s + 200_000].view(np.int64)), b.column("key").take(pa.array(r)), b.column("comp").take(pa.array(r)), b.column("n").take(pa.array(r)), pa.array(pos[s : s + 200_000].astype(np.int32))], ["h", "key", "comp", "n", "pos"])
+                r = pa.array(row[s : s + 200_000])
+                yield pa.RecordBatch.from_arrays([pa.array(values[s : s + 200_000].view(np.int64)), *(b.column(c).take(r) for c in ("key", "comp", "n")), pa.array(pos[s : s + 200_000], pa.int32())], ["h", "key", "comp", "n", "pos"])
 
     return run
 
 
-def _meet(batches):
-    """Pairs of rows of one shingle that may reach 0.8 by their sizes and by what can follow and precede the shingle.
+def _near_hist(x: np.ndarray, y: np.ndarray, both: np.ndarray) -> np.ndarray:
+    """Which rows of counts by BINS differ by no more than those of sets of similarity 0.8 can, `both` sizes added up."""
+    return 9 * np.abs(x.astype(np.int16) - y).sum(1, dtype=np.int64) <= both
+
+
+def _meet(neighbours: int | None, counted: bool = False, rows: bool = False):
+    """Pairs of rows of one shingle that may reach 0.8 by their sizes, by what can follow and precede the shingle and,
+    if counted, by their counts by BINS; or the rows themselves that are in such a pair.
 
     Rows arrive sorted by shingle and size; a shingle may span batches. Pairs already in one group are passed over.
+    With `neighbours` a row meets only so many rows next to it, and the first one; else it meets all. A counted row
+    has its whole prefix with it, so that a pair is written once, at the first shingle that both prefixes hold.
     """
-
-    def emit(h, key, comp, n, pos):
-        live, lag, a, b = np.arange(len(h)), 0, [], []
-        while len(live):
+    names = ("h", "key", "comp", "n", "pos")
+
+    def emit(h, key, comp, n, pos, hist, start, prefix):
+        a, b, sets = [], [], {}
+
+        def met_first(i, j):
+            if j not in sets:
+                sets[j] = set(prefix[j])
+            return next(x for x in prefix[i] if x in sets[j]) == prefix[i][pos[i] - start[i]]
+
+        def pairs(i, j):
+            most = np.minimum(pos[i], pos[j]) + np.minimum(n[i] - pos[i], n[j] - pos[j])
+            ok = (comp[i] != comp[j]) & (5 * n[i] >= 4 * n[j]) & (9 * most >= 4 * (n[i] + n[j]))
+            i, j = i[ok], j[ok]
+            if counted:
+                cuts = range(0, len(i), 10_000)
+                near = np.concatenate([_near_hist(hist[i[s : s + 10_000]], hist[j[s : s + 10_000]], (n[i] + n[j])[s : s + 10_000]) for s in cuts] or [np.zeros(0, bool)])
+                i, j = i[near], j[near]
+                once = np.array([met_first(*x) for x in zip(i.tolist(), j.tolist(), strict=True)], bool)
+                i, j = i[once], j[once]
+            if rows:
+                i, j = np.unique(i), np.unique(j)
+            a.append(i)
+            b.append(j)
+
+        if neighbours:
+            pairs(np.searchsorted(h, h), np.arange(len(h)))
+        live, lag = np.arange(len(h)), 0
+        while len(live) and lag != neighbours:
             lag += 1
             live = live[live + lag < len(h)]
-            j = live + lag
-            going = (h[live] == h[j]) & (5 * n[live] >= 4 * n[j])
-            live, j = live[going], j[going]
-            most = np.minimum(pos[live], pos[j]) + np.minimum(n[live] - pos[live], n[j] - pos[j])
-            ok = (comp[live] != comp[j]) & (9 * most >= 4 * (n[live] + n[j]))
-            a.append(key[live[ok]])
-            b.append(key[j[ok]])
-        a, b = (np.concatenate(x) if x else np.zeros(0, np.int64) for x in (a, b))
-        pairs = np.unique(np.stack([np.maximum(a, b), np.minimum(a, b)], 1), axis=0)
-        return pa.RecordBatch.from_arrays([pa.array(pairs[:, 0]), pa.array(pairs[:, 1])], ["a", "b"])
-
-    held = [np.zeros(0, np.int64)] * 5
-    for batch in batches:
-        rows = [np.r_[x, batch.column(c).to_numpy().astype(np.int64)] for x, c in zip(held, ("h", "key", "comp", "n", "pos"), strict=True)]
-        if not len(rows[0]):
-            continue
-        cut = np.searchsorted(rows[0], rows[0][-1])
-        if cut:
-            yield emit(*(x[:cut] for x in rows))
-        held = [x[cut:] for x in rows]
-    if len(held[0]):
-        yield emit(*held)
+            live = live[(h[live] == h[live + lag]) & (5 * n[live] >= 4 * n[live + lag])]
+            pairs(live, live + lag)
+        if rows:
+            use = np.unique(np.concatenate([*a, *b])).astype(np.int64) if a else np.zeros(0, np.int64)
+            return pa.RecordBatch.from_arrays([pa.array(x[use], t) for x, t in zip((h, key, comp, n, pos), (pa.int64(),) * 3 + (pa.int32(),) * 2, strict=True)], list(names))
+        x, y = (key[np.concatenate(i)] if i else np.zeros(0, np.int64) for i in (a, b))
+        both = np.unique(np.stack([np.maximum(x, y), np.minimum(x, y)], 1), axis=0)
+        return pa.RecordBatch.from_arrays([pa.array(both[:, 0]), pa.array(both[:, 1])], ["a", "b"])
+
+    def run(batches):
+        held = [np.zeros(0, np.int64)] * 5 + [np.zeros((0, BINS if counted else 0), np.uint8), np.zeros(0, np.int64), np.zeros(0, object)]
+        for batch in batches:
+            new = [batch.column(c).to_numpy().astype(np.int64) for c in names]
+            m, prefix = len(new[0]), np.zeros(len(new[0]), object)
+            if counted:
+                prefix[:] = batch.column("prefix").to_pylist()
+                new += [np.frombuffer(b"".join(batch.column("hist").to_pylist()), np.uint8).reshape(-1, BINS), batch.column("start").to_numpy().astype(np.int64), prefix]
+            else:
+                new += [np.zeros((m, 0), np.uint8), np.zeros(m, np.int64), prefix]
+            every = [np.concatenate([x, y]) for x, y in zip(held, new, strict=True)]
+            if not len(every[0]):
+                continue
+            cut = np.searchsorted(every[0], every[0][-1])
+            if cut:
+                yield emit(*(x[:cut] for x in every))
+            held = [x[cut:] for x in every]
+        if len(held[0]):
+            yield emit(*held)
+
+    return run
 
 
 def _near_counts(batches):
     """Pairs that may reach 0.8: the counts by BINS differ by no more than sets of that similarity can differ."""
     for b in batches:
-        x, y = (np.frombuffer(b"".join(b.column(c).to_pylist()), np.uint8).reshape(-1, BINS).astype(np.int32) for c in ("x", "y"))
+        x, y = (np.frombuffer(b"".join(b.column(c).to_pylist()), np.uint8).reshape(-1, BINS) for c in ("x", "y"))
         n, m = (b.column(c).to_numpy().astype(np.int64) for c in ("n", "m"))
-        ok = (9 * np.abs(x - y).sum(1) <= n + m) & (5 * np.minimum(n, m) >= 4 * np.maximum(n, m))
+        ok = _near_hist(x, y, n + m) & (5 * np.minimum(n, m) >= 4 * np.maximum(n, m))
         yield pa.RecordBatch.from_arrays([b.column("a"), b.column("b")], ["a", "b"]).filter(pa.array(ok, pa.bool_()))
 
 
@@ -363,53 +486,58 @@ def near_duplicate_rows(docs: DataFrame) -> DataFrame:
     five-word shingle similarity 0.8 or more.
 
     The search is exact. Two sets of that similarity share a shingle of their prefixes under any one order of all
-    shingles, so the order, rarest first by the counts of a sample, bears on time alone. Links found cheaply (copies,
-    chunk fingerprints, SimHash) are verified and joined first; prefixes then only bring up pairs of different groups.
-    Every pair, whatever brought it up, is verified on the whole sets of both texts. Rows without words are alike.
+    shingles; the order here is by the number of documents that hold a shingle, counted over all documents, so that a
+    passage many documents share brings few of them together. Copies, SimHash links and each prefix shingle's nearest
+    rows are verified and joined first; then prefixes bring up all pairs of different groups. Every pair, whatever
+    brought it up, is verified on the whole sets of both texts. Rows without words are alike. Null and repeated ids,
+    empty tables and very long texts are no special cases: rows go by a hash of id and text.
     """
-    keyed = docs.select(row_key().alias("key"), "doc_id", "text")
-    total = docs.count()
-    every = max(1, -(-total // SAMPLE))
-    counted = keyed.where(F.pmod("key", F.lit(every)) == 0).select("text").transform(in_arrow, _sampled, "h long").groupBy("h").agg(F.count("*").alias("k")).where("k > 1")
-    top = counted.orderBy(F.desc("k"), "h").limit(COMMON).toPandas()
-    common, rank = top.h.to_numpy(np.int64).view(np.uint64), top.k.to_numpy(np.int64)
-    order = np.argsort(common)
-    common, rank = common[order], rank[order]
-    blocks = -(-rank * every // HOT)
-    held = stage(keyed.transform(in_arrow, _profiles(common, rank), "key long, doc_id long, n int, sign binary, chunks array<long>, hist binary, prefix array<long>"))
+    spark, keyed = docs.sparkSession, docs.select(row_key().alias("key"), "doc_id", "text")
+    size = docs.agg(F.coalesce(F.sum(F.length("text")), F.lit(0))).first()[0]
+    ranges = 1 << max(8, (size // RANGE_BYTES).bit_length())
+    asked = keyed.transform(in_arrow, _ask(ranges), "p int, slice string, blob binary")
+    answers = stage(asked.repartition("p", F.when(F.col("p") < 0, F.col("slice"))).sortWithinPartitions("p").transform(in_arrow, _own(ranges), "slice string, blob binary"))
+    held = stage(answers.repartition("slice").sortWithinPartitions("slice").transform(in_arrow, _gather, PROFILE))
     again = stage(held.groupBy("key").agg(F.count("*").alias("k")).where("k > 1").select("key"))
     if not again.isEmpty():
         held = stage(held.join(again, "key", "left_anti").unionByName(held.join(again, "key", "left_semi").dropDuplicates(["key"])))
     # Copies meet as one: only the first row of each set looks for others.
-    first = held.groupBy("sign").agg(F.min("key").alias("b"))
-    same = stage(held.select("sign", F.col("key").alias("a")).join(first, "sign").where("a <> b").select("a", "b"))
+    first = held.groupBy("sign").agg(F.min("key").alias("b"), F.count("*").alias("k")).where("k > 1")
+    same = stage(salted_join(held.select("sign", F.col("key").alias("a")), first, "sign", spark).where("a <> b").select("a", "b"))
     profile = held.select("key", "n", "hist")
     texts = keyed.select("key", "text")
 
-    def verified(pairs):
-        """Pairs of keys that pass the counts and then the test on the texts; each document's text is read once a side."""
-        side = lambda k, c, x: profile.select(F.col("key").alias(k), F.col("n").alias(c), F.col("hist").alias(x))
-        close = stage(pairs.join(side("b", "m", "y"), "b").join(side("a", "n", "x"), "a").select("a", "b", "n", "m", "x", "y").transform(in_arrow, _near_counts, "a long, b long"))
+    def verified(close):
+        """Pairs of keys that pass the test on the texts; each document's text is read once a side."""
         asked = close.select(F.col("a").alias("key")).union(close.select("b")).distinct()
         some = texts.join(asked, "key", "left_semi").dropDuplicates(["key"])
         read = lambda k, x: some.select(F.col("key").alias(k), F.col("text").alias(x))
         return stage(close.join(read("b", "y"), "b").join(read("a", "x"), "a").select("a", "b", "x", "y").transform(in_arrow, _alike, "a long, b long"))
 
-    rows = held.select("key", "n", F.explode("chunks").alias("fp")).join(same.select(F.col("a").alias("key")), "key", "left_anti")
-    shared = rows.groupBy("fp").agg(F.count("*").alias("k"), F.min("key").alias("head")).where("k > 1")
-    near = rows.join(shared, "fp").withColumn("before", F.lag("key").over(Window.partitionBy("fp").orderBy("n", "key")))
-    by_chunk = near.select(F.col("key").alias("a"), F.explode(F.array("head", "before")).alias("b"))
+    def near(pairs):
+        """Pairs of keys that pass the counts."""
+        side = lambda k, c, x: profile.select(F.col("key").alias(k), F.col("n").alias(c), F.col("hist").alias(x))
+        return stage(pairs.join(side("b", "m", "y"), "b").join(side("a", "n", "x"), "a").select("a", "b", "n", "m", "x", "y").transform(in_arrow, _near_counts, "a long, b long"))
+
     by_print = simhash_components(keyed.select(F.col("key").alias("doc_id"), "text")).select(F.col("doc_id").alias("a"), F.col("component_id").alias("b"))
     for end in ("a", "b"):
         to = same.select(F.col("a").alias(end), F.col("b").alias("to"))
         by_print = by_print.join(to, end, "left").withColumn(end, F.coalesce("to", end)).drop("to")
-    ordered = lambda d: d.where("b is not null and a <> b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct()
-    early = connected_components(same.union(verified(ordered(by_chunk.union(by_print)))))
+    by_print = by_print.where("a <> b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct()
+    seek = stage(held.where(F.size("h") > 0).select("key", "n", "h", "pos", "df").join(same.select(F.col("a").alias("key")), "key", "left_anti"))
+
+    posting = "h long, key long, comp long, n int, pos int"
+
+    def spread(grouped):
+        return grouped.transform(in_arrow, _prefix_rows(HOT), posting).repartition("h").sortWithinPartitions("h", "n", "key")
+
+    beside = spread(seek.withColumn("comp", F.col("key"))).transform(in_arrow, _meet(2), "a long, b long").distinct()
+    early = connected_components(same.union(verified(near(by_print.union(beside).distinct()))))
     known = early.select(F.col("node").alias("key"), F.col("label").alias("comp"))
-    seek = held.select("key", "n", "prefix").join(same.select(F.col("a").alias("key")), "key", "left_anti").join(known, "key", "left").withColumn("comp", F.coalesce("comp", "key"))
-    spread = seek.select("key", "comp", "n", "prefix").transform(in_arrow, _prefix_rows(common[blocks > 1], blocks[blocks > 1]), "h long, key long, comp long, n int, pos int")
-    met = spread.repartition("h").sortWithinPartitions("h", "n", "key").transform(in_arrow, _meet, "a long, b long")
-    late = verified(met.distinct())
+    # Rows that may be alike across groups meet with their counts, so that only pairs which pass those are written.
+    apart = spread(seek.join(known, "key", "left").withColumn("comp", F.coalesce("comp", "key"))).transform(in_arrow, _meet(None, rows=True), posting)
+    counted = apart.join(held.select("key", "hist", F.get("pos", F.lit(0)).alias("start"), F.col("h").alias("prefix")), "key").repartition("h").sortWithinPartitions("h", "n", "key")
+    late = verified(stage(counted.transform(in_arrow, _meet(None, counted=True), "a long, b long").distinct()))
     # Only pairs across groups are left, so the second search joins labels and not documents.
     for end in ("a", "b"):
         late = late.join(known.select(F.col("key").alias(end), F.col("comp").alias("to")), end, "left").withColumn(end, F.coalesce("to", end)).drop("to")
