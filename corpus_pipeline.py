@@ -39,18 +39,7 @@ def drop_contaminated(spark, docs, sf_dir):
 
 def redact_secrets(spark, docs, sf_dir):
     """Every document stays; each secret in it is replaced by a mark, and n_chars follows."""
-    ledger = stage(secrets.scan_unseen(docs))
-    hits = ledger.where(F.size("spans") > 0).groupBy("blob").agg(F.array_sort(F.flatten(F.collect_list("spans"))).alias("spans"))
-    held = secrets.addressed(docs).join(hits, "blob", "left")
-
-    def step(acc, s):
-        start = F.greatest(s["start"], acc["at"])
-        gap = F.substring(F.col("text"), (acc["at"] + 1).cast("int"), F.greatest(start - acc["at"], F.lit(0)).cast("int"))
-        return F.when(s["end"] <= acc["at"], acc).otherwise(F.struct(F.concat(acc["out"], gap, F.when(s["start"] >= acc["at"], F.lit(REDACTED)).otherwise(F.lit(""))).alias("out"), s["end"].alias("at")))
-
-    done = F.aggregate("spans", F.struct(F.lit("").alias("out"), F.lit(0).cast("bigint").alias("at")), step, lambda a: F.concat(a["out"], F.substring(F.col("text"), (a["at"] + 1).cast("int"), F.length("text"))))
-    text = F.when(F.col("spans").isNull(), F.col("text")).otherwise(done)
-    return held.withColumn("text", text).withColumn("n_chars", F.length("text").cast("long")).select(*docs.columns)
+    return secrets.redact_documents(docs, stage(secrets.scan_unseen(docs)), REDACTED)
 
 
 def pack_sequences(spark, docs, sf_dir):
