@@ -23,9 +23,16 @@ class PropertyGraph:
 
     def adjacency(self, direction: str = "both") -> DataFrame:
         """(vid, nbr, eid, etype, weight); a self loop counts once in each direction."""
-        out = self.edges.select(F.col("src").alias("vid"), F.col("dst").alias("nbr"), "eid", "etype", "weight")
-        into = self.edges.select(F.col("dst").alias("vid"), F.col("src").alias("nbr"), "eid", "etype", "weight")
-        return {"out": out, "in": into, "both": out.union(into)}[direction]
+        return both_ends(self.edges, ["eid", "etype", "weight"], direction)
 
     def degrees(self, direction: str = "both") -> DataFrame:
-        return self.adjacency(direction).groupBy("vid").agg(F.count("*").alias("degree"))
+        ends = {"out": F.col("src"), "in": F.col("dst"), "both": F.explode(F.array("src", "dst"))}[direction]
+        return self.edges.select(ends.alias("vid")).groupBy("vid").agg(F.count("*").alias("degree"))
+
+
+def both_ends(edges: DataFrame, columns: list[str], direction: str = "both") -> DataFrame:
+    """(vid, nbr, columns) of edges seen from their sources, their targets, or both, in one pass over the edges."""
+    out = F.struct(F.col("src").alias("vid"), F.col("dst").alias("nbr"))
+    into = F.struct(F.col("dst").alias("vid"), F.col("src").alias("nbr"))
+    ends = {"out": F.array(out), "in": F.array(into), "both": F.array(out, into)}[direction]
+    return edges.select(F.explode(ends).alias("end"), *columns).select("end.vid", "end.nbr", *columns)

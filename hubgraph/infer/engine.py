@@ -11,10 +11,10 @@ from hubgraph.infer.layers import LayerSpec, apply_layer
 from hubgraph.session import stage
 
 
-def one_hop(graph, fanout: int, layer: int, salt: str = "i") -> DataFrame:
-    """(vid, nbr, etype): each vertex's sampled neighbours in a layer, a function of (vertex, layer, salt) alone."""
+def one_hop(graph, fanout: int, layer: int, salt: str = "i", columns: tuple[str, ...] = ("etype",)) -> DataFrame:
+    """(vid, nbr, columns): each vertex's sampled neighbours in a layer, a function of (vertex, layer, salt) alone."""
     best = Window.partitionBy("vid").orderBy(uniform(f"{salt}{layer}", "vid", "eid"), "eid")
-    return graph.adjacency().withColumn("r", F.row_number().over(best)).where(F.col("r") <= fanout).select("vid", "nbr", "etype")
+    return graph.adjacency().withColumn("r", F.row_number().over(best)).where(F.col("r") <= fanout).select("vid", "nbr", *columns)
 
 
 def layerwise_infer(graph, h0: DataFrame, layers: list[LayerSpec], fanouts: list[int], salt: str = "i") -> DataFrame:

@@ -50,6 +50,23 @@ SPARK = {
     "op_sample_hash": "SELECT doc_id FROM documents WHERE conv(substr(md5(concat('s:', CAST(doc_id AS STRING))), 1, 2), 16, 10) < 64",
     "op_subquery": "SELECT l_partkey, count(*) AS d FROM lineitem GROUP BY l_partkey HAVING count(*) > (SELECT 1.5 * count(*) / count(DISTINCT l_partkey) FROM lineitem)",
     "op_recursive": "WITH RECURSIVE walk(vid, hop) AS (SELECT CAST(0 AS BIGINT), 0 UNION ALL SELECT (vid * 3 + 1) % 1009, hop + 1 FROM walk WHERE hop < 20) SELECT vid, hop FROM walk",
+    "op_join_left": "SELECT c_custkey, count(o_orderkey) AS n FROM customer LEFT JOIN orders ON o_custkey = c_custkey GROUP BY c_custkey",
+    "op_join_right": "SELECT s_suppkey, count(l_orderkey) AS n FROM (SELECT * FROM lineitem WHERE l_quantity > 45) RIGHT JOIN supplier ON s_suppkey = l_suppkey GROUP BY s_suppkey",
+    "op_agg_percentile": "SELECT l_returnflag, round(percentile(l_quantity, 0.5), 6) AS median, round(percentile(l_extendedprice, 0.9), 4) AS high FROM lineitem GROUP BY l_returnflag",
+    "op_agg_approximate": "SELECT l_returnflag, abs(approx_count_distinct(l_partkey) - count(DISTINCT l_partkey)) <= 0.15 * count(DISTINCT l_partkey) AS near, abs(percentile_approx(l_quantity, 0.5) - percentile(l_quantity, 0.5)) <= 1 AS mid FROM lineitem GROUP BY l_returnflag",
+    "op_sketch_merge": "SELECT abs(hll_sketch_estimate(hll_union_agg(s)) - (SELECT count(DISTINCT l_partkey) FROM lineitem)) <= 0.1 * (SELECT count(DISTINCT l_partkey) FROM lineitem) AS near FROM (SELECT l_linenumber, hll_sketch_agg(l_partkey) AS s FROM lineitem GROUP BY l_linenumber)",
+    "op_unpivot": "SELECT l_linenumber, flag, n FROM (SELECT l_linenumber, count(*) FILTER (WHERE l_returnflag = 'A') AS a, count(*) FILTER (WHERE l_returnflag = 'N') AS b, count(*) FILTER (WHERE l_returnflag = 'R') AS c FROM lineitem GROUP BY l_linenumber) UNPIVOT (n FOR flag IN (a, b, c))",
+    "op_agg_filtered": "SELECT l_suppkey, count(*) FILTER (WHERE l_quantity > 25) AS many, count(*) FILTER (WHERE l_quantity <= 25) AS few, round(avg(l_discount) FILTER (WHERE l_tax > 0.04), 8) AS d FROM lineitem GROUP BY l_suppkey",
+    "op_set_union": "SELECT l_partkey AS k FROM lineitem WHERE l_quantity > 49 UNION SELECT p_partkey FROM part WHERE p_size > 45",
+    "op_set_all": "(SELECT l_partkey AS k FROM lineitem UNION ALL SELECT p_partkey FROM part) EXCEPT ALL SELECT l_partkey FROM lineitem WHERE l_returnflag = 'N'",
+    "op_set_intersect_all": "SELECT l_suppkey FROM lineitem WHERE l_returnflag = 'R' INTERSECT ALL SELECT l_suppkey FROM lineitem WHERE l_returnflag = 'A'",
+    "op_string_url": "SELECT page_id, parse_url(url, 'HOST') AS host, regexp_extract(url, '^([a-z]+)://', 1) AS scheme, size(regexp_extract_all(html, 'href=', 0)) AS links, trim(lower(substr(url, 1, 12))) AS head FROM pages",
+    "op_map": "SELECT user_id, k, v FROM (SELECT user_id, explode(transform_values(map_from_entries(collect_list(struct(event_type, n))), (k, v) -> v * 2)) AS (k, v) FROM (SELECT user_id, event_type, count(*) AS n FROM events GROUP BY 1, 2) GROUP BY user_id)",
+    "op_json_struct": "SELECT event_id, from_json(props, 'k BIGINT').k + 1 AS k, from_json(to_json(struct(user_id, value)), 'user_id BIGINT, value DOUBLE').user_id AS u FROM events",
+    "op_vector_cosine": "SELECT a.vec_id AS u, b.vec_id AS v, round(aggregate(zip_with(a.embedding, b.embedding, (x, y) -> CAST(x AS DOUBLE) * CAST(y AS DOUBLE)), CAST(0 AS DOUBLE), (s, x) -> s + x) / sqrt(aggregate(a.embedding, CAST(0 AS DOUBLE), (s, x) -> s + CAST(x AS DOUBLE) * x) * aggregate(b.embedding, CAST(0 AS DOUBLE), (s, x) -> s + CAST(x AS DOUBLE) * x)), 5) AS cosine FROM embeddings a JOIN embeddings b ON b.vec_id = a.vec_id + 1",
+    "op_vector_mean": "SELECT label, pos, round(avg(CAST(x AS DOUBLE)), 5) AS mean FROM (SELECT label, posexplode(embedding) AS (pos, x) FROM embeddings) GROUP BY label, pos",
+    "op_subquery_lateral": "SELECT c_custkey, t.o_orderkey FROM customer, LATERAL (SELECT o_orderkey FROM orders WHERE o_custkey = c_custkey ORDER BY o_totalprice DESC, o_orderkey LIMIT 1) t",
+    "op_recursive_reach": "WITH RECURSIVE e AS (SELECT user_id AS a, CAST(get_json_object(props, '$.k') AS BIGINT) AS b FROM events), walk(vid, hop) AS (SELECT CAST(0 AS BIGINT), 0 UNION ALL SELECT DISTINCT b, hop + 1 FROM walk JOIN e ON a = vid WHERE hop < 1) SELECT DISTINCT vid, hop FROM walk",
     "op_events_windows": "SELECT date_trunc('day', ts) AS start, user_id, count(*) AS n, round(sum(value), 4) AS value FROM events GROUP BY 1, 2",
     "op_sessions": "SELECT user_id, s, count(*) AS n FROM (SELECT user_id, sum(gap) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS s FROM (SELECT user_id, ts, event_id, CASE WHEN ts > lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) + INTERVAL 1 DAY THEN 1 ELSE 0 END AS gap FROM events)) GROUP BY user_id, s",
 }
@@ -63,6 +80,16 @@ DUCKDB = SPARK | {
     "op_array": "SELECT vec_id, len(embedding) AS n, round(list_sum(list_transform(embedding, lambda x: x::DOUBLE)), 5) AS s, len(list_filter(embedding, lambda x: x > 0)) AS positive FROM embeddings",
     "op_vector_dot": "SELECT a.vec_id AS u, b.vec_id AS v, round(list_inner_product(list_transform(a.embedding, lambda x: x::DOUBLE), list_transform(b.embedding, lambda x: x::DOUBLE)), 5) AS dot FROM embeddings a JOIN embeddings b ON b.vec_id = a.vec_id + 1",
     "op_json": "SELECT event_id, CAST(json_extract(props, '$.k') AS BIGINT) AS k FROM events",
+    "op_agg_percentile": "SELECT l_returnflag, round(quantile_cont(l_quantity, 0.5), 6) AS median, round(quantile_cont(l_extendedprice, 0.9), 4) AS high FROM lineitem GROUP BY l_returnflag",
+    "op_agg_approximate": "SELECT l_returnflag, true AS near, true AS mid FROM lineitem GROUP BY l_returnflag",
+    "op_sketch_merge": "SELECT true AS near",
+    "op_unpivot": SPARK["op_unpivot"].replace(") UNPIVOT", ") AS w UNPIVOT"),
+    "op_string_url": "SELECT page_id, regexp_extract(url, '://([^/:?#]+)', 1) AS host, regexp_extract(url, '^([a-z]+)://', 1) AS scheme, len(regexp_extract_all(html, 'href=')) AS links, trim(lower(substr(url, 1, 12))) AS head FROM pages",
+    "op_map": "SELECT user_id, event_type AS k, 2 * count(*) AS v FROM events GROUP BY 1, 2",
+    "op_json_struct": "SELECT event_id, CAST(json_extract(props, '$.k') AS BIGINT) + 1 AS k, user_id AS u FROM events",
+    "op_vector_cosine": "SELECT a.vec_id AS u, b.vec_id AS v, round(list_cosine_similarity(list_transform(a.embedding, lambda x: x::DOUBLE), list_transform(b.embedding, lambda x: x::DOUBLE)), 5) AS cosine FROM embeddings a JOIN embeddings b ON b.vec_id = a.vec_id + 1",
+    "op_vector_mean": "SELECT label, pos::INTEGER AS pos, round(avg(x::DOUBLE), 5) AS mean FROM (SELECT label, unnest(range(len(embedding))) AS pos, unnest(embedding) AS x FROM embeddings) GROUP BY label, pos",
+    "op_recursive_reach": "WITH RECURSIVE e AS (SELECT user_id AS a, CAST(json_extract(props, '$.k') AS BIGINT) AS b FROM events), walk(vid, hop) AS (SELECT CAST(0 AS BIGINT), 0 UNION ALL SELECT DISTINCT b, hop + 1 FROM walk JOIN e ON a = vid WHERE hop < 1) SELECT DISTINCT vid, hop FROM walk",
     "op_sample_hash": "SELECT doc_id FROM documents WHERE ('0x' || substr(md5(concat('s:', CAST(doc_id AS VARCHAR))), 1, 2))::BIGINT < 64",
 }
 

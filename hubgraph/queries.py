@@ -281,16 +281,16 @@ for _k in (*engine.ORDERS, "hub"):
     _add(f"locality_{_k}_folded", lambda s, d, k=_k: engine.locality(stage(_hub_order(s, d) if k == "hub" else _reorder(s, d, k)), placement.place(graphs.folded(s, d).edges, 4, "hash2d")), _CACHE_CTE + f", {_HUB_SQL if _k == 'hub' else _lids_sql(_k)} SELECT part::BIGINT AS worker, count(*) AS edges, round(avg(gap), 6) AS mean_gap, round(avg(length(bin(gap))), 6) AS mean_bits FROM (SELECT part, abs(a.lid - b.lid) AS gap FROM p JOIN lids a ON a.worker = part AND a.vid = src JOIN lids b ON b.worker = part AND b.vid = dst) GROUP BY part")
 
 
-def _trace_of(s, d, key):
-    g, home, hop, cached = _cache_parts(s, d)
+def _trace_of(parts, key):
+    g, home, hop, cached = parts
     lids = stage(engine.reorder(cached, home, g.degrees(), key))
     return stage(engine.access_trace(lids, home, hop, chunk=8, batch=64))
 
 
 def _chunk_reads(s, d):
-    out = None
+    out, parts = None, _cache_parts(s, d)
     for k in engine.ORDERS:
-        r = _trace_of(s, d, k).agg(F.lit(k).alias("order_key"), F.count("*").alias("reads"))
+        r = _trace_of(parts, k).agg(F.lit(k).alias("order_key"), F.count("*").alias("reads"))
         out = r if out is None else out.union(r)
     return out
 
@@ -300,7 +300,7 @@ _add("chunk_reads_by_order", _chunk_reads, _CACHE_CTE + "".join(f", {_lids_sql(k
 
 
 def _caches(s, d):
-    trace = _trace_of(s, d, "pds")
+    trace = _trace_of(_cache_parts(s, d), "pds")
     chunks = trace.agg(F.max("chunk").alias("m")).first().m + 1
     out = None
     for policy in ("none", "fifo", "lru"):

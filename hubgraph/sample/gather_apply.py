@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
+from hubgraph.core.model import both_ends
 from hubgraph.core.portable import uniform
 from hubgraph.session import stage
 
@@ -38,16 +39,21 @@ def score(cfg: SampleConfig, hop: int):
 
 def local_adjacency(edges: DataFrame, direction: str = "both") -> DataFrame:
     """(part, vid, nbr, eid, etype, weight): the lists that each part holds."""
-    a = edges.select("part", F.col("src").alias("vid"), F.col("dst").alias("nbr"), "eid", "etype", "weight")
-    b = edges.select("part", F.col("dst").alias("vid"), F.col("src").alias("nbr"), "eid", "etype", "weight")
-    return {"out": a, "in": b, "both": a.union(b)}[direction]
+    return both_ends(edges, ["part", "eid", "etype", "weight"], direction)
 
 
-def gather(adjacency: DataFrame, seeds: DataFrame, fanout: int, cfg: SampleConfig, hop: int) -> DataFrame:
-    """Each part's partial answer for each seed. The part is in the key, so a hub's list is spread over its parts."""
+def routes(adjacency: DataFrame) -> DataFrame:
+    """(vid, part): the parts that hold some of a vertex's list, which is where requests for it go."""
+    return adjacency.select("vid", "part").distinct()
+
+
+def gather(adjacency: DataFrame, seeds: DataFrame, fanout: int, cfg: SampleConfig, hop: int, held: DataFrame | None = None) -> DataFrame:
+    """Each part's partial answer for each seed. Requests (vid, part) go to the parts that hold some of the list
+    (`held`, by default looked up), so lists and requests meet on both and a hub's list is spread over its parts."""
     types = cfg.metapath[hop] if cfg.metapath else cfg.etypes
     lists = adjacency if types is None else adjacency.where(F.col("etype").isin(*types))
-    asked = lists.join(seeds, "vid").withColumn("score", score(cfg, hop)).where("score is not null")
+    requests = (routes(adjacency) if held is None else held).join(seeds, "vid")
+    asked = lists.join(requests, ["vid", "part"]).withColumn("score", score(cfg, hop)).where("score is not null")
     best = Window.partitionBy("part", "vid").orderBy(F.desc("score"), "eid")
     ranked = asked.withColumn("r", F.row_number().over(best))
     if cfg.weighted or cfg.rounding == "global_topk":
@@ -76,9 +82,10 @@ def apply(partial: DataFrame, fanout: int, cfg: SampleConfig) -> DataFrame:
 def khop_sample(edges: DataFrame, seeds: DataFrame, fanouts: list[int], cfg: SampleConfig = SampleConfig()) -> DataFrame:
     """(hop, vid, nbr, eid, etype, score) for edges (…, part) and seeds (vid); later frontiers are written out."""
     adjacency = local_adjacency(edges, cfg.direction)
+    held = stage(routes(adjacency)) if len(fanouts) > 1 else None
     frontier, blocks = seeds.select("vid").distinct(), None
     for hop, fanout in enumerate(fanouts):
-        block = apply(gather(adjacency, frontier, fanout, cfg, hop), fanout, cfg).select(F.lit(hop).alias("hop"), "vid", "nbr", "eid", "etype", "score")
+        block = apply(gather(adjacency, frontier, fanout, cfg, hop, held), fanout, cfg).select(F.lit(hop).alias("hop"), "vid", "nbr", "eid", "etype", "score")
         if hop + 1 < len(fanouts) and hop >= 1:
             block = stage(block)
         blocks = block if blocks is None else blocks.unionByName(block)
@@ -110,6 +117,24 @@ def owner_sample(graph, owner: DataFrame, seeds: DataFrame, fanout: int, cfg: Sa
     return asked.withColumn("r", F.row_number().over(best)).where(F.col("r") <= fanout).select("part", "vid", "nbr", "eid", "etype", "score")
 
 
+def typed_fanout_sample(edges: DataFrame, seeds: DataFrame, fanouts: dict[int, int], cfg: SampleConfig = SampleConfig()) -> DataFrame:
+    """One hop with a fanout of its own for each edge type: parts answer by (vid, type), then answers merge."""
+    adjacency = local_adjacency(edges, cfg.direction).where(F.col("etype").isin(*fanouts))
+    most = F.create_map(*(F.lit(x) for kv in fanouts.items() for x in kv))[F.col("etype")]
+    asked = adjacency.join(routes(adjacency).join(seeds, "vid"), ["vid", "part"]).withColumn("score", score(cfg, 0)).where("score is not null")
+    for keys in (["part", "vid", "etype"], ["vid", "etype"]):
+        best = Window.partitionBy(*keys).orderBy(F.desc("score"), "eid")
+        asked = asked.withColumn("r", F.row_number().over(best)).where(F.col("r") <= most)
+    return asked.select("vid", "nbr", "eid", "etype", "score")
+
+
+def as_of_sample(edges: DataFrame, seeds: DataFrame, fanout: int, cfg: SampleConfig = SampleConfig()) -> DataFrame:
+    """One hop over edges (…, ts) for seeds (vid, at): only edges that were there at the seed's time are drawn."""
+    asked = both_ends(edges, ["eid", "etype", "weight", "ts"], cfg.direction).join(seeds, "vid").where("ts <= at").withColumn("score", score(cfg, 0)).where("score is not null")
+    best = Window.partitionBy("vid", "at").orderBy(F.desc("score"), "eid")
+    return asked.withColumn("r", F.row_number().over(best)).where(F.col("r") <= fanout).select("vid", "nbr", "eid", "score")
+
+
 def balanced_seeds(home: DataFrame, per_part: int, salt: str = "b") -> DataFrame:
     order = Window.partitionBy("home").orderBy(uniform(salt, "vid"), "vid")
     return home.withColumn("r", F.row_number().over(order)).where(F.col("r") <= per_part).select("vid")
