@@ -17,7 +17,8 @@ REDACTED = "[REDACTED]"
 
 
 def identify_language(spark, docs, sf_dir):
-    """Documents with a language go on, with lang set to the predicted one; those without a letter go."""
+    """Documents with a language go on, with lang set to the predicted one; those without a letter, null and empty texts
+    too, go. Repeated rows stay, ties go to the first name, an empty table gives an empty result."""
     samples = langid.sample_languages(docs)
     found = langid.predict_languages(docs, samples)
     return found.where(F.col("lang_pred") != langid.UNKNOWN).withColumn("lang", F.col("lang_pred")).select(*docs.columns)
@@ -33,17 +34,17 @@ def drop_near_duplicates(spark, docs, sf_dir):
 
 
 def drop_contaminated(spark, docs, sf_dir):
-    """Documents that hold a benchmark passage go."""
+    """Documents that hold a benchmark passage go, each row judged by itself. Null and empty texts stay."""
     return decontam.uncontaminated(docs, table(spark, sf_dir, "benchmark"))
 
 
 def redact_secrets(spark, docs, sf_dir):
-    """Every document stays; each secret in it is replaced by a mark, and n_chars follows."""
+    """Every document stays; each secret in it is replaced by a mark, and n_chars follows. Null texts become empty."""
     return secrets.redact_documents(docs, stage(secrets.scan_unseen(docs)), REDACTED)
 
 
 def pack_sequences(spark, docs, sf_dir):
-    """The pieces of all documents with their sequence and offset."""
+    """The pieces of all documents with their sequence and offset; a null or empty text is its closing id alone."""
     return packing.pack(docs, ranks_path())
 
 
@@ -55,7 +56,7 @@ STAGES = [
     ("packing", pack_sequences),
 ]
 
-ORACLE_SQL = None  # language ID, hashing and packing have no SQL form; tests hold the stages against plain versions
+ORACLE_SQL = None  # language ID, hashing and packing have no SQL form; tests hold the operators behind the stages against plain programs
 
 
 def run(spark, sf_dir):
