@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import ctypes
+import itertools
 import os
 import tempfile
 import uuid
@@ -11,6 +12,7 @@ import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 import zstandard
+from pyspark import TaskContext
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -96,6 +98,14 @@ def slices(batches, text: str, limit: int):
             at = end
 
 
+def slice_names():
+    """Names for the slices of a task, in order. A task that runs again after an executor is lost gives the same names,
+    so what other tasks have already fetched of its first run still fits. The rows must come in the same order, as they
+    do from files."""
+    context = TaskContext.get()
+    return (f"{context.partitionId() if context else 0}-{k}" for k in itertools.count())
+
+
 def packed(*arrays: np.ndarray) -> bytes:
     """Arrays as one compressed string."""
     body = b"".join(len(a).to_bytes(4, "little") + a.dtype.char.encode() + a.tobytes() for a in arrays)

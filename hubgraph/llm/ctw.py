@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from hubgraph.llm.common import BYTE_VALUES, LOWER, U64, Rolling, flat, id_crc, in_arrow, packed, slices, stage, unpacked
+from hubgraph.llm.common import BYTE_VALUES, LOWER, U64, Rolling, flat, id_crc, in_arrow, packed, slice_names, slices, stage, unpacked
 
 DEPTH, OWNED, END = 5, 2, 255
 #: Codes whose values may be broadcast (16 bytes each); with more, texts and the values that they need meet by bucket.
@@ -50,6 +50,7 @@ def _ask(ranges: int):
     shift = U64(64 - ranges.bit_length() + 1)
 
     def run(batches):
+        names = slice_names()
         for b in slices(batches, "text", 4_000_000):
             data, off = flat(b.column("text"))
             h, doc = tokens(LOWER[data], off)
@@ -62,7 +63,7 @@ def _ask(ranges: int):
             ids, texts = b.column("d").to_numpy(), b.column("th").to_numpy()
             train = b.column("train").to_numpy(zero_copy_only=False).astype(np.uint8)
             words = np.bincount(doc, n, b.num_rows).astype(np.int64)
-            name = uuid.uuid4().hex
+            name = next(names)
             rows = [(-1, name, packed(ids, texts, train, words))]
             cut = np.searchsorted(h, np.arange(1, ranges, dtype=np.uint64) << shift)
             for p, (s, e) in enumerate(zip([0, *cut.tolist()], [*cut.tolist(), len(h)], strict=True)):

@@ -10,7 +10,6 @@ verified by their exact distance; inside a key only a spanning forest of the tru
 
 from __future__ import annotations
 
-import uuid
 from functools import lru_cache
 
 import numpy as np
@@ -19,7 +18,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from hubgraph.llm.common import LOWER, Rolling, flat, in_arrow, mix, packed, slices, stage, unpacked
+from hubgraph.llm.common import LOWER, Rolling, flat, in_arrow, mix, packed, slice_names, slices, stage, unpacked
 from hubgraph.llm.components import connected_components
 from hubgraph.llm.ctw import tokens
 
@@ -254,6 +253,7 @@ def _ask(ranges: int):
     rest = KEPT_BITS - (ranges.bit_length() - 1)
 
     def run(batches):
+        names = slice_names()
         for b in slices(batches, "text", SLICE):
             h, bound = _shingles(b.column("text"))
             row = np.repeat(np.arange(b.num_rows), np.diff(bound))
@@ -267,7 +267,7 @@ def _ask(ranges: int):
             sign = np.frombuffer(b"".join(xxhash.xxh3_128_digest(h[s:e].tobytes()) for s, e in zip(at[:-1], at[1:], strict=True)), np.uint8)
             given = b.column("doc_id").is_valid().to_numpy(zero_copy_only=False).astype(np.uint8)
             own = (b.column("key").to_numpy(), b.column("doc_id").fill_null(0).to_numpy(), given, n, sign, np.minimum(counts, 255).astype(np.uint8))
-            name = uuid.uuid4().hex
+            name = next(names)
             rows = [(-1, name, packed(*own))]
             h = h >> np.uint64(64 - KEPT_BITS)
             order = np.argsort(h, kind="stable")
