@@ -27,7 +27,9 @@ def layerwise_infer(graph, h0: DataFrame, layers: list[LayerSpec], fanouts: list
 
 
 def samplewise_infer(graph, h0: DataFrame, layers: list[LayerSpec], fanouts: list[int], targets: DataFrame, salt: str = "i") -> DataFrame:
-    """(vid, h) of the targets, from their own K-hop samples; layer k is evaluated for all that lies K - k hops away."""
+    """(vid, h) of the targets, from their own K-hop samples; layer k is evaluated for all that lies K - k hops away.
+    A neighbour's sampled degree, which gcn needs, is its degree or the fanout: no sample of its own is drawn for it."""
+    degree = stage(graph.degrees())
     last, frontiers, hops = len(layers), [targets.select("vid").distinct()], []
     for k in reversed(range(last)):
         hop = stage(one_hop(graph, fanouts[last - 1 - k], k, salt).join(frontiers[-1], "vid", "left_semi"))
@@ -35,7 +37,8 @@ def samplewise_infer(graph, h0: DataFrame, layers: list[LayerSpec], fanouts: lis
         frontiers.append(stage(hop.select(F.col("nbr").alias("vid")).union(frontiers[-1]).distinct()))
     h = h0.join(frontiers[-1], "vid", "left_semi")
     for k, layer in enumerate(layers):
-        h = stage(apply_layer(h, hops[last - 1 - k], layer).join(frontiers[last - 1 - k], "vid", "left_semi"))
+        sampled = degree.select("vid", F.least("degree", F.lit(fanouts[last - 1 - k])).alias("deg"))
+        h = stage(apply_layer(h, hops[last - 1 - k], layer, sampled).join(frontiers[last - 1 - k], "vid", "left_semi"))
     return h
 
 
@@ -90,6 +93,24 @@ def reorder_hub_cluster(cached: DataFrame, degree: DataFrame) -> DataFrame:
     return keyed.join(F.broadcast(mean), "worker").select("worker", "vid", (F.row_number().over(order) - 1).alias("lid"))
 
 
+def breadth_first_levels(graph) -> DataFrame:
+    """(vid, level): steps from the vertex of the highest degree; vertices that it cannot reach are left out."""
+    adjacency = stage(graph.adjacency().select("vid", "nbr").distinct())
+    near = stage(graph.degrees().orderBy(F.desc("degree"), "vid").limit(1).select("vid"))
+    reached, level = near.withColumn("level", F.lit(0)), 0
+    while not near.isEmpty():
+        level += 1
+        near = stage(adjacency.join(near, "vid").select(F.col("nbr").alias("vid")).distinct().join(reached, "vid", "left_anti"))
+        reached = reached.unionByName(near.withColumn("level", F.lit(level)))
+    return reached
+
+
+def reorder_breadth_first(cached: DataFrame, levels: DataFrame) -> DataFrame:
+    """(worker, vid, lid): each worker's cached vertices by level, then id; those without a level last."""
+    order = Window.partitionBy("worker").orderBy(F.col("level").asc_nulls_last(), "vid")
+    return cached.join(levels, "vid", "left").select("worker", "vid", (F.row_number().over(order) - 1).alias("lid"))
+
+
 def locality(lids: DataFrame, placed: DataFrame) -> DataFrame:
     """(worker, edges, mean_gap, mean_bits): how far apart the local ids of an edge's ends lie, and the bits of the gap."""
     a = lids.select(F.col("worker").alias("part"), F.col("vid").alias("src"), F.col("lid").alias("a"))

@@ -71,12 +71,13 @@ def _dense(layer: LayerSpec, h: np.ndarray, nbrs: list[np.ndarray], types: list[
     return out
 
 
-def apply_layer(h: DataFrame, hop: DataFrame, layer: LayerSpec) -> DataFrame:
+def apply_layer(h: DataFrame, hop: DataFrame, layer: LayerSpec, degree: DataFrame | None = None) -> DataFrame:
     """(vid, h) one layer on, for embeddings (vid, h) and sampled edges (vid, nbr, etype).
 
-    A vertex's sample is bounded by the fanout, so its neighbours' rows fit one array; gcn uses sampled degrees.
+    A vertex's sample is bounded by the fanout, so its neighbours' rows fit one array; gcn uses sampled degrees, those
+    of hop unless others (vid, deg) are given.
     """
-    degree = hop.groupBy("vid").agg(F.count("*").alias("deg"))
+    degree = hop.groupBy("vid").agg(F.count("*").alias("deg")) if degree is None else degree
     messages = hop.join(h.select(F.col("vid").alias("nbr"), F.col("h").alias("hn")), "nbr").join(degree.select(F.col("vid").alias("nbr"), F.col("deg").alias("dn")), "nbr", "left")
     grouped = messages.groupBy("vid").agg(F.array_sort(F.collect_list(F.struct("nbr", "etype", F.coalesce("dn", F.lit(0)).alias("dn"), "hn"))).alias("m"))
     rows = h.join(grouped, "vid", "left").select("vid", "h", "m")

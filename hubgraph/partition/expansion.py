@@ -1,5 +1,6 @@
 """Vertex-cut by expansion, in rounds: steered by balance, or with a constant speed and a stopping threshold.
 
+Parts start at the first vertices in the order of a hash, or each at a vertex of its own slot of the grid placement.
 Every part grows from its replicas that still have free edges. Each round it takes the share lambda of these with the
 lowest degrees, claims their free edges, and then free edges whose ends already meet in a part. With steering, lambda
 follows how far the part's vertices and edges are from the mean; without, a part stops above tau times its share.
@@ -9,6 +10,7 @@ of no more than `local_limit` edges (at 8 parts; fewer at more) runs the same ro
 
 from __future__ import annotations
 
+import hashlib
 import json
 import math
 from dataclasses import dataclass, field
@@ -19,6 +21,7 @@ from pyspark.sql.window import Window
 
 from hubgraph.core.model import PropertyGraph
 from hubgraph.core.portable import bits
+from hubgraph.partition import metrics, placement
 from hubgraph.session import stage
 
 LAMBDA_MIN, LAMBDA_MAX = 1e-6, 1.0
@@ -52,25 +55,36 @@ def _claims(rows: DataFrame, load: DataFrame, parts: int) -> DataFrame:
     return rows.join(F.broadcast(load), "part").groupBy("eid").agg(F.min(packed).alias("claim")).select("eid", (F.col("claim") % 4096).cast("int").alias("part"))
 
 
-def expand(graph: PropertyGraph, parts: int, *, steer: bool, lambda0: float = 0.1, alpha: float = 1.0, beta: float = 1.0, tau: float = 1.1, max_rounds: int = 200, tail: float = 0.02, round_share: float = 0.02, local_limit: int = LOCAL_LIMIT) -> PartitionResult:
-    """Edges (eid, src, dst, part) and the trace of rounds.
+def start_vertices(every: DataFrame, degree: DataFrame, parts: int, start: str, salt: str) -> list[tuple[int, int]]:
+    """(vid, part): where parts begin. "grid": the vertex of least hash of the part's slot of the grid placement;
+    "vertices": the vertices of least hash, one each. A part without a slot's vertex begins when it is found starved."""
+    if start == "vertices":
+        return [(r.vid, k) for k, r in enumerate(degree.orderBy("h", "vid").limit(parts).collect())]
+    ends = placement.place(every, parts, "hash2d").select("part", F.explode(F.array("src", "dst")).alias("vid"))
+    low = ends.groupBy("part").agg(F.min(F.struct(bits(salt, "vid").alias("h"), "vid")).alias("low"))
+    return sorted((r.low.vid, r.part) for r in low.collect())
+
+
+def expand(graph: PropertyGraph, parts: int, *, steer: bool, lambda0: float = 0.1, alpha: float = 1.0, beta: float = 1.0, tau: float = 1.1, max_rounds: int = 200, tail: float = 0.02, round_share: float | None = 0.02, start: str = "vertices", salt: str = "s", local_limit: int = LOCAL_LIMIT) -> PartitionResult:
+    """Edges (eid, src, dst, part) and the trace of rounds. Vertices are in the order of a hash with `salt`.
 
     When no more than the share `tail` of the edges is free, or after max_rounds, each of the rest goes in one pass to
     its ends' least loaded part. In a round a part takes vertices of about round_share of its fair share of edges at
-    most, so that steering can act before a part runs away. A part whose boundary is empty while edges are free starts again at another vertex.
+    most, so that steering can act before a part runs away (None: no such bound). A part whose boundary is empty while edges are free starts again at another vertex.
     """
     spark = graph.edges.sparkSession
     every = stage(graph.edges.select("eid", "src", "dst"))
     total = every.count()
-    degree = every.select(F.explode(F.array("src", "dst")).alias("vid")).groupBy("vid").agg(F.count("*").alias("d")).withColumn("h", bits("s", "vid"))
+    degree = every.select(F.explode(F.array("src", "dst")).alias("vid")).groupBy("vid").agg(F.count("*").alias("d")).withColumn("h", bits(salt, "vid"))
     if not total:
         return PartitionResult(every.withColumn("part", F.lit(0)))
+    cap = round_cap(total, parts, round_share)
     if total * parts <= 8 * local_limit:  # a task holds a byte a vertex and part
-        return _expand_in_task(every, degree, total, parts, steer, lambda0, alpha, beta, tau, max_rounds, tail, round_share)
+        rules = {"parts": parts, "steer": steer, "lambda0": lambda0, "alpha": alpha, "beta": beta, "tau": tau, "max_rounds": max_rounds, "tail": tail, "cap": cap}
+        return _expand_in_task(every, degree, start_vertices(every, degree, parts, start, salt), rules)
     degree = stage(degree)
     free, placed = every, []
-    seeds = degree.orderBy("h", "vid").limit(parts).collect()
-    replicas = stage(spark.createDataFrame([(r.vid, k) for k, r in enumerate(seeds)] or [(-1, 0)], "vid long, part int"))
+    replicas = stage(spark.createDataFrame(start_vertices(every, degree, parts, start, salt), "vid long, part int"))
     nv, ne, speed, trace, left = [1] * parts, [0] * parts, [lambda0] * parts, [], total
     for number in range(max_rounds):
         if left <= tail * total:
@@ -94,7 +108,6 @@ def expand(graph: PropertyGraph, parts: int, *, steer: bool, lambda0: float = 0.
         histogram = boundary.groupBy("part", "d").agg(F.count("*").alias("n"))
         below = F.sum("n").over(Window.partitionBy("part").orderBy("d")) - F.col("n")
         ends_below = F.sum(F.col("n") * F.col("d")).over(Window.partitionBy("part").orderBy("d")) - F.col("n") * F.col("d")
-        cap = max(1.0, round_share * total / parts)
         room = F.least(F.col("quota") - F.col("below"), F.greatest(F.lit(1), F.ceil((F.lit(cap) - F.col("ends_below")) / F.col("d"))))
         cuts = histogram.withColumn("below", below).withColumn("ends_below", ends_below).join(F.broadcast(want), "part").where((F.col("below") < F.col("quota")) & (F.col("ends_below") < cap)).select("part", "d", room.alias("room"), "n")
         chosen = boundary.join(cuts, ["part", "d"])
@@ -134,7 +147,73 @@ def expand(graph: PropertyGraph, parts: int, *, steer: bool, lambda0: float = 0.
     return PartitionResult(stage(out), trace)
 
 
-def _expand_in_task(every, degree, total, parts, steer, lambda0, alpha, beta, tau, max_rounds, tail, round_share) -> PartitionResult:
+def round_cap(total: int, parts: int, round_share: float | None) -> float:
+    """Edge ends that a part may take in a round; more than there are where no bound is wanted."""
+    return 2.0 * total + 1 if round_share is None else max(1.0, round_share * total / parts)
+
+
+def array_rounds(eid, s, d, vid, deg, seeds, *, parts, steer, lambda0, alpha, beta, tau, max_rounds, tail, cap):
+    """The rounds of expand over arrays: (part of each edge, trace). vid and deg are in the order that breaks ties."""
+    import numpy as np
+
+    total = len(eid)
+    by_id = np.argsort(vid)
+    si, di, begin = (by_id[np.searchsorted(vid[by_id], x)] for x in (s, d, np.array([v for v, _ in seeds], "int64")))
+    part = np.full(total, -1, "int32")
+    held = np.zeros((parts, len(vid)), bool)
+    held[[p for _, p in seeds], begin] = True
+    nv, ne, speed, trace, left = [1] * parts, [0] * parts, [lambda0] * parts, [], total
+
+    def claim(at, wants, load):
+        """Gives each edge the least loaded of the parts that want it; those without any stay free."""
+        best = np.full(len(at), np.iinfo("int64").max)
+        for p in range(parts):
+            mine = wants(p)
+            if mine is not None:
+                best = np.where(mine, np.minimum(best, (load[p] * parts + (eid[at] + p) % parts) * 4096 + p), best)
+        got = best < np.iinfo("int64").max
+        part[at[got]] = best[got] % 4096
+
+    for number in range(max_rounds):
+        if left <= tail * total:
+            break
+        vs, es = share_score(nv), share_score(ne)
+        if steer:
+            speed = [next_lambda(*x, alpha, beta) for x in zip(speed, vs, es, strict=True)]
+        live = [p for p in range(parts) if steer or ne[p] <= tau * total / parts]
+        at = np.flatnonzero(part < 0)
+        open_ = np.zeros(len(vid), bool)
+        open_[si[at]] = open_[di[at]] = True
+        edge_of = {p: np.flatnonzero(held[p] & open_) for p in live}
+        starved = [p for p in live if not len(edge_of[p])]
+        for p, v in zip(starved, np.flatnonzero(open_)[: len(starved)], strict=False):
+            held[p, v], edge_of[p] = True, np.array([v])
+        chosen = np.zeros_like(held)
+        for p in live:
+            b = edge_of[p]
+            if len(b):
+                b = b[np.argsort(deg[b], kind="stable")][: quota(speed[p], len(b))]
+                chosen[p, b[np.cumsum(deg[b]) - deg[b] < cap]] = True
+        before = held.copy()
+        claim(at, lambda p: (chosen[p][si[at]] | chosen[p][di[at]]), ne)
+        taken = at[part[at] >= 0]
+        held[part[taken], si[taken]] = held[part[taken], di[taken]] = True
+        ne = np.bincount(part[part >= 0], minlength=parts).tolist()
+        new = (held & ~before).any(axis=0)
+        at = np.flatnonzero(part < 0)
+        at = at[new[si[at]] | new[di[at]]]
+        claim(at, lambda p: (held[p][si[at]] & held[p][di[at]]) if p in live else None, ne)
+        ne = np.bincount(part[part >= 0], minlength=parts).tolist()
+        nv, left = held.sum(axis=1).tolist(), total - sum(ne)
+        trace += [{"round": number, "part": p, "speed": speed[p], "vs": vs[p], "es": es[p], "nv": nv[p], "ne": ne[p], "free": left, "reseeded": p in starved} for p in range(parts)]
+    at = np.flatnonzero(part < 0)
+    claim(at, lambda p: held[p][si[at]] | held[p][di[at]], ne)
+    at = np.flatnonzero(part < 0)
+    part[at] = eid[at] % parts
+    return part, trace
+
+
+def _expand_in_task(every, degree, seeds, rules) -> PartitionResult:
     """The rounds of expand over arrays in one task; the caller has checked the number of edges."""
 
     def grow(batches):
@@ -146,63 +225,9 @@ def _expand_in_task(every, degree, total, parts, steer, lambda0, alpha, beta, ta
         eid, s, d = (edge[c].to_numpy() for c in ("eid", "src", "dst"))
         vertex = rows.filter(rows["kind"].to_numpy() == 1)
         vid, deg, h = (vertex[c].to_numpy() for c in ("eid", "src", "dst"))
-        order = np.lexsort((vid, h))  # vertices get indices by hash, so that index order breaks ties
-        vid, deg = vid[order], deg[order]
-        by_id = np.argsort(vid)
-        si, di = (by_id[np.searchsorted(vid[by_id], x)] for x in (s, d))
-        part = np.full(total, -1, "int32")
-        held = np.zeros((parts, len(vid)), bool)
-        for p in range(min(parts, len(vid))):
-            held[p, p] = True
-        nv, ne, speed, trace, left = [1] * parts, [0] * parts, [lambda0] * parts, [], total
-
-        def claim(at, wants, load):
-            """Gives each edge the least loaded of the parts that want it; those without any stay free."""
-            best = np.full(len(at), np.iinfo("int64").max)
-            for p in range(parts):
-                mine = wants(p)
-                if mine is not None:
-                    best = np.where(mine, np.minimum(best, (load[p] * parts + (eid[at] + p) % parts) * 4096 + p), best)
-            got = best < np.iinfo("int64").max
-            part[at[got]] = best[got] % 4096
-
-        for number in range(max_rounds):
-            if left <= tail * total:
-                break
-            vs, es = share_score(nv), share_score(ne)
-            if steer:
-                speed = [next_lambda(*x, alpha, beta) for x in zip(speed, vs, es, strict=True)]
-            live = [p for p in range(parts) if steer or ne[p] <= tau * total / parts]
-            at = np.flatnonzero(part < 0)
-            open_ = np.zeros(len(vid), bool)
-            open_[si[at]] = open_[di[at]] = True
-            edge_of = {p: np.flatnonzero(held[p] & open_) for p in live}
-            starved = [p for p in live if not len(edge_of[p])]
-            for p, v in zip(starved, np.flatnonzero(open_)[: len(starved)], strict=False):
-                held[p, v], edge_of[p] = True, np.array([v])
-            chosen = np.zeros_like(held)
-            for p in live:
-                b = edge_of[p]
-                if len(b):
-                    b = b[np.argsort(deg[b], kind="stable")][: quota(speed[p], len(b))]
-                    chosen[p, b[np.cumsum(deg[b]) - deg[b] < max(1.0, round_share * total / parts)]] = True
-            before = held.copy()
-            claim(at, lambda p: (chosen[p][si[at]] | chosen[p][di[at]]), ne)
-            taken = at[part[at] >= 0]
-            held[part[taken], si[taken]] = held[part[taken], di[taken]] = True
-            ne = np.bincount(part[part >= 0], minlength=parts).tolist()
-            new = (held & ~before).any(axis=0)
-            at = np.flatnonzero(part < 0)
-            at = at[new[si[at]] | new[di[at]]]
-            claim(at, lambda p: (held[p][si[at]] & held[p][di[at]]) if p in live else None, ne)
-            ne = np.bincount(part[part >= 0], minlength=parts).tolist()
-            nv, left = held.sum(axis=1).tolist(), total - sum(ne)
-            trace += [{"round": number, "part": p, "speed": speed[p], "vs": vs[p], "es": es[p], "nv": nv[p], "ne": ne[p], "free": left, "reseeded": p in starved} for p in range(parts)]
-        at = np.flatnonzero(part < 0)
-        claim(at, lambda p: held[p][si[at]] | held[p][di[at]], ne)
-        at = np.flatnonzero(part < 0)
-        part[at] = eid[at] % parts
-        yield pa.RecordBatch.from_pydict({"eid": eid, "src": s, "dst": d, "part": part, "trace": pa.nulls(total, pa.string())})
+        order = np.lexsort((vid, h))
+        part, trace = array_rounds(eid, s, d, vid[order], deg[order], seeds, **rules)
+        yield pa.RecordBatch.from_pydict({"eid": eid, "src": s, "dst": d, "part": part, "trace": pa.nulls(len(eid), pa.string())})
         yield pa.RecordBatch.from_pydict({"eid": pa.nulls(1, pa.int64()), "src": pa.nulls(1, pa.int64()), "dst": pa.nulls(1, pa.int64()), "part": pa.nulls(1, pa.int32()), "trace": [json.dumps(trace)]})
 
     rows = every.select(F.lit(0).alias("kind"), "eid", "src", "dst").union(degree.select(F.lit(1), "vid", "d", "h"))
@@ -211,6 +236,70 @@ def _expand_in_task(every, degree, total, parts, steer, lambda0, alpha, beta, ta
     return PartitionResult(done.where("trace is null").select("eid", "src", "dst", "part"), trace)
 
 
+STUDY = "start string, steered boolean, round_share double, vertex_order int, rf double, vb double, eb double, rounds int"
+
+
+def balance_study(graph: PropertyGraph, parts: int, *, orders: int = 5, shares=(0.02, None), starts=("grid", "vertices"), local_limit: int = LOCAL_LIMIT) -> DataFrame:
+    """A row (STUDY) for each run: steered and constant speed, from each start and with each bound of a round, in several
+    vertex orders.
+
+    Up to local_limit edges (at 8 parts) each run is one task's arrays; beyond that runs follow each other."""
+    spark = graph.edges.sparkSession
+    every = stage(graph.edges.select("eid", "src", "dst"))
+    total = every.count()
+    runs = [(start, steer, share, f"s{k}", k) for k in range(orders) for start in starts for share in shares for steer in (True, False)]
+    if total * parts > 8 * local_limit:
+        out = None
+        for start, steer, share, salt, k in runs:
+            r = expand(graph, parts, steer=steer, round_share=share, start=start, salt=salt, local_limit=local_limit)
+            row = metrics.partition_report(r.edges, parts).select(F.lit(start).alias("start"), F.lit(steer).alias("steered"), F.lit(share).cast("double").alias("round_share"), F.lit(k).alias("vertex_order"), "rf", "vb", "eb", F.lit(len(r.trace) // parts).alias("rounds"))
+            out = row if out is None else out.union(row)
+        return out
+    rows, columns = placement.grid_shape(parts)
+
+    def run(key, table):
+        import numpy as np
+        import pyarrow as pa
+
+        def bucket(salt, ids, n):
+            each, which = np.unique(ids, return_inverse=True)
+            return np.array([int(hashlib.md5(f"{salt}:{v}".encode()).hexdigest()[:8], 16) % n for v in each.tolist()], "int64")[which]
+
+        start, steer, share, salt, k = runs[key[0].as_py()]
+        eid, s, d = (table[c].to_numpy() for c in ("eid", "src", "dst"))
+        vid, deg = np.unique(np.concatenate([s, d]), return_counts=True)
+        order = np.lexsort((vid, bucket(salt, vid, 1 << 32)))
+        vid, deg = vid[order], deg[order]
+        by_id = np.argsort(vid)
+        slot = bucket("pr", s, rows) * columns + bucket("pc", d, columns)
+        first = np.full(parts, len(vid))
+        for x in (s, d):
+            np.minimum.at(first, slot, by_id[np.searchsorted(vid[by_id], x)])
+        if start == "vertices":
+            first = np.arange(parts)
+        seeds = [(int(vid[v]), p) for p, v in enumerate(first) if v < len(vid)]
+        part, trace = array_rounds(eid, s, d, vid, deg, seeds, parts=parts, steer=steer, lambda0=0.1, alpha=1.0, beta=1.0, tau=1.1, max_rounds=200, tail=0.02, cap=round_cap(total, parts, share))
+        held = np.unique(np.concatenate([np.searchsorted(vid[by_id], x) * parts + part for x in (s, d)]))
+        nv, ne = np.bincount(held % parts, minlength=parts), np.bincount(part, minlength=parts)
+        ratio = lambda x: float(x.max() / x.min()) if x.min() else None
+        out = {"start": [start], "steered": [steer], "round_share": [share], "vertex_order": [k], "rf": [len(held) / len(vid)], "vb": [ratio(nv)], "eb": [ratio(ne)], "rounds": [len(trace) // parts]}
+        return pa.table(out, schema=pa.schema([("start", pa.string()), ("steered", pa.bool_()), ("round_share", pa.float64()), ("vertex_order", pa.int32()), ("rf", pa.float64()), ("vb", pa.float64()), ("eb", pa.float64()), ("rounds", pa.int32())]))
+
+    each = every.withColumn("run", F.explode(F.sequence(F.lit(0), F.lit(len(runs) - 1))))
+    return each.groupBy("run").applyInArrow(run, STUDY)
+
+
+def balance_claim(study: DataFrame) -> DataFrame:
+    """(start, round_share, measure, steered, constant, lower_in, orders): medians over vertex orders, and in how many of them
+    steering gave the lower figure."""
+    out = None
+    for m in ("rf", "vb", "eb"):
+        pair = study.groupBy("start", "round_share", "vertex_order").agg(F.max(F.when(F.col("steered"), F.col(m))).alias("a"), F.max(F.when(~F.col("steered"), F.col(m))).alias("b"))
+        row = pair.groupBy("start", "round_share").agg(F.lit(m).alias("measure"), F.round(F.median("a"), 4).alias("steered"), F.round(F.median("b"), 4).alias("constant"), F.count_if(F.col("a") < F.col("b")).alias("lower_in"), F.count("*").alias("orders"))
+        out = row if out is None else out.union(row)
+    return out
+
+
 def bse_partition(graph: PropertyGraph, parts: int, **options) -> PartitionResult:
     """Balance-steered expansion."""
     return expand(graph, parts, steer=True, **options)

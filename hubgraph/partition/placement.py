@@ -15,15 +15,15 @@ def grid_shape(parts: int) -> tuple[int, int]:
 
 
 def place(edges: DataFrame, parts: int, kind: str, salt: str = "p") -> DataFrame:
-    """edges with `part` under random, hash1d (by source) or hash2d (grid: at most rows + columns - 1 replicas)."""
+    """edges with `part` under random, hash1d (by source), hash1d_dst (by target) or hash2d (grid: at most rows + columns - 1 replicas)."""
     rows, columns = grid_shape(parts)
-    by = {"random": bucket(parts, salt, "eid"), "hash1d": bucket(parts, salt, "src"), "hash2d": bucket(rows, salt + "r", "src") * columns + bucket(columns, salt + "c", "dst")}
+    by = {"random": bucket(parts, salt, "eid"), "hash1d": bucket(parts, salt, "src"), "hash1d_dst": bucket(parts, salt, "dst"), "hash2d": bucket(rows, salt + "r", "src") * columns + bucket(columns, salt + "c", "dst")}
     return edges.withColumn("part", by[kind].cast("int"))
 
 
 def sql_place(parts: int, kind: str, salt: str = "p") -> str:
     rows, columns = grid_shape(parts)
-    return {"random": sql_bucket(parts, salt, "eid"), "hash1d": sql_bucket(parts, salt, "src"), "hash2d": f"({sql_bucket(rows, salt + 'r', 'src')} * {columns} + {sql_bucket(columns, salt + 'c', 'dst')})"}[kind]
+    return {"random": sql_bucket(parts, salt, "eid"), "hash1d": sql_bucket(parts, salt, "src"), "hash1d_dst": sql_bucket(parts, salt, "dst"), "hash2d": f"({sql_bucket(rows, salt + 'r', 'src')} * {columns} + {sql_bucket(columns, salt + 'c', 'dst')})"}[kind]
 
 
 def hash_edge_cut(graph, parts: int, salt: str = "v") -> DataFrame:

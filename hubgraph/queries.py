@@ -27,7 +27,7 @@ def _add(name, query, sql=None):
 
 
 def _cte(graph, *more):
-    return f"WITH e AS ({graphs.SQL[graph]})" + "".join(f", {m}" for m in more)
+    return f"WITH e AS ({(graphs.SQL | graphs.MORE_SQL)[graph]})" + "".join(f", {m}" for m in more)
 
 
 _ADJ = "adj AS (SELECT src AS vid, dst AS nbr, eid, etype, weight{p} FROM {e} UNION ALL SELECT dst, src, eid, etype, weight{p} FROM {e})"
@@ -43,20 +43,18 @@ def _placed(kind, parts=PARTS):
 
 
 # Dataset statistics and degree distributions.
-for _g in graphs.SQL:
+for _g in graphs.SQL | graphs.MORE_SQL:
     _add(f"graph_stats_{_g}", lambda s, d, g=_g: metrics.degree_stats(graphs.GRAPHS[g](s, d)), _cte(_g, _adj(), _DEG) + " SELECT count(*) AS v, (sum(degree) / 2)::BIGINT AS e, round(avg(degree), 6) AS avg_degree, max(degree) AS max_degree FROM deg")
     _add(f"degree_hist_{_g}", lambda s, d, g=_g: metrics.degree_histogram(graphs.GRAPHS[g](s, d)), _cte(_g, _adj(), _DEG) + " SELECT (length(bin(degree)) - 1)::INTEGER AS bin, count(*) AS n, sum(degree)::BIGINT AS ends FROM deg GROUP BY 1")
 _add("tail_exponent_lexicon", lambda s, d: metrics.tail_exponent(graphs.lexicon(s, d)), _cte("lexicon", _adj(), _DEG) + " SELECT count(*) AS n, round(1 + 1 / avg(ln(degree / 3.5)), 6) AS exponent FROM deg WHERE degree >= 4")
-for _g in ("activity", "dialog"):
-    _add(f"graph_stats_{_g}", lambda s, d, g=_g: metrics.degree_stats(graphs.GRAPHS[g](s, d)))
 
 _REPORT = (
     f" , parts AS (SELECT range::INTEGER AS part FROM range({PARTS})), ne AS (SELECT part, count(*) AS ne FROM p GROUP BY part), res AS (SELECT DISTINCT part, unnest([src, dst]) AS vid FROM p), nv AS (SELECT part, count(*) AS nv FROM res GROUP BY part),"
     " t AS (SELECT coalesce(ne, 0) AS ne, coalesce(nv, 0) AS nv FROM parts LEFT JOIN ne USING (part) LEFT JOIN nv USING (part)), k AS (SELECT vid, count(*) AS k FROM res GROUP BY vid)"
     " SELECT round(sum(nv) / (SELECT count(*) FROM k), 6) AS rf, round(max(nv) / nullif(min(nv), 0), 6) AS vb, round(max(ne) / nullif(min(ne), 0), 6) AS eb, count(*) FILTER (ne = 0) AS empty_parts, round((SELECT avg(CASE WHEN k = 1 THEN 1.0 ELSE 0.0 END) FROM k), 6) AS interior FROM t"
 )
-for _g in graphs.SQL:
-    for _k in ("random", "hash1d", "hash2d"):
+for _g in graphs.SQL | graphs.MORE_SQL:
+    for _k in ("random", "hash1d", "hash1d_dst", "hash2d"):
         _add(f"part_quality_{_k}_{_g}", lambda s, d, g=_g, k=_k: metrics.partition_report(stage(placement.place(graphs.GRAPHS[g](s, d).edges, PARTS, k).select("eid", "src", "dst", "part")), PARTS), _cte(_g, _placed(_k)) + _REPORT)
 
 _EDGE_CUT = f"v AS (SELECT DISTINCT unnest([src, dst]) AS vid FROM e), o AS (SELECT vid, {sql_bucket(PARTS, 'v', 'vid')} AS part FROM v), p AS (SELECT eid, src, dst, unnest(list_distinct([a.part, b.part])) AS part FROM e JOIN o a ON a.vid = src JOIN o b ON b.vid = dst)"
@@ -84,8 +82,15 @@ for _n, _f in EXPANSIONS.items():
     for _g in graphs.SQL:
         for _p in (4, 8):
             _add(f"part_quality_{_n}_{_g}_{_p}", lambda s, d, f=_f, g=_g, p=_p: metrics.partition_report(f(graphs.GRAPHS[g](s, d), p).edges, p))
+    for _g in ("lexicon", "folded"):
+        _add(f"part_quality_{_n}_grid_start_{_g}", lambda s, d, f=_f, g=_g: metrics.partition_report(f(graphs.GRAPHS[g](s, d), 8, start="grid").edges, 8))
 for _n, _o in (("vertex_only", {"beta": 0.0}), ("edge_only", {"alpha": 0.0}), ("unsteered", {"alpha": 0.0, "beta": 0.0})):
     _add(f"part_quality_bse_{_n}_lexicon", lambda s, d, o=_o: metrics.partition_report(expansion.bse_partition(graphs.lexicon(s, d), 4, **o).edges, 4))
+for _g in graphs.SQL:
+    for _p in (4, 8):
+        _add(f"balance_claim_{_g}_{_p}", lambda s, d, g=_g, p=_p: expansion.balance_claim(stage(expansion.balance_study(graphs.GRAPHS[g](s, d), p))))
+# The rounds as a large graph runs them, however small this one is; without a bound of a round, so that they are few.
+_add("part_cover_bse_rounds_web", lambda s, d: _cover(expansion.bse_partition(graphs.web(s, d), 4, lambda0=0.5, round_share=None, max_rounds=10, local_limit=0)), _cte("web") + _COVER_SQL)
 
 
 def _trace(s, d):
@@ -102,6 +107,8 @@ for _n, _f in (("lp", placement.label_propagation_cut), ("mlec", placement.multi
 _add("home_partition_folded", lambda s, d: metrics.home_partition(placement.place(graphs.folded(s, d).edges, PARTS, "hash2d")), _cte("folded", _placed("hash2d")) + " SELECT vid, arg_max(part, {'n': n, 'p': -part})::INTEGER AS home FROM (SELECT vid, part, count(*) AS n FROM (SELECT part, unnest([src, dst]) AS vid FROM p) GROUP BY 1, 2) GROUP BY vid")
 _add("partition_bits_lexicon", lambda s, d: metrics.partition_bits(metrics.replicas(placement.place(graphs.lexicon(s, d).edges, PARTS, "hash1d"))), _cte("lexicon", _placed("hash1d")) + " SELECT vid, bit_or(1::BIGINT << part) AS bits FROM (SELECT DISTINCT part, unnest([src, dst]) AS vid FROM p) GROUP BY vid")
 
+_add("vertex_roles_lexicon", lambda s, d: metrics.partition_bits(metrics.replicas(placement.place(graphs.lexicon(s, d).edges, PARTS, "hash2d"))).select("vid", (F.bit_count("bits") == 1).alias("interior")), _cte("lexicon", _placed("hash2d")) + " SELECT vid, count(DISTINCT part) = 1 AS interior FROM (SELECT part, unnest([src, dst]) AS vid FROM p) GROUP BY vid")
+
 # Sampling.
 FANOUTS = [10, 5]
 
@@ -171,10 +178,10 @@ _add("sample_traffic_folded", lambda s, d: ga.traffic(placement.place(graphs.fol
 
 def _closure(s, d):
     g = graphs.trade(s, d)
-    return ga.khop_closure(g, _seeds(g, 5), 2)
+    return ga.khop_closure(g, ga.balanced_seeds(metrics.home_partition(placement.place(g.edges, PARTS, "hash2d")), 20), 2)
 
 
-_add("khop_closure_trade", _closure)
+_add("khop_closure_trade", _closure, _cte("trade", _placed("hash2d"), _adj(), _HOME) + f", seeds AS (SELECT vid FROM (SELECT *, row_number() OVER (PARTITION BY home ORDER BY {sql_uniform('b', 'vid')}, vid) AS r FROM home) WHERE r <= 20), r1 AS (SELECT vid FROM seeds UNION SELECT nbr FROM adj JOIN seeds USING (vid)), r2 AS (SELECT vid FROM r1 UNION SELECT nbr FROM adj JOIN r1 USING (vid)) SELECT 0 AS hop, count(*) AS n FROM seeds UNION ALL SELECT 1, count(*) FROM r1 UNION ALL SELECT 2, count(*) FROM r2")
 
 # Layout.
 for _g in graphs.SQL:
@@ -211,7 +218,7 @@ def _same(kind):
     def query(s, d):
         g = graphs.trade(s, d)
         h0, layers = stage(_features(g)), [make_layer(kind, 4, 8, 1, heads=2, types=5), make_layer(kind, 8, 8, 2, heads=2, types=5, last=True)]
-        targets = _seeds(g, 40)
+        targets = g.vertices()
         whole = engine.layerwise_infer(g, h0, layers, [6, 4]).withColumnRenamed("h", "a")
         part = engine.samplewise_infer(g, h0, layers, [6, 4], targets).withColumnRenamed("h", "b")
         gap = F.array_max(F.zip_with("a", "b", lambda x, y: F.abs(x - y)))
@@ -221,18 +228,31 @@ def _same(kind):
 
 
 for _k in ("gcn", "sage", "gat", "hgt"):
-    if _k == "gcn":
-        continue  # gcn normalises by sampled degrees of all vertices, which a sample does not hold
-    _add(f"layerwise_equals_samplewise_{_k}", _same(_k), "SELECT 40::BIGINT AS targets, 0.0::DOUBLE AS gap")
+    _add(f"layerwise_equals_samplewise_{_k}", _same(_k), _cte("trade") + " SELECT count(DISTINCT vid) AS targets, 0.0::DOUBLE AS gap FROM (SELECT unnest([src, dst]) AS vid FROM e)")
+
+_GCN = [make_layer("gcn", 4, 8, 1), make_layer("gcn", 8, 4, 2, last=True)]
 
 
 def _gcn(s, d):
     g = graphs.trade(s, d)
-    out = engine.layerwise_infer(g, stage(_features(g)), [make_layer("gcn", 4, 8, 1), make_layer("gcn", 8, 4, 2, last=True)], [6, 4])
+    out = engine.layerwise_infer(g, stage(_features(g)), _GCN, [6, 4])
     return out.select("vid", F.round(F.col("h")[0], 4).alias("h0"))
 
 
-_add("embed_gcn_2layer_trade", _gcn)
+def _gcn_sql(layer, number, fanout, source):
+    """CTEs of a layer: its sampled edges, sums over a vertex and its sample by sampled degrees, and the dense step."""
+    w, hop = layer.params["w"], f"hop{number}"
+    wide = [f"any_value(a.h{i}) / (any_value(least(da.degree, {fanout})) + 1) + sum(b.h{i} / sqrt((least(da.degree, {fanout}) + 1.0) * (least(db.degree, {fanout}) + 1.0))) AS h{i}" for i in range(w.shape[0])]
+    dense = [" + ".join(f"h{i} * ({float(w[i, j])!r}::DOUBLE)" for i in range(w.shape[0])) for j in range(w.shape[1])]
+    dense = [f"{x if layer.last else f'greatest(0, {x})'} AS h{j}" for j, x in enumerate(dense)]
+    return (
+        _HOP.replace("hop AS", f"{hop} AS").replace("i0:", f"i{number}:").replace("'i0'", f"'i{number}'").replace("r <= 8", f"r <= {fanout}"),
+        f"wide{number} AS (SELECT a.vid, {', '.join(wide)} FROM {source} a JOIN deg da ON da.vid = a.vid JOIN {hop} ON {hop}.vid = a.vid JOIN {source} b ON b.vid = {hop}.nbr JOIN deg db ON db.vid = b.vid GROUP BY a.vid)",
+        f"h_{number} AS (SELECT vid, {', '.join(dense)} FROM wide{number})",
+    )
+
+
+_add("embed_gcn_2layer_trade", _gcn, _cte("trade", _adj(), _DEG, _H0, *_gcn_sql(_GCN[0], 0, 4, "h"), *_gcn_sql(_GCN[1], 1, 6, "h_0")) + " SELECT vid, round(h0, 4) AS h0 FROM h_1")
 
 
 def _links(s, d):
@@ -277,6 +297,17 @@ def _hub_order(s, d):
 
 _HUB_SQL = "hubs AS (SELECT c.worker, c.vid, degree > avg(degree) OVER (PARTITION BY c.worker) AS hub FROM cached c JOIN deg USING (vid)), lids AS (SELECT worker, vid, row_number() OVER (PARTITION BY worker ORDER BY hub DESC, vid) - 1 AS lid FROM hubs)"
 _add("reorder_hub_cluster_folded", lambda s, d: _hub_order(s, d).select(F.col("worker").cast("long").alias("worker"), "vid", F.col("lid").cast("long").alias("lid")), _CACHE_CTE + f", {_HUB_SQL} SELECT worker::BIGINT AS worker, vid, lid::BIGINT AS lid FROM lids")
+
+
+def _breadth_order(s, d):
+    g, _, _, cached = _cache_parts(s, d)
+    return engine.reorder_breadth_first(cached, engine.breadth_first_levels(g))
+
+
+_STEPS = 12  # more than the folded graph has
+_LEVELS = "l0 AS (SELECT vid FROM deg ORDER BY degree DESC, vid LIMIT 1)" + "".join(f", l{k + 1} AS (SELECT vid FROM l{k} UNION SELECT nbr FROM adj JOIN l{k} USING (vid))" for k in range(_STEPS))
+_LEVELS += ", levels AS (SELECT vid, min(level) AS level FROM (" + " UNION ALL ".join(f"SELECT vid, {k} AS level FROM l{k}" for k in range(_STEPS + 1)) + ") GROUP BY vid)"
+_add("reorder_breadth_first_folded", lambda s, d: _breadth_order(s, d).select(F.col("worker").cast("long").alias("worker"), "vid", F.col("lid").cast("long").alias("lid")), _CACHE_CTE + f", {_LEVELS} SELECT worker::BIGINT AS worker, c.vid, (row_number() OVER (PARTITION BY worker ORDER BY level NULLS LAST, c.vid) - 1)::BIGINT AS lid FROM cached c LEFT JOIN levels ON levels.vid = c.vid")
 for _k in (*engine.ORDERS, "hub"):
     _add(f"locality_{_k}_folded", lambda s, d, k=_k: engine.locality(stage(_hub_order(s, d) if k == "hub" else _reorder(s, d, k)), placement.place(graphs.folded(s, d).edges, 4, "hash2d")), _CACHE_CTE + f", {_HUB_SQL if _k == 'hub' else _lids_sql(_k)} SELECT part::BIGINT AS worker, count(*) AS edges, round(avg(gap), 6) AS mean_gap, round(avg(length(bin(gap))), 6) AS mean_bits FROM (SELECT part, abs(a.lid - b.lid) AS gap FROM p JOIN lids a ON a.worker = part AND a.vid = src JOIN lids b ON b.worker = part AND b.vid = dst) GROUP BY part")
 

@@ -77,7 +77,17 @@ def dialog(spark: SparkSession, sf_dir: str) -> PropertyGraph:
     return PropertyGraph("dialog", edges.select(bits("e", "etype", "src", "dst", digits=15).alias("eid"), "src", "dst", "etype", F.lit(1.0).alias("weight")))
 
 
-GRAPHS = {"trade": trade, "folded": folded, "lexicon": lexicon, "commerce": commerce, "activity": activity, "dialog": dialog}
+def web(spark: SparkSession, sf_dir: str) -> PropertyGraph:
+    """Page to host, and to the targets of its links: distinct pairs, skewed by host."""
+    p = table(spark, sf_dir, "pages").select(F.col("page_id").alias("src"), "url", "html")
+    host = p.select("src", (F.lit(TYPE) + bits("w", F.regexp_extract("url", _HOST, 1), digits=9)).alias("dst"), F.lit(0).alias("etype"))
+    link = p.select("src", F.explode(F.regexp_extract_all("html", F.lit(_HREF), 1)).alias("to")).select("src", (F.lit(2 * TYPE) + bits("w", "to", digits=9)).alias("dst"), F.lit(1).alias("etype"))
+    edges = host.union(link).distinct()
+    return PropertyGraph("web", edges.select(bits("e", "etype", "src", "dst", digits=15).alias("eid"), "src", "dst", "etype", F.lit(1.0).alias("weight")))
+
+
+_HOST, _HREF = "^[a-z]+://([^/]+)", 'href="([^"]*)"'
+GRAPHS = {"trade": trade, "folded": folded, "lexicon": lexicon, "commerce": commerce, "activity": activity, "dialog": dialog, "web": web}
 
 _LINE_EID = sql_bits("e", *_KEY, _DAYS, digits=15)
 _COMMERCE_SQL = " UNION ALL ".join(f"SELECT {'DISTINCT' if name == 'lineitem' else ''} {a * TYPE} + {s}::BIGINT AS src, {b * TYPE} + {t}::BIGINT AS dst, {k} AS etype FROM {name}" for k, (_, name, a, s, b, t) in enumerate(COMMERCE))
@@ -87,3 +97,12 @@ SQL = {
     "lexicon": f"SELECT {sql_bits('e', 'doc_id', 'token', digits=15)} AS eid, doc_id AS src, {TYPE} + {sql_bits('t', 'token', digits=14)} AS dst, 0 AS etype, 1.0::DOUBLE AS weight FROM (SELECT DISTINCT doc_id, unnest(regexp_split_to_array(lower(text), '[^a-zà-ÿ]+')) AS token FROM documents) WHERE token <> ''",
     "commerce": f"SELECT {sql_bits('e', 'etype', 'src', 'dst', digits=15)} AS eid, src, dst, etype, 1.0::DOUBLE AS weight FROM ({_COMMERCE_SQL})",
 }
+
+_ROLE_SQL = f"SELECT conv_id * 1024 + turn AS src, {TYPE} + ascii(role) AS dst, 0 AS etype FROM conversations UNION ALL SELECT a.src, b.dst, 1 FROM (SELECT conv_id * 1024 + turn AS src FROM conversations) a JOIN (SELECT conv_id * 1024 + turn AS dst FROM conversations) b ON b.dst = a.src + 1"
+_WEB_SQL = f"SELECT page_id AS src, {TYPE} + {sql_bits('w', f"regexp_extract(url, '{_HOST}', 1)", digits=9)} AS dst, 0 AS etype FROM pages UNION SELECT src, {2 * TYPE} + {sql_bits('w', 'target', digits=9)}, 1 FROM (SELECT page_id AS src, unnest(regexp_extract_all(html, '{_HREF}', 1)) AS target FROM pages)"
+#: Graphs that only statistics and hash placements run over.
+MORE_SQL = {
+    "activity": f"SELECT event_id AS eid, user_id AS src, {TYPE} + CAST(json_extract(props, '$.k') AS BIGINT) AS dst, ascii(event_type) % 7 AS etype, value AS weight FROM events",
+    "dialog": f"SELECT {sql_bits('e', 'etype', 'src', 'dst', digits=15)} AS eid, src, dst, etype, 1.0::DOUBLE AS weight FROM ({_ROLE_SQL})",
+    "web": f"SELECT {sql_bits('e', 'etype', 'src', 'dst', digits=15)} AS eid, src, dst, etype, 1.0::DOUBLE AS weight FROM ({_WEB_SQL})",
+}

@@ -35,11 +35,12 @@ def test_every_edge_gets_one_part(spark):
         assert sorted(e.eid) == sorted(r[0] for r in rows) and e.part.between(0, 2).all()
 
 
-def test_rounds_in_one_task_equal_distributed_rounds(spark):
+@pytest.mark.parametrize("start", ["vertices", "grid"])
+def test_rounds_in_one_task_equal_distributed_rounds(spark, start):
     r = random.Random(3)
     rows = [(i, int(40 * r.random() ** 2), 100 + int(30 * r.random() ** 2), 0, 1.0) for i in range(400)] + [(1000, 900, 901, 0, 1.0)]
     g = PropertyGraph("g", spark.createDataFrame(rows, EDGES))
-    a, b = (expansion.bse_partition(g, 3, lambda0=0.3, max_rounds=2, round_share=0.2, local_limit=limit) for limit in (10_000, 0))
+    a, b = (expansion.bse_partition(g, 3, lambda0=0.3, max_rounds=2, round_share=0.2, start=start, local_limit=limit) for limit in (10_000, 0))
     assert a.trace == b.trace
     assert sorted(map(tuple, a.edges.collect())) == sorted(map(tuple, b.edges.collect()))
 
@@ -58,6 +59,32 @@ def test_steering_balances_vertices_of_a_power_law_graph(spark):
     assert steered.vb < plain.vb
 
 
+def test_parts_begin_in_their_own_slot_of_the_grid(spark):
+    from hubgraph.partition.placement import place
+
+    rows = [(i, i % 13, 100 + i % 17, 0, 1.0) for i in range(200)]
+    g = PropertyGraph("g", spark.createDataFrame(rows, EDGES))
+    ends = {(p, v) for r in place(g.edges, 4, "hash2d").collect() for p, v in ((r.part, r.src), (r.part, r.dst))}
+    begin = expansion.start_vertices(g.edges, None, 4, "grid", "s")
+    assert [p for _, p in sorted(begin, key=lambda x: x[1])] == [0, 1, 2, 3] and all((p, v) in ends for v, p in begin)
+    other = [expansion.bse_partition(g, 4, start=start).edges.count() for start in ("grid", "vertices")]
+    assert other == [200, 200]
+
+
+@pytest.mark.parametrize("limit", [10_000, 0])
+def test_balance_study_measures_what_the_partitioner_makes(spark, limit):
+    r = random.Random(5)
+    rows = [(i, int(20 * r.random() ** 2), 100 + int(15 * r.random() ** 2), 0, 1.0) for i in range(60)]
+    g = PropertyGraph("g", spark.createDataFrame(rows, EDGES))
+    starts = ("grid", "vertices") if limit else ("grid",)  # the distributed rounds are slow
+    study = expansion.balance_study(g, 2, orders=1, shares=(None,), starts=starts, local_limit=limit).collect()
+    assert sorted((x.start, x.steered) for x in study) == [(x, y) for x in starts for y in (False, True)]
+    for x in study:
+        made = expansion.expand(g, 2, steer=x.steered, round_share=None, start=x.start, salt="s0")
+        want = metrics.partition_report(made.edges, 2).first()
+        assert (round(x.rf, 6), round(x.vb, 6), round(x.eb, 6), x.rounds) == (want.rf, want.vb, want.eb, len(made.trace) // 2)
+
+
 def test_report_of_an_empty_part_is_null(spark):
     e = spark.createDataFrame([(0, 1, 2, 0), (1, 2, 3, 0)], "eid long, src long, dst long, part int")
     r = metrics.partition_report(e, 2).first()
