@@ -53,3 +53,15 @@ def test_queries_over_made_up_data_read_a_table(spark, name):
     assert "o_orderkey" in got._jdf.queryExecution().analyzed().toString()
     want = rows_of_sql(name)
     assert len(want.fetchall()) > 20 and same(got, want)
+
+
+def test_a_study_deals_no_copies_of_the_edges(spark):
+    from hubgraph.core.model import PropertyGraph
+    from hubgraph.partition import expansion
+
+    kinds = "eid long, src long, dst long, etype int, weight double"
+    g = PropertyGraph("g", spark.createDataFrame([(i, i % 7, 100 + i % 5, 0, 1.0) for i in range(40)], kinds))
+    study = expansion.balance_study(g, 2, orders=1, shares=(None,))
+    assert "Exchange" not in study._jdf.queryExecution().executedPlan().toString()  # a copy of all edges for each run before
+    assert study.count() == 4
+    assert expansion.balance_study(PropertyGraph("g", spark.createDataFrame([], kinds)), 2).count() == 0
