@@ -65,3 +65,40 @@ def test_a_study_deals_no_copies_of_the_edges(spark):
     assert "Exchange" not in study._jdf.queryExecution().executedPlan().toString()  # a copy of all edges for each run before
     assert study.count() == 4
     assert expansion.balance_study(PropertyGraph("g", spark.createDataFrame([], kinds)), 2).count() == 0
+
+
+def test_a_study_of_many_parts_runs_over_arrays_up_to_the_limit_of_edges(spark, monkeypatch):
+    from hubgraph.core.model import PropertyGraph
+    from hubgraph.partition import expansion
+
+    monkeypatch.setattr(expansion, "expand", None)  # the rounds of a graph beyond the limit; parts counted against it before
+    g = PropertyGraph("g", spark.createDataFrame([(i, i % 7, 100 + i % 5, 0, 1.0) for i in range(40)], "eid long, src long, dst long, etype int, weight double"))
+    assert expansion.balance_study(g, 16, orders=1, shares=(None,), starts=("vertices",), local_limit=40).count() == 2
+
+
+def test_arrays_of_rounds_hold_few_bytes_an_edge():
+    import tracemalloc
+
+    import numpy as np
+
+    from hubgraph.partition import expansion
+
+    rng = np.random.default_rng(3)
+    s, d = (rng.integers(0, 5000, 400_000).astype("int32") for _ in range(2))
+    columns, deg = [(rng.integers(0, 8, len(s))).astype("int8"), s, d], np.bincount(s, minlength=5000) + np.bincount(d, minlength=5000)
+    tracemalloc.start()
+    g = expansion.EdgeArrays(columns, deg, rng.permutation(5000))
+    part, _ = expansion.array_rounds(g, [(p, p) for p in range(8)], parts=8, steer=True, lambda0=0.1, alpha=1.0, beta=1.0, tau=1.1, max_rounds=200, tail=0.02, cap=expansion.round_cap(len(s), 8, 0.02))
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert set(part) == set(range(8)) and peak < 45 * len(s)
+
+
+def test_the_vertex_orders_of_a_study_run_side_by_side(spark):
+    from hubgraph.core.model import PropertyGraph
+    from hubgraph.partition import expansion
+
+    g = PropertyGraph("g", spark.createDataFrame([(i, i % 7, 100 + i % 5, 0, 1.0) for i in range(40)], "eid long, src long, dst long, etype int, weight double"))
+    study = expansion.balance_study(g, 2, orders=3, shares=(None,), starts=("vertices",))
+    counts = study.rdd.mapPartitions(lambda rows: [len({r.vertex_order for r in rows})]).collect()
+    assert sorted(counts)[-3:] == [1, 1, 1]  # one task ran all of them before
