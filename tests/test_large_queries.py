@@ -102,3 +102,17 @@ def test_the_vertex_orders_of_a_study_run_side_by_side(spark):
     study = expansion.balance_study(g, 2, orders=3, shares=(None,), starts=("vertices",))
     counts = study.rdd.mapPartitions(lambda rows: [len({r.vertex_order for r in rows})]).collect()
     assert sorted(counts)[-3:] == [1, 1, 1]  # one task ran all of them before
+
+
+def test_edges_around_vertices_come_in_chunks_and_once(monkeypatch):
+    import numpy as np
+
+    from hubgraph.partition import expansion
+
+    monkeypatch.setattr(expansion, "CHUNK", 1000)  # one array of all before
+    rng = np.random.default_rng(4)
+    s, d = (rng.integers(0, 900, 20_000).astype("int32") for _ in range(2))
+    g = expansion.EdgeArrays([np.zeros(len(s), "int8"), s.copy(), d.copy()], np.bincount(s, minlength=900) + np.bincount(d, minlength=900), np.arange(900), keep=False)
+    chunks = g.around(np.arange(450), np.full(len(s), -1, "int8"))
+    assert g.edge is None and len(chunks) > 10 and max(map(len, chunks)) < 1100
+    assert sorted(np.concatenate(chunks).tolist()) == np.flatnonzero((g.s < 450) | (g.d < 450)).tolist()
