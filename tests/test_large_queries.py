@@ -116,3 +116,29 @@ def test_edges_around_vertices_come_in_chunks_and_once(monkeypatch):
     chunks = g.around(np.arange(450), np.full(len(s), -1, "int8"))
     assert g.edge is None and len(chunks) > 10 and max(map(len, chunks)) < 1100
     assert sorted(np.concatenate(chunks).tolist()) == np.flatnonzero((g.s < 450) | (g.d < 450)).tolist()
+
+
+@pytest.mark.parametrize("start", ["vertices", "grid"])
+def test_quality_of_an_expansion_is_counted_without_its_edges(spark, monkeypatch, start):
+    from hubgraph.core.model import PropertyGraph
+    from hubgraph.partition import expansion, metrics
+
+    g = PropertyGraph("g", spark.createDataFrame([(i, i * i % 23, 100 + i * i * i % 17, 0, 1.0) for i in range(300)], "eid long, src long, dst long, etype int, weight double"))
+    want = [metrics.partition_report(f(g, 3, start=start).edges, 3).collect() for f in (expansion.bse_partition, expansion.tse_partition)]
+    report = metrics.partition_report
+    monkeypatch.setattr(metrics, "partition_report", None)  # shuffles the ends of all edges, which one task had written, before
+    assert [expansion.quality(f, g, 3, start=start).collect() for f in (expansion.bse_partition, expansion.tse_partition)] == want
+    monkeypatch.setattr(metrics, "partition_report", report)
+    empty = PropertyGraph("g", g.edges.where("eid < 0"))
+    assert expansion.quality(expansion.bse_partition, empty, 3).first().empty_parts == 3
+
+
+def test_places_of_ids_are_those_of_a_search():
+    import numpy as np
+
+    from hubgraph.partition import expansion
+
+    rng = np.random.default_rng(6)
+    for ids in (np.arange(5000), np.unique(rng.integers(-(1 << 60), 1 << 60, 5000)), np.array([7]), np.zeros(0, "int64")):
+        x = np.concatenate([rng.permutation(ids), np.array([1 << 61, -(1 << 61)])])
+        assert expansion.Places(ids).of(x).tolist() == [*np.searchsorted(ids, x[:-2]).tolist(), -1, -1]
