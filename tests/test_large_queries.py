@@ -142,3 +142,20 @@ def test_places_of_ids_are_those_of_a_search():
     for ids in (np.arange(5000), np.unique(rng.integers(-(1 << 60), 1 << 60, 5000)), np.array([7]), np.zeros(0, "int64")):
         x = np.concatenate([rng.permutation(ids), np.array([1 << 61, -(1 << 61)])])
         assert expansion.Places(ids).of(x).tolist() == [*np.searchsorted(ids, x[:-2]).tolist(), -1, -1]
+
+
+@pytest.mark.parametrize("parts", [5, 20, 200])
+def test_claims_are_kept_in_the_parts_of_edges(parts):
+    import numpy as np
+
+    from hubgraph.partition import expansion
+
+    rng = np.random.default_rng(7)
+    eid, s, d = np.arange(9000), *(rng.integers(0, 900, 9000).astype("int32") for _ in range(2))
+    turn, deg = (eid % parts).astype("int8" if parts < 128 else "int16"), np.bincount(s, minlength=900) + np.bincount(d, minlength=900)
+    g = expansion.EdgeArrays([turn, s.copy(), d.copy()], deg, rng.permutation(900))
+    part, _ = expansion.array_rounds(g, [(p, p) for p in range(parts)], parts=parts, steer=True, lambda0=0.1, alpha=1.0, beta=1.0, tau=1.1, max_rounds=0, tail=0.02, cap=1e9)
+    for e, p in zip(g.edge.tolist(), part.tolist(), strict=True):  # the last pass: the turn breaks the tie of two empty parts
+        near = [q for q in (int(s[e]), int(d[e])) if q < parts]
+        assert p == (min(near, key=lambda q: (e + q) % parts) if near else e % parts)
+    assert part.dtype == (np.int8 if parts < 12 else np.int16 if parts < 182 else np.int32)  # a second array of claims before
