@@ -159,3 +159,48 @@ def test_claims_are_kept_in_the_parts_of_edges(parts):
         near = [q for q in (int(s[e]), int(d[e])) if q < parts]
         assert p == (min(near, key=lambda q: (e + q) % parts) if near else e % parts)
     assert part.dtype == (np.int8 if parts < 12 else np.int16 if parts < 182 else np.int32)  # a second array of claims before
+
+
+@pytest.mark.parametrize("parts", [3, 300])
+def test_one_task_takes_in_a_graph_as_few_rows(spark, monkeypatch, parts):
+    import numpy as np
+
+    from hubgraph.core.model import PropertyGraph
+    from hubgraph.partition import expansion
+
+    g = PropertyGraph("g", spark.range(0, 90_000, 1, 3).selectExpr("id * 7919 as eid", "id % 701 as src", "(1L << 40) + id * id % 977 as dst"))
+    packed, total = expansion.pack_edges(g, parts)
+    assert total == 90_000 and packed.count() <= 3 * 2  # a row for each edge and each vertex before
+    want = sorted(map(tuple, g.edges.collect()))
+    assert sorted(map(tuple, expansion.unpacked(packed).collect())) == want
+    batches = expansion._rows(packed, keep=True).toArrow().to_batches()
+    for order in (batches, [b.slice(i, 1) for b in batches for i in reversed(range(b.num_rows))]):  # edges before vertices, too
+        vid, deg, turn, s, d, eid = expansion._arrays(iter(order), parts, total, keep=True)
+        assert sorted(zip(eid.tolist(), vid[s].tolist(), vid[d].tolist(), strict=True)) == want and (turn == eid % parts).all()
+        assert (np.diff(vid) > 0).all() and deg.tolist() == sum(np.bincount(x, minlength=len(vid)) for x in (s, d)).tolist()
+    empty, total = expansion.pack_edges(PropertyGraph("g", g.edges.where("eid < 0")), parts)
+    assert total == 0 and expansion.unpacked(empty).count() == 0
+
+
+def test_hashes_of_arrays_are_those_of_rows(spark):
+    import numpy as np
+
+    from hubgraph.core.portable import bits
+    from hubgraph.partition import expansion
+
+    vid = np.unique([x for k in range(63) for x in ((1 << k) - 1, 10 ** (k % 19), -(1 << k))] + list(range(1 << 40, (1 << 40) + 20_000)))
+    want = np.array(spark.createDataFrame([(int(v),) for v in vid], "vid long").select(bits("s3", "vid").alias("h")).toPandas().h)
+    assert expansion.hashes("s3", vid).tolist() == want.tolist()
+    assert expansion.order_by_hash("s3", vid).tolist() == np.lexsort((vid, want)).tolist()
+
+
+def test_pairs_of_documents_and_tokens_meet_without_a_shuffle_of_pairs(spark, tmp_path):
+    from hubgraph.sources import graphs
+
+    rows = [(1, "a b a"), (1, "B c"), (1, None), (2, None), (2, ""), (3, "été d'été"), (None, "a b"), (None, "b"), (4, "a b a"), (4, "a b a")]
+    spark.createDataFrame(rows, "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    edges = graphs.lexicon(spark, str(tmp_path)).edges
+    assert "token" not in "".join(x for x in edges._jdf.queryExecution().executedPlan().toString().splitlines() if "Exchange" in x)
+    con = duckdb.connect()
+    con.sql(f"create view documents as select * from '{tmp_path}/documents.parquet/*.parquet'")
+    assert same(edges.select("eid", "src", "dst"), con.sql(f"select eid, src, dst from ({graphs.SQL['lexicon']})"))
