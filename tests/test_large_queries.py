@@ -204,3 +204,41 @@ def test_pairs_of_documents_and_tokens_meet_without_a_shuffle_of_pairs(spark, tm
     con = duckdb.connect()
     con.sql(f"create view documents as select * from '{tmp_path}/documents.parquet/*.parquet'")
     assert same(edges.select("eid", "src", "dst"), con.sql(f"select eid, src, dst from ({graphs.SQL['lexicon']})"))
+
+
+def test_a_batch_holds_few_blobs(spark, monkeypatch):
+    from hubgraph.core.model import PropertyGraph
+    from hubgraph.partition import expansion
+    from hubgraph.session import ARROW_BYTES
+
+    def sizes_of(batches):
+        import pyarrow as pa
+
+        for b in batches:
+            yield pa.RecordBatch.from_pydict({"n": pa.array([b.nbytes], pa.int64())})
+
+    held = spark.conf.get(ARROW_BYTES)
+    try:
+        spark.conf.set(ARROW_BYTES, "64m")
+        monkeypatch.setattr(expansion, "BLOB", 1 << 9)
+        packed, _ = expansion.pack_edges(PropertyGraph("g", spark.range(0, 600_000, 1, 1).selectExpr("id * 7919 as eid", "id % 701 as src", "id % 977 + 1000 as dst")), 4)
+        sizes = expansion._rows(packed, keep=True).mapInArrow(sizes_of, "n long").collect()
+        assert max(r.n for r in sizes) < 6 << 20  # all blobs in one batch before
+    finally:
+        spark.conf.set(ARROW_BYTES, held)
+
+
+def test_edges_are_sorted_in_place(monkeypatch):
+    import numpy as np
+
+    from hubgraph.partition import expansion
+
+    monkeypatch.setattr(expansion, "CHUNK", 1000)
+    rng = np.random.default_rng(8)
+    for n in (0, 1, 2, 999, 20_001):
+        s, d = (rng.integers(0, 50, n).astype("int32") for _ in range(2))
+        deg = np.bincount(s, minlength=50) + np.bincount(d, minlength=50)
+        g = expansion.EdgeArrays([(np.arange(n) % 7).astype("int8"), s.copy(), d.copy()], deg, rng.permutation(50))
+        assert sum(x.base.nbytes for x in (g.edge, g.to) if x.base is not None) <= 8 * n + 16  # no number of 8 bytes stays
+        assert g.edge.tolist() == np.argsort(g.number_of[s], kind="stable").tolist() and g.to.tolist() == np.argsort(g.d, kind="stable").tolist()
+        assert (g.s == g.number_of[s][g.edge]).all() and (g.d == g.number_of[d][g.edge]).all() and (g.turn == g.edge % 7).all()
