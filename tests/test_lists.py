@@ -18,6 +18,7 @@ def test_rounds_over_lists_are_those_over_arrays(monkeypatch, parts):
     from hubgraph.partition import expansion, lists
 
     monkeypatch.setattr(expansion, "CHUNK", 64)
+    monkeypatch.setattr(lists, "VERTICES", 16)
     for seed in range(12):
         eid, s, d = (np.array(x) for x in list(zip(*hubs(300, seed), strict=True))[:3])
         ids, at = np.unique(np.concatenate([s, d]), return_inverse=True)
@@ -27,15 +28,14 @@ def test_rounds_over_lists_are_those_over_arrays(monkeypatch, parts):
         for x, y in ((s, d), (d, s)):
             order = np.argsort(x, kind="stable")
             g.sides.append((np.searchsorted(x[order], np.arange(len(ids) + 1)).astype("int32"), ((y.astype("uint32") << g.shift) | (eid % parts).astype("uint32"))[order]))
-        g.deg = np.bincount(at).astype("int32")
-        order, grid = lists.Order(g, f"s{seed}"), expansion.grid_of(ids, parts)
+        order, grid = lists.Order(g, f"s{seed}"), lists.small_grid(ids, parts)
         for start in ("grid", "vertices"):
             seeds = order.seeds(g, start, parts, grid)
             if start == "grid":
-                assert seeds == expansion.first_in_slots(ids, s, d, order.tied, grid, parts)
+                assert seeds == expansion.first_in_slots(ids, s, d, order.tied, expansion.grid_of(ids, parts), parts)
             for steer, share in ((True, None), (False, None), (True, 0.05), (False, 0.05)):
                 rules = {"parts": parts, "steer": steer, "lambda0": 0.3, "alpha": 1.0, "beta": 1.0, "tau": 1.1, "max_rounds": 40, "tail": 0.02, "cap": expansion.round_cap(len(s), parts, share)}
-                arrays = expansion.EdgeArrays([(eid % parts).astype("int8"), s.copy(), d.copy()], g.deg.astype("int64"), order.tied, keep=False)
+                arrays = expansion.EdgeArrays([(eid % parts).astype("int8"), s.copy(), d.copy()], g.deg().astype("int64"), order.tied, keep=False)
                 part, trace = expansion.array_rounds(arrays, seeds, **rules)
                 ne, nv, inside = expansion.held_counts(arrays, part, parts)
                 got = lists.list_rounds(g, order, seeds, **rules)
